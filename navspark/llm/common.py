@@ -58,12 +58,25 @@ def written(df: DataFrame, label: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-def join_checked(big: DataFrame, small: DataFrame, on, how: str, row_bytes: int = 64) -> DataFrame:
-    """Join ``big`` with a side that is usually small: broadcast it only if its counted
-    rows fit ``BROADCAST_BYTES``, otherwise leave a shuffled join to AQE."""
-    if small.count() * row_bytes <= BROADCAST_BYTES:
-        small = F.broadcast(small)
-    return big.join(small, on, how)
+def checked(small: DataFrame, row_bytes: int = 64, items: str | None = None) -> DataFrame:
+    """Mark a usually small side of a join for broadcast, if its counted rows (and the eight
+    bytes of each element of the array column ``items``) fit ``BROADCAST_BYTES``. Otherwise
+    the join stays a shuffled one, which AQE splits where a key is skewed."""
+    n, m = small.agg(F.count("*"), F.coalesce(F.sum(F.size(items)), F.lit(0)) if items else F.lit(0)).first()
+    return F.broadcast(small) if n * row_bytes + 8 * m <= BROADCAST_BYTES else small
+
+
+def same_row(a: DataFrame, b: DataFrame):
+    """Join condition on (doc_id, row_key); null ids meet."""
+    return a.doc_id.eqNullSafe(b.doc_id) & (a.row_key == b.row_key)
+
+
+_UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
+
+
+def az_lower(c):
+    """Lower-cases A to Z alone; pure ASCII takes the fast built-in."""
+    return F.when(F.octet_length(c) == F.char_length(c), F.lower(c)).otherwise(F.translate(c, _UPPER, _LOWER))
 
 
 def text_key(text="text"):

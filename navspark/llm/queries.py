@@ -2,18 +2,25 @@
 
 from __future__ import annotations
 
+from navspark.llm import decontam, line_runs, simhash_vp
 from navspark.llm.common import table
 
 
 def op8_simhash_vp(spark, sf_dir):
-    from navspark.llm.simhash_vp import op8_result
+    return simhash_vp.op8_result(table(spark, sf_dir, "documents"))
 
-    return op8_result(table(spark, sf_dir, "documents"))
+
+def op9_line_runs(spark, sf_dir):
+    return line_runs.op9_result(table(spark, sf_dir, "documents"))
+
+
+def op10_decontamination(spark, sf_dir):
+    return decontam.op10_result(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
 def queries():
-    return {"op8_simhash_vp": op8_simhash_vp}
+    return {"op8_simhash_vp": op8_simhash_vp, "op9_line_runs": op9_line_runs, "op10_decontamination": op10_decontamination}
 
 
 def oracle_sql():
-    return {}
+    return {"op9_line_runs": line_runs.OP9_SQL, "op10_decontamination": decontam.OP10_SQL}
