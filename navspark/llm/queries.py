@@ -2,10 +2,26 @@
 
 from __future__ import annotations
 
-from navspark.llm import decontam, line_runs, simhash_vp
+from navspark.llm import decontam, line_runs, packing_dp, pii, quality_mil, simhash_vp, warc
 from navspark.llm.common import table
 
 
+def op1_warc_salvage(spark, sf_dir):
+    return warc.op1_result(spark, table(spark, sf_dir, "pages"))
+
+
+def op2_personal_data(spark, sf_dir):
+    return pii.op2_result(table(spark, sf_dir, "documents"))
+
+
+def op3_quality_mil(spark, sf_dir):
+    return quality_mil.op3_result(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
+def op4_packing_dp(spark, sf_dir):
+    return packing_dp.pack(table(spark, sf_dir, "documents"))
+
+
 def op8_simhash_vp(spark, sf_dir):
     return simhash_vp.op8_result(table(spark, sf_dir, "documents"))
 
@@ -18,9 +34,24 @@ def op10_decontamination(spark, sf_dir):
     return decontam.op10_result(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+def pipeline(spark, sf_dir):
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries():
-    return {"op8_simhash_vp": op8_simhash_vp, "op9_line_runs": op9_line_runs, "op10_decontamination": op10_decontamination}
+    return {
+        "op1_warc_salvage": op1_warc_salvage,
+        "op2_personal_data": op2_personal_data,
+        "op3_quality_mil": op3_quality_mil,
+        "op4_packing_dp": op4_packing_dp,
+        "op8_simhash_vp": op8_simhash_vp,
+        "op9_line_runs": op9_line_runs,
+        "op10_decontamination": op10_decontamination,
+        "pipeline": pipeline,
+    }
 
 
 def oracle_sql():
-    return {"op9_line_runs": line_runs.OP9_SQL, "op10_decontamination": decontam.OP10_SQL}
+    return {"op1_warc_salvage": warc.OP1_SQL, "op9_line_runs": line_runs.OP9_SQL, "op10_decontamination": decontam.OP10_SQL}
