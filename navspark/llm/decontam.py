@@ -32,14 +32,14 @@ def _part(c: str, first: int, n: Column) -> Column:
     return F.slice(c, first + 1, F.greatest(n, F.lit(0)))
 
 
-def with_window_hashes(df: DataFrame, lengths: list[int], word_col: str = "w") -> DataFrame:
+def with_window_hashes(df: DataFrame, lengths: list[int], word_col: str = "w", fold=F.lower) -> DataFrame:
     """Adds ``n`` (words) and h<L>, the hashes of all windows of L words, for each L.
 
     h1 hashes words; a window of 2k words is the hash of its two halves; other lengths are
     put together from powers of two. Arrays are always arguments and never captured in a
     lambda, so each is computed once a row.
     """
-    df = df.withColumn("n", F.size(word_col)).withColumn("h1", F.transform(word_col, lambda w: F.xxhash64(F.lower(w))))
+    df = df.withColumn("n", F.size(word_col)).withColumn("h1", F.transform(word_col, lambda w: F.xxhash64(fold(w))))
     have = {1}
 
     def join(df: DataFrame, a: int, b: int) -> DataFrame:
@@ -76,6 +76,19 @@ def benchmark_windows(bench: DataFrame, n: int = N) -> tuple[DataFrame, list[int
     return written(flat.groupBy("h", "len", "words").agg(F.collect_set("item_id").alias("items")), "windows"), lengths
 
 
+def covered_words(spans, place=lambda x: x.pos, size=lambda x: x.len) -> Column:
+    """Words inside any of the spans, which are sorted by place."""
+    return F.aggregate(
+        spans,
+        F.struct(F.lit(0).alias("end"), F.lit(0).alias("sum")),
+        lambda acc, x: F.struct(
+            F.greatest(acc.end, place(x) + size(x)).alias("end"),
+            (acc["sum"] + F.greatest(F.lit(0), place(x) + size(x) - F.greatest(acc.end, place(x)))).alias("sum"),
+        ),
+        lambda acc: acc["sum"],
+    )
+
+
 def contamination(docs: DataFrame, bench: DataFrame, n: int = N) -> DataFrame:
     """One row for each row of ``docs``: doc_id, row_key, n_words, spans (array of start and
     length in words, verified), items (sorted array of item ids as strings), n_hit."""
@@ -112,15 +125,7 @@ def contamination(docs: DataFrame, bench: DataFrame, n: int = N) -> DataFrame:
         ),
         "verified",
     )
-    covered = F.aggregate(
-        "spans",
-        F.struct(F.lit(0).alias("end"), F.lit(0).alias("sum")),
-        lambda acc, x: F.struct(
-            F.greatest(acc.end, x.pos + x.len).alias("end"),
-            (acc["sum"] + F.greatest(F.lit(0), x.pos + x.len - F.greatest(acc.end, x.pos))).alias("sum"),
-        ),
-        lambda acc: acc["sum"],
-    )
+    covered = covered_words("spans")
     hit = hit.select("doc_id", "row_key", "spans", F.array_sort(F.transform("items", lambda i: i.cast("string"))).alias("items"), covered.alias("n_hit"))
     h = checked(hit, 64, "spans").alias("h")
     none = F.expr("cast(array() as array<struct<pos:int,len:int>>)")

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from navspark.llm import decontam, line_runs, packing_dp, pii, quality_mil, simhash_vp, warc
+from navspark.llm import decontam, html_layout, line_rules, line_runs, packing_dp, pii, quality_mil, simhash_vp, token_tree, warc
 from navspark.llm.common import table
 
 
@@ -22,6 +22,18 @@ def op4_packing_dp(spark, sf_dir):
     return packing_dp.pack(table(spark, sf_dir, "documents"))
 
 
+def op5_html_layout(spark, sf_dir):
+    return html_layout.op5_result(table(spark, sf_dir, "pages"))
+
+
+def op6_line_rules(spark, sf_dir):
+    return line_rules.op6_result(table(spark, sf_dir, "documents"))
+
+
+def op7_token_tree(spark, sf_dir):
+    return token_tree.op7_result(table(spark, sf_dir, "documents"))
+
+
 def op8_simhash_vp(spark, sf_dir):
     return simhash_vp.op8_result(table(spark, sf_dir, "documents"))
 
@@ -46,6 +58,9 @@ def queries():
         "op2_personal_data": op2_personal_data,
         "op3_quality_mil": op3_quality_mil,
         "op4_packing_dp": op4_packing_dp,
+        "op5_html_layout": op5_html_layout,
+        "op6_line_rules": op6_line_rules,
+        "op7_token_tree": op7_token_tree,
         "op8_simhash_vp": op8_simhash_vp,
         "op9_line_runs": op9_line_runs,
         "op10_decontamination": op10_decontamination,
@@ -54,4 +69,4 @@ def queries():
 
 
 def oracle_sql():
-    return {"op1_warc_salvage": warc.OP1_SQL, "op9_line_runs": line_runs.OP9_SQL, "op10_decontamination": decontam.OP10_SQL}
+    return {"op1_warc_salvage": warc.OP1_SQL, "op6_line_rules": line_rules.OP6_SQL, "op9_line_runs": line_runs.OP9_SQL, "op10_decontamination": decontam.OP10_SQL}
