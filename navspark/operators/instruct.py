@@ -34,7 +34,7 @@ def sector_uniform(bearing, n: int = 4) -> Column:
     """The contrast: n equal bins of the bearing, which calls a rear-left target 'left'."""
     b = F.col(bearing) if isinstance(bearing, str) else bearing
     names = UNIFORM if n == 8 else ("ahead", "left", "behind", "right")
-    i = F.pmod(F.floor((wrap_angle(b) + PI / n) / (2 * PI / n)), F.lit(n)).cast("int")
+    i = F.pmod(F.floor(F.round((wrap_angle(b) + PI / n) / (2 * PI / n), 9)), F.lit(n)).cast("int")
     return F.element_at(F.array(*map(F.lit, names)), i + 1)
 
 

@@ -88,10 +88,10 @@ def aggregate_onpolicy(expert: DataFrame, rollouts: DataFrame, labels: DataFrame
 
 
 def filter_stop(steps: DataFrame, tasks=("instruction", "object")) -> DataFrame:
-    """A stop label survives only on the last frame with the target in view; tracking has none to filter."""
+    """A stop label survives only on the last frame with the target in view; tracking keeps its own."""
     guard = F.col("task").isin(*tasks) if "task" in steps.columns else F.lit(True)
     ok = (F.col("t") == F.col("n_steps")) & F.col("visible")
-    return steps.where(~guard | ~F.col("stop") | ok)
+    return steps.withColumn("stop", F.col("stop") & (ok | ~guard))
 
 
 def drop_unseen(steps: DataFrame, key: str = "episode_id", tasks=("instruction", "object")) -> DataFrame:
@@ -150,7 +150,7 @@ def balanced_index(steps: DataFrame, cluster: str = "cluster", id_col: str = "sa
     s = drop_unseen(filter_stop(steps))
     for rounds in range(1, 6):
         s, cap, ok = cap_clusters(s, CLUSTER_SHARE, cluster, id_col)
-        s = cap_stop(s, STOP_SHARE, "stop", id_col)
+        s = cap_stop(s, STOP_SHARE, "stop", id_col).persist()
         top = s.groupBy(cluster).count().agg(F.max("count"), F.sum("count")).first()
         if not ok or top[1] is None or top[0] <= CLUSTER_SHARE * top[1] + 1e-9:
             break

@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
+from navspark.plans import base, corpus_queries, general_queries, perception_queries, policy_queries
+
+__all__ = ["corpus_queries", "general_queries", "perception_queries", "policy_queries"]
+
 
 def queries():
-    return {}
+    return dict(base.QUERIES)
 
 
 def oracle_sql():
-    return {}
+    return dict(base.ORACLE)

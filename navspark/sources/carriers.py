@@ -145,7 +145,7 @@ def v_views(spark: SparkSession, sf: str) -> DataFrame:
         F.col("l_partkey").alias("part_key"),
     )
     bearing = wrap_angle(F.atan2(F.col("y") - F.col("py"), F.col("x") - F.col("px")))
-    j = j.withColumn("heading", F.pmod(F.floor((bearing + PI / 4) / (PI / 2)), F.lit(4)).cast("int"))
+    j = j.withColumn("heading", F.pmod(F.floor(F.round((bearing + PI / 4) / (PI / 2), 9)), F.lit(4)).cast("int"))
     yaw = F.col("heading") * (PI / 2)
     dx, dy = F.col("x") - F.col("px"), F.col("y") - F.col("py")
     j = j.withColumn("depth", dx * F.cos(yaw) + dy * F.sin(yaw)).withColumn("side", dy * F.cos(yaw) - dx * F.sin(yaw))
@@ -198,7 +198,7 @@ SQL = {
    JOIN v_rollouts r ON q.episode_id = r.episode_id WINDOW e AS (PARTITION BY q.episode_id)))""",
     "v_views": """SELECT *, CASE WHEN depth > 1e-9 THEN 0.5::DOUBLE - 0.28867513459481287::DOUBLE * side / depth END AS u, CASE WHEN depth > 1e-9 THEN 0.5::DOUBLE - 0.28867513459481287::DOUBLE * (z - 1.0::DOUBLE) / depth END AS v FROM (
   SELECT *, (x - px) * cos(heading * (pi() / 2)) + (y - py) * sin(heading * (pi() / 2)) AS depth, (y - py) * cos(heading * (pi() / 2)) - (x - px) * sin(heading * (pi() / 2)) AS side FROM (
-   SELECT *, CAST(((floor((atan2(y - py, x - px) + pi() / 4) / (pi() / 2))::BIGINT % 4) + 4) % 4 AS INT) AS heading FROM (
+   SELECT *, CAST(((floor(round((atan2(y - py, x - px) + pi() / 4) / (pi() / 2), 9))::BIGINT % 4) + 4) % 4 AS INT) AS heading FROM (
     SELECT md5(concat_ws('|', CAST(l_orderkey AS VARCHAR), CAST(l_linenumber AS VARCHAR), CAST(l_partkey AS VARCHAR), CAST(l_suppkey AS VARCHAR))) AS obs_id, CAST(l_suppkey % 10 AS INT) AS scene, l_suppkey AS viewpoint, p_type AS category,
      (l_partkey * 7919 % 1000)::DOUBLE / 10 + (l_discount - 0.05::DOUBLE) * 6 * (1 + l_partkey % 3) AS x, (l_partkey * 104729 % 1000)::DOUBLE / 10 + (l_tax - 0.04::DOUBLE) * 7.5::DOUBLE * (1 + l_partkey % 3) AS y, p_size::DOUBLE / 25 AS z,
      (l_suppkey * 31 % 1000)::DOUBLE / 10 AS px, (l_suppkey * 57 % 1000)::DOUBLE / 10 AS py, l_partkey AS part_key FROM lineitem JOIN part ON l_partkey = p_partkey)))""",
