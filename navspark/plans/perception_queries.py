@@ -95,7 +95,7 @@ def points(spark, sf):
 
 @query(
     "point_tokens",
-    f"""SELECT idx, channel, count(*) AS n, {r6_sql("avg(CASE WHEN idx < 256 THEN abs(u - (idx % 16 + 0.5::DOUBLE) / 16) END)")} AS mean_u_err, {r6_sql("avg(CASE WHEN idx < 256 THEN abs(v - (idx // 16 + 0.5::DOUBLE) / 16) END)")} AS mean_v_err
+    f"""SELECT idx, channel, count(*) AS n, {r6_sql("avg(CASE WHEN idx < 256 THEN abs(u - (idx % 16 + 0.5::DOUBLE) / 16) END)", 9)} AS mean_u_err, {r6_sql("avg(CASE WHEN idx < 256 THEN abs(v - (idx // 16 + 0.5::DOUBLE) / 16) END)", 9)} AS mean_v_err
   FROM (SELECT apos AS idx, 'affordance' AS channel, u, v FROM points UNION ALL SELECT opos, 'object', u, v FROM points) GROUP BY idx, channel""",
     points=_POINTS,
 )
@@ -103,7 +103,7 @@ def point_tokens(spark, sf):
     p = points(spark, sf)
     long = p.select(F.explode(F.array(F.struct(F.lit("affordance").alias("channel"), F.col("apos").alias("idx")), F.struct(F.lit("object").alias("channel"), F.col("opos").alias("idx")))).alias("x"), "u", "v").select("x.*", "u", "v")
     c = P.cell_center("idx")
-    return long.groupBy("idx", "channel").agg(F.count("*").alias("n"), r6(F.avg(F.abs(F.col("u") - c.u))).alias("mean_u_err"), r6(F.avg(F.abs(F.col("v") - c.v))).alias("mean_v_err"))
+    return long.groupBy("idx", "channel").agg(F.count("*").alias("n"), r6(F.avg(F.abs(F.col("u") - c.u)), 9).alias("mean_u_err"), r6(F.avg(F.abs(F.col("v") - c.v)), 9).alias("mean_v_err"))
 
 
 @query(
