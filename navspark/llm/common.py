@@ -71,6 +71,13 @@ def same_row(a: DataFrame, b: DataFrame):
     return a.doc_id.eqNullSafe(b.doc_id) & (a.row_key == b.row_key)
 
 
+def once(c):
+    """The column, computed once a row. An array that a lambda captures must be: a filter placed
+    later on the result would else be pushed below the projection, copying the array's whole
+    expression into the lambda, where it runs again for each element."""
+    return F.when(F.monotonically_increasing_id() >= 0, c)
+
+
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 

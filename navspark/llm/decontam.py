@@ -17,7 +17,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from navspark.llm.common import az_lower, checked, same_row, text_key, written
+from navspark.llm.common import az_lower, checked, once, same_row, text_key, written
 
 N = 13  #: words of a window
 _SEP = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]"  # ASCII but letters and digits
@@ -113,7 +113,7 @@ def contamination(docs: DataFrame, bench: DataFrame, n: int = N) -> DataFrame:
     per_doc = written(found.groupBy("doc_id", "row_key").agg(F.collect_set("hit").alias("hits")), "hits")
     b = checked(per_doc, 48, "hits").alias("b")
     met = docs.alias("a").join(b, same_row(docs, per_doc), "inner").select("a.doc_id", "a.row_key", "a.text", "b.hits").distinct()
-    exact = met.select("doc_id", "row_key", "hits", words(az_lower(F.col("text"))).alias("w")).where(F.size("w") > 0)
+    exact = met.select("doc_id", "row_key", "hits", once(words(az_lower(F.col("text")))).alias("w")).where(F.size("w") > 0)
     exact = exact.select(
         "doc_id", "row_key", F.explode(F.transform("hits", lambda x: F.struct(x.pos.alias("pos"), x.len.alias("len"), F.array_join(F.slice("w", x.pos + 1, x.len), " ").alias("words")))).alias("x")
     ).select("doc_id", "row_key", "x.*")
@@ -156,7 +156,7 @@ def without_spans(docs: DataFrame, bench: DataFrame) -> DataFrame:
     hits = written(contamination(docs, bench).where("n_hit > 0").select("doc_id", "row_key", "spans").distinct(), "spans")
     keyed = docs.withColumn("row_key", text_key(F.col("text").cast("string")))
     j = keyed.join(checked(hits, 48, "spans"), same_row(keyed, hits), "left").select(*[keyed[c] for c in docs.columns], "spans")
-    j = j.withColumn("pieces", F.when(F.col("spans").isNotNull(), F.regexp_extract_all("text", F.lit(f"{_WORD}+{_SEP}*"), 0)))
+    j = j.withColumn("pieces", once(F.when(F.col("spans").isNotNull(), F.regexp_extract_all("text", F.lit(f"{_WORD}+{_SEP}*"), 0))))
     gone = F.flatten(F.transform("spans", lambda x: F.sequence(x.pos, x.pos + x.len - 1)))
     keep = F.array_except(F.sequence(F.lit(0), F.size("pieces") - 1), gone)
     rest = F.concat(F.regexp_extract("text", f"^{_SEP}*", 0), F.array_join(F.transform(keep, lambda i: F.get("pieces", i)), ""))

@@ -16,6 +16,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from navspark.llm.common import once
 from navspark.llm.decontam import covered_words, with_window_hashes
 
 MIN_WORDS = 20
@@ -50,17 +51,15 @@ def line_fails(line: Column) -> Column:
 def judged(docs: DataFrame, keep_text: bool = False) -> DataFrame:
     """Statistics and verdict of each row; ``keep_text`` adds the cleaned text."""
     base = docs.select("doc_id", F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
-    base = base.select("doc_id", "text", F.array_remove(F.split("text", _SPACE, -1), "").alias("w"), F.filter(F.split("text", "\n", -1), lambda x: x.rlike(r"[^\x20\x09-\x0D]")).alias("lines"))
+    base = base.select("doc_id", "text", once(F.array_remove(F.split("text", _SPACE, -1), "")).alias("w"), once(F.filter(F.split("text", "\n", -1), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))).alias("lines"))
     df = with_window_hashes(base, [WINDOW], "w", lambda w: w)
     h = f"h{WINDOW}"
     again = F.size(F.array_distinct(h)) < F.size(h)
-    df = df.withColumn("s", F.when(again, F.sort_array(F.transform(h, lambda x, i: F.struct(x.alias("h"), i.alias("i"))))))
-    last = F.size("s") - 1
-    near = F.filter(
-        F.sequence(F.lit(0), last),
-        lambda j: ((j > 0) & (F.get("s", F.greatest(j - 1, F.lit(0))).h == F.get("s", j).h)) | ((j < last) & (F.get("s", F.least(j + 1, last)).h == F.get("s", j).h)),
-    )
-    places = F.array_sort(F.transform(near, lambda j: F.get("s", j).i))
+    df = df.withColumn("s", once(F.when(again, F.sort_array(F.transform(h, lambda x, i: F.struct(x.alias("h"), i.alias("i")))))))
+    # Equal windows are neighbours in hash order; places of both come out sorted and distinct.
+    m = F.size("s") - 1
+    near = F.zip_with(F.slice("s", 1, m), F.slice("s", 2, m), lambda a, b: F.when(a.h == b.h, F.array(a.i, b.i)).otherwise(F.array().cast("array<int>")))
+    places = F.array_sort(F.array_distinct(F.flatten(near)))
     repeat = F.when(F.col("s").isNull(), F.lit(0)).otherwise(covered_words(places, lambda x: x, lambda x: F.lit(WINDOW)))
     bad = F.filter("lines", line_fails)
     df = df.withColumn("bad_chars", F.char_length(F.regexp_replace(F.array_join(bad, "\n"), _SPACE, "")))

@@ -23,7 +23,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from navspark.llm.common import az_lower, checked, drop, same_row, scratch, text_key, written
+from navspark.llm.common import az_lower, checked, drop, once, same_row, scratch, text_key, written
 
 MIN_CHARS = 10
 BATCHES = 4  #: batches into which one table is cut
@@ -113,7 +113,7 @@ def without_repeated_lines(docs: DataFrame, batches: int = BATCHES, min_chars: i
     keyed = docs.withColumn("row_key", text_key(F.col("text").cast("string")))
     cols = [keyed[c] for c in docs.columns if c not in ("text", "n_lines", "n_dropped")]
     j = keyed.join(checked(gone, 48, "gone"), same_row(keyed, gone), "left").select(
-        *cols, keyed.text.cast("string").alias("text"), gone.gone, F.split(F.coalesce(keyed.text.cast("string"), F.lit("")), "\n", -1).alias("lines")
+        *cols, keyed.text.cast("string").alias("text"), gone.gone, once(F.split(F.coalesce(keyed.text.cast("string"), F.lit("")), "\n", -1)).alias("lines")
     )
     keep = F.array_except(F.sequence(F.lit(0), F.size("lines") - 1), F.col("gone"))
     rest = F.array_join(F.transform(keep, lambda i: F.get("lines", i)), "\n")

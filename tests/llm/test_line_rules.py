@@ -29,3 +29,13 @@ def test_cleaned_text_and_empty(spark):
     got = [r.text for r in R.cleaned(df).collect()]
     assert got == ["This is a clean sentence with many words in it.\nAnd another sentence which is long enough to keep it all."] * 2
     assert R.op6_result(df.limit(0)).count() == 0
+
+
+def test_a_later_filter_stays_linear(spark):
+    """A filter on the verdict must not copy captured arrays into lambdas, which would take hours here."""
+    import time
+
+    data = docs([(i, " ".join(f"w{j % 500}" for j in range(40_000))) for i in range(4)])
+    t = time.time()
+    assert R.op6_result(spark.createDataFrame(data, DOC_DDL)).where("not kept and not base_failed").count() == 0
+    assert time.time() - t < 60
