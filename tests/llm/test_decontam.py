@@ -19,7 +19,7 @@ def sample():
             at = rnd.randrange(len(w) + 1)
             w[at:at] = (rnd.choice(items)[1] or "").split()
         out.append((i, rnd.choice([" ", ", ", "\n-"]).join(w)))
-    return docs([*out, (70, None), (71, ""), (72, "??"), (73, items[2][1].upper()), (74, (items[3][1] + " ") * 2000)]), items
+    return docs([*out, (70, None), (71, ""), (72, "??"), (73, items[2][1].upper()), (74, (items[3][1] + " ") * 100)]), items
 
 
 def test_equals_sql(spark):
