@@ -34,11 +34,12 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from navspark.llm.common import written
+from navspark.llm.common import checked, written
 
 SAMPLE = 1 << 15  #: fingerprints from which the driver builds the routing trees (bounded)
 SHARD = 50_000  #: fingerprints aimed at in a shard
 CHUNK = 200_000  #: most fingerprints of one shard that a task holds at a time
+SET_CHUNK = 5_000  #: members whose shingle sets a task holds at a time
 SLICE = 1 << 20  #: bytes of a text split into words at a time
 
 _XX = partial(xxhash.xxh64_intdigest, seed=42)
@@ -101,11 +102,16 @@ def fingerprint(text: str | None, k: int = 3, bits: int = 64, distinct: bool = F
     if distinct and parts:
         parts = [np.unique(np.concatenate(parts))]
     n = sum(map(len, parts))
+    return vote(parts, n, bits), n
+
+
+def vote(parts: list[np.ndarray], n: int, bits: int) -> bytes:
+    """The fingerprint of n shingle hashes that come in parts."""
     votes = np.zeros(bits)
     with np.errstate(over="ignore"):
         for h in parts:
             votes += np.concatenate([_votes(_mixed(h, w)) for w in range(bits // 64)])
-    return np.packbits(2 * votes > n).tobytes(), n
+    return np.packbits(2 * votes > n).tobytes()
 
 
 def fingerprints(docs: DataFrame, k: int = 3, bits: int = 64, distinct: bool = False) -> DataFrame:
@@ -248,6 +254,27 @@ def linked_groups(fp: np.ndarray, data: np.ndarray, query: np.ndarray, j: int, b
     return groups.up
 
 
+def _grid(rows: DataFrame, *keep: str) -> DataFrame:
+    """Deals a shard of several chunks to a grid of cells, chunks of data by chunks of queries.
+
+    x is a row's chunk: it is a query in a row of cells and, if at home, data in a column.
+    """
+    every = F.sequence(F.lit(0), F.col("chunks") - 1)
+    cells = F.concat(
+        F.transform(every, lambda c: c * F.col("chunks") + F.col("x")),
+        F.when(F.col("home"), F.transform(every, lambda c: F.col("x") * F.col("chunks") + c)).otherwise(F.array().cast("array<int>")),
+    )
+    dealt = rows.withColumn("x", F.pmod(F.xxhash64("fp"), F.col("chunks")).cast("int")).withColumn("cell", F.explode(F.array_distinct(cells)))
+    return dealt.select(
+        "shard",
+        "cell",
+        "fp",
+        (F.col("home") & (F.floor(F.col("cell") / F.col("chunks")) == F.col("x"))).alias("data"),
+        (F.col("cell") % F.col("chunks") == F.col("x")).alias("query"),
+        *keep,
+    )
+
+
 def fingerprint_edges(distinct: DataFrame, bits: int, radius: int, blocks: int, band: str | None = None, leaf: int = 512) -> DataFrame:
     """Spanning edges (a, b) of fingerprints within ``radius`` bits of each other.
 
@@ -288,21 +315,7 @@ def fingerprint_edges(distinct: DataFrame, bits: int, radius: int, blocks: int,
     sizes = distinct.select(*cols).mapInArrow(route, "fp binary, shard long, home boolean").where("home").groupBy("shard").count()
     # Shards are bounded in number (trees of at most 2**10 leaves, bands of a logarithm), so is this table.
     chunks = sizes.select("shard", F.ceil(F.col("count") / CHUNK).cast("int").alias("chunks"))
-    # A large shard becomes a grid of chunks of data by chunks of queries; x is a row's chunk.
-    x = F.pmod(F.xxhash64("fp"), F.col("chunks")).cast("int")
-    every = F.sequence(F.lit(0), F.col("chunks") - 1)
-    cells = F.concat(
-        F.transform(every, lambda c: c * F.col("chunks") + F.col("x")),
-        F.when(F.col("home"), F.transform(every, lambda c: F.col("x") * F.col("chunks") + c)).otherwise(F.array().cast("array<int>")),
-    )
-    dealt = routed.join(F.broadcast(chunks), "shard").withColumn("x", x).withColumn("cell", F.explode(F.array_distinct(cells)))
-    dealt = dealt.select(
-        "shard",
-        "cell",
-        "fp",
-        (F.col("home") & (F.floor(F.col("cell") / F.col("chunks")) == F.col("x"))).alias("data"),
-        (F.col("cell") % F.col("chunks") == F.col("x")).alias("query"),
-    )
+    dealt = _grid(routed.join(F.broadcast(chunks), "shard"))
 
     def search(key: tuple[pa.Scalar, ...], t: pa.Table) -> pa.Table:
         t = t.combine_chunks()
@@ -343,14 +356,90 @@ def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     )
 
 
+def jaccard(a: np.ndarray, b: np.ndarray) -> float:
+    """Similarity of two sorted arrays without repeats."""
+    both = len(np.intersect1d(a, b, assume_unique=True))
+    return both / max(1, len(a) + len(b) - both)
+
+
+def linked_sets(fp: np.ndarray, sets: list[np.ndarray], data: np.ndarray, query: np.ndarray, radius: int, similarity: float) -> np.ndarray:
+    """Root row after linking rows whose sets are similar. Near fingerprints go first, and pairs
+    that are already together are passed over, so a large group of copies costs about one
+    comparison a member."""
+    groups = _Groups(len(fp))
+    step = max(1, (1 << 20) // max(1, len(data)))
+    for s in range(0, len(query), step):
+        rows = query[s : s + step]
+        apart = np.zeros((len(rows), len(data)), np.uint16)
+        for w in range(fp.shape[1]):
+            apart += np.bitwise_count(fp[rows, w][:, None] ^ fp[data, w][None, :])
+        a, b = np.nonzero(apart <= radius)
+        order = np.argsort(apart[a, b], kind="stable")
+        a, b = rows[a[order]], data[b[order]]
+        for t in range(0, len(a), 4096):
+            x, y = a[t : t + 4096], b[t : t + 4096]
+            open_ = groups.root(x) != groups.root(y)
+            for i, j in zip(x[open_].tolist(), y[open_].tolist(), strict=True):
+                p, q = int(groups.root(np.array([i]))[0]), int(groups.root(np.array([j]))[0])
+                if p != q and jaccard(sets[i], sets[j]) >= similarity:
+                    groups.up[max(p, q)] = min(p, q)
+    return groups.root(np.arange(len(fp)))
+
+
+def verified_edges(docs: DataFrame, distinct: DataFrame, loose: DataFrame, k: int, bits: int, radius: int, similarity: float) -> DataFrame:
+    """Edges (a, b) between fingerprints of one loose component whose shingle sets are similar.
+
+    Only members of a component with company are read again. Small components share a shard;
+    one of more than ``SET_CHUNK`` members becomes a grid of cells, as large shards do.
+    """
+    members = written(distinct.where("rep is not null").join(loose, F.col("fp") == F.col("node")).select("fp", "rep", "root"), "members")
+    sizes = members.groupBy("root").agg(F.ceil(F.count("*") / SET_CHUNK).cast("int").alias("chunks")).where("chunks > 1")  # at most n / SET_CHUNK rows
+    shards = max(1, members.count() // SET_CHUNK)
+    m = members.join(checked(sizes, 96), "root", "left").withColumn("chunks", F.coalesce("chunks", F.lit(1)))
+    m = m.withColumn("shard", F.when(F.col("chunks") > 1, F.xxhash64("root")).otherwise(F.pmod(F.xxhash64("root"), F.lit(shards))))
+    some = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    rows = some.join(checked(m, 160), F.col("doc_id") == F.col("rep")).select("fp", "root", "shard", "chunks", "text")
+
+    def run(batches):
+        for b in batches:
+            sets, keep = [], []
+            for i, (want, text) in enumerate(zip(b.column("fp"), b.column("text"), strict=True)):
+                parts = list(shingle_hashes(text.as_py(), k))
+                one = np.unique(np.concatenate(parts)) if parts else np.zeros(0, np.uint64)
+                if vote([one], len(one), bits) == want.as_py():  # else another text of the same id
+                    sets.append(one.tobytes())
+                    keep.append(i)
+            at = pa.array(keep, pa.int64())
+            yield pa.RecordBatch.from_arrays([*(b.column(c).take(at) for c in ("fp", "root", "shard", "chunks")), pa.array(sets, pa.binary())], ["fp", "root", "shard", "chunks", "sets"])
+
+    sets = rows.mapInArrow(run, "fp binary, root binary, shard long, chunks int, sets binary").withColumn("home", F.lit(True))
+
+    def search(key: tuple[pa.Scalar, ...], t: pa.Table) -> pa.Table:
+        t = t.combine_chunks().sort_by([("root", "ascending"), ("fp", "ascending")])
+        fp, bags = _matrix(t.column("fp"), bits), [np.frombuffer(x, np.uint64) for x in t.column("sets").to_pylist()]
+        data, query = (t.column(c).to_numpy(zero_copy_only=False) for c in ("data", "query"))
+        names, first = np.unique(np.array(t.column("root").to_pylist(), dtype=object), return_index=True)
+        root = np.arange(len(fp))
+        for a, b in zip(first, [*first[1:], len(fp)], strict=True):
+            got = linked_sets(fp[a:b], bags[a:b], np.flatnonzero(data[a:b]), np.flatnonzero(query[a:b]), radius, similarity)
+            root[a:b] = a + got
+        at = np.flatnonzero(root != np.arange(len(fp)))
+        return pa.table({"a": t.column("fp").take(pa.array(at)), "b": t.column("fp").take(pa.array(root[at]))})
+
+    out = _grid(sets, "root", "sets").groupBy("shard", "cell").applyInArrow(search, "a binary, b binary")
+    return out.where(F.col("a") != F.col("b")).distinct()
+
+
 def near_duplicates(
     docs: DataFrame, k: int = 3, bits: int = 64, radius: int = 3, blocks: int = 2, ratio: float | None = None, leaf: int = 512
 ) -> DataFrame:
     """(doc_id, fp, component_id) for each row; component_id is the smallest doc_id reachable.
 
-    ``ratio``: shingles count once, and only fingerprints whose shingle counts differ by at
-    most that factor can link (what a Jaccard similarity of ``ratio`` implies), which shards
-    them by band before the tree does.
+    ``ratio``: links are pairs of a Jaccard similarity of ``ratio`` or more over distinct
+    shingles. Only fingerprints whose shingle counts differ by at most that factor are compared,
+    which shards them by band before the tree does; pairs within ``radius``, which should be wide
+    enough to miss none, are candidates, and their shingle sets decide. Texts of rows with a
+    null doc_id can't be found again, so in this mode those link to exact copies only.
     """
     by_band = ratio is not None
     fps = written(fingerprints(docs, k, bits, distinct=by_band), "fingerprints")
@@ -358,6 +447,8 @@ def near_duplicates(
     keyed = fps.select("doc_id", "fp", band.cast("long").alias("band"))
     distinct = written(keyed.groupBy("fp").agg(F.min("doc_id").alias("rep"), F.min("band").alias("band")), "distinct")
     linked = components(fingerprint_edges(distinct, bits, radius, blocks, "band" if by_band else None, leaf))
+    if by_band:
+        linked = components(verified_edges(docs, distinct, linked, k, bits, radius, ratio))
     own = distinct.join(linked, distinct.fp == linked.node, "left").select("fp", "rep", F.coalesce("root", "fp").alias("root"))
     best = own.groupBy("root").agg(F.min("rep").alias("component_id"))
     named = written(own.join(best, "root").select("fp", "component_id"), "named")

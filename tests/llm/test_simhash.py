@@ -86,3 +86,36 @@ def test_grid_of_chunks_keeps_links(spark, monkeypatch):
     monkeypatch.setattr(S, "CHUNK", 10)
     got = sorted((r.doc_id, r.fingerprint, r.component_id) for r in S.op8_result(spark.createDataFrame(rows, "doc_id long, text string")).collect())
     assert got == brute(rows)
+
+
+def test_verified_links_are_the_similar_pairs(spark, monkeypatch):
+    rnd = random.Random(12)
+    texts = []
+    for _ in range(12):
+        base = [f"v{rnd.randrange(400)}" for _ in range(rnd.choice([30, 120, 250]))]
+        texts.append(base)
+        for n in (1, 2, 4, 8, 16):
+            copy = list(base)
+            for _ in range(n):
+                copy[rnd.randrange(len(copy))] = f"x{rnd.randrange(10**6)}"
+            texts += [copy, list(copy)] if n == 2 else [copy]
+    rows = [(i, " ".join(t)) for i, t in enumerate(texts)] + [(900, ""), (901, None), (902, "one two")]
+    sets = [{tuple(t.split()[i : i + 5]) for i in range(max(1, len(t.split()) - 4))} if t else set() for _, t in rows]
+    up = list(range(len(rows)))
+
+    def find(i):
+        while up[i] != i:
+            i = up[i]
+        return i
+
+    for i in range(len(rows)):
+        for j in range(i):
+            if (not sets[i] and not sets[j]) or (sets[i] | sets[j] and len(sets[i] & sets[j]) / len(sets[i] | sets[j]) >= 0.8):
+                a, b = find(i), find(j)
+                up[max(a, b)] = min(a, b)
+    want = [(r[0], rows[find(i)][0]) for i, r in enumerate(rows)]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    for chunk in (5000, 7):
+        monkeypatch.setattr(S, "SET_CHUNK", chunk)
+        got = sorted((r.doc_id, r.component_id) for r in S.near_duplicates(df, 5, 256, 60, 1, 0.8, leaf=64).collect())
+        assert got == want
