@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from navspark.functions import geometry as G
 from navspark.functions import pointing as P
 from navspark.functions.core import PI, r6, r6_sql, uniform01_sql
+from navspark.operators import annotate as A
 from navspark.operators import episodes as E
 from navspark.operators import history as H
 from navspark.operators import instruct as N
@@ -117,20 +118,18 @@ def point_encodings(spark, sf):
     return cell.unionByName(xy)
 
 
-@query("point_annotate_next")
-def point_annotate_next(spark, sf):
+@query("point_annotate")
+def point_annotate(spark, sf):
     """Dual labels by projection: the next waypoint of the executed path, and the goal, seen from each pose."""
-    from pyspark.sql import Window as W
-
-    by = W.partitionBy("episode_id").orderBy("i")
-    p = C.v_path(spark, sf)
-    nx, ny = F.lead("x").over(by), F.lead("y").over(by)
-    yaw = F.coalesce(F.atan2(ny - F.col("y"), nx - F.col("x")), F.lit(0.0))
-    p = p.withColumns({"nx": nx, "ny": ny}).withColumn("yaw", yaw)
-    a = P.project_point("nx", "ny", F.lit(0.0), "x", "y", "yaw")
-    o = P.project_point("gx", "gy", F.lit(1.0), "x", "y", "yaw")
-    p = p.withColumns({"a": a, "o": o})
-    return p.select("episode_id", "i", P.affordance_index("a.u", "a.v", None, F.col("nx").isNull()).alias("apos"), P.object_index("o.u", "o.v").alias("opos"))
+    return A.annotate_dual(C.v_path(spark, sf)).select("episode_id", "i", "apos", "opos")
+
+
+@query(
+    "point_supervision",
+    f"SELECT response, count(*) AS n FROM (SELECT '<opos_' || coalesce({_CELL}, 258) || '>' AS response FROM v_views) GROUP BY response",
+)
+def point_supervision(spark, sf):
+    return A.point_supervision(C.v_views(spark, sf)).groupBy("response").agg(F.count("*").alias("n"))
 
 
 # --- quantiser ---------------------------------------------------------------------------

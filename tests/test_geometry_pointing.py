@@ -100,3 +100,15 @@ def test_uniform_is_the_md5(spark):
 
     r = one(spark, u=core.uniform01(F.lit(17), F.lit("x"), salt="s")).u
     assert r == int(hashlib.md5(b"s|17|x").hexdigest()[:8], 16) / 2**32
+
+
+def test_annotation_of_a_straight_walk(spark):
+    from navspark.operators import annotate as A
+
+    df = spark.createDataFrame([(1, i, float(i), 0.0, 3.0, 1.0) for i in range(3)], "episode_id long, i int, x double, y double, gx double, gy double")
+    r = A.annotate_dual(df).orderBy("i").collect()
+    assert [(x.nx, x.ny) for x in r] == [(1.0, 0.0), (2.0, 0.0), (None, None)]
+    assert r[2].apos == P.reserved("stop") and all(x.opos < 256 for x in r[:2])
+    assert [x.nx for x in A.affordance_target(df, 2).orderBy("i").collect()] == [2.0, 2.0, None]
+    s = A.point_stats(df.withColumn("idx", P.grid_index(F.lit(0.5), F.lit(0.5))).withColumns({"u": F.lit(0.5), "v": F.lit(0.5), "t": F.lit(0)}), truth="t").first()
+    assert s.n == 3 and s.token_error == 1.0 and s.mean_err < 0.05
