@@ -295,7 +295,8 @@ def labelled_rows(n: int = 600, seed: int = 11) -> list[tuple[str, list[tuple[st
         return ".".join(str(rnd.randint(0, 255)) for _ in range(4))
 
     def card():
-        d = num(rnd.choice([13, 15, 16, 16, 16, 19]))
+        d = num(rnd.choice([12, 14, 15, 15, 15, 18]))
+        d += next(c for c in "0123456789" if luhn(d + c))
         return rnd.choice([d, d, d, " ".join(d[i : i + 4] for i in range(0, len(d), 4)), "-".join(d[i : i + 4] for i in range(0, len(d), 4))])
 
     def phone():
@@ -365,6 +366,26 @@ def _cut(text: str, kind: str, a: int, b: int) -> tuple[int, int]:
     return a, b
 
 
+def _confirmed(text: str, kind: str, a: int, b: int) -> tuple[int, int] | None:
+    """The span if its digits bear its kind out: a card number's check digit, an address's parts,
+    a phone number's length (a number that runs on gives up its last groups)."""
+    while a < b:
+        value = text[a:b]
+        n = len(d := _digits(value))
+        if kind == "card":
+            return (a, b) if 13 <= n <= 19 and luhn(d) else None
+        if kind == "ip":
+            parts = value.split(".")
+            return (a, b) if len(parts) == 4 and all(p.isdecimal() and len(p) <= 3 and int(p) <= 255 for p in parts) else None
+        if kind != "phone" or 7 <= n <= 15:
+            return a, b
+        cut = max(value.rfind(" "), value.rfind("\n"), value.rfind("\t"))
+        if n < 7 or cut < 0:
+            return None
+        a, b = _cut(text, kind, a, a + cut)
+    return None
+
+
 def added_spans(text: str, field: Field) -> list[tuple[str, int, int]]:
     out = []
     at = 0
@@ -379,9 +400,9 @@ def added_spans(text: str, field: Field) -> list[tuple[str, int, int]]:
             for i, j in zip(cut[:-1].tolist(), cut[1:].tolist(), strict=True):
                 if labels[i]:
                     kind = LABELS[labels[i]]
-                    a, b = _cut(text, kind, at + int(begin[i]), at + int(end[j - 1]))
-                    if a < b:
-                        out.append((kind, a, b))
+                    span = _confirmed(text, kind, *_cut(text, kind, at + int(begin[i]), at + int(end[j - 1])))
+                    if span:
+                        out.append((kind, *span))
         at = stop
     return out
 

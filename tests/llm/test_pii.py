@@ -71,6 +71,13 @@ def test_finds_held_out_and_leaves_prose_alone(field):
     assert P.all_spans('the token = "04dbebab91ab85687d33eeaaf9ac699e1188f962" in it', field)[1] == [("secret", 13, 53)]
 
 
+def test_digits_must_bear_the_kind_out(field):
+    found = lambda t: P.all_spans(t, field)[1]
+    assert found("the number 9807915762804490 is no card") == []
+    assert [s[0] for s in found("the card 4111 1111 1111 1111 is one")] == ["card"]
+    assert found("call +1 (826) 555-4081 190.137.223 today")[0] == ("phone", 5, 22)
+
+
 def test_query(spark, field):
     data = docs([(1, None), (2, ""), (3, "Äö x@y.com and +1 (017) 555-7713, 4111 1111 1111 1111 10.0.0.1"), (3, "x"), (None, "plain"), (4, "word " * 600_000 + "me@example.org")])
     df = spark.createDataFrame(data, DOC_DDL).withColumnRenamed("lang", "spans")
