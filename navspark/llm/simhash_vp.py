@@ -39,7 +39,7 @@ from navspark.llm.common import checked, written
 SAMPLE = 1 << 15  #: fingerprints from which the driver builds the routing trees (bounded)
 SHARD = 50_000  #: fingerprints aimed at in a shard
 CHUNK = 200_000  #: most fingerprints of one shard that a task holds at a time
-SET_CHUNK = 5_000  #: members whose shingle sets a task holds at a time
+SET_CHUNK = 2_000  #: members whose shingle sets a task holds at a time
 SLICE = 1 << 20  #: bytes of a text split into words at a time
 
 _XX = partial(xxhash.xxh64_intdigest, seed=42)
@@ -254,7 +254,7 @@ def linked_groups(fp: np.ndarray, data: np.ndarray, query: np.ndarray, j: int, b
     return groups.up
 
 
-def _grid(rows: DataFrame, *keep: str) -> DataFrame:
+def _grid(rows: DataFrame, *keep: str, where=None) -> DataFrame:
     """Deals a shard of several chunks to a grid of cells, chunks of data by chunks of queries.
 
     x is a row's chunk: it is a query in a row of cells and, if at home, data in a column.
@@ -265,6 +265,7 @@ def _grid(rows: DataFrame, *keep: str) -> DataFrame:
         F.when(F.col("home"), F.transform(every, lambda c: F.col("x") * F.col("chunks") + c)).otherwise(F.array().cast("array<int>")),
     )
     dealt = rows.withColumn("x", F.pmod(F.xxhash64("fp"), F.col("chunks")).cast("int")).withColumn("cell", F.explode(F.array_distinct(cells)))
+    dealt = dealt if where is None else dealt.where(where)
     return dealt.select(
         "shard",
         "cell",
@@ -356,34 +357,53 @@ def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     )
 
 
-def jaccard(a: np.ndarray, b: np.ndarray) -> float:
-    """Similarity of two sorted arrays without repeats."""
-    both = len(np.intersect1d(a, b, assume_unique=True))
-    return both / max(1, len(a) + len(b) - both)
+class Sets:
+    """Sets of hashes as dense numbers, to compare one with many at once."""
+
+    def __init__(self, sets: list[np.ndarray]):
+        self.size = np.array([len(x) for x in sets], np.int64)
+        self.first = np.cumsum(self.size) - self.size
+        every, self.ids = np.unique(np.concatenate([*sets, np.zeros(0, np.uint64)]), return_inverse=True)
+        self.mark = np.zeros(len(every), np.int64)
+
+    def jaccard(self, i: int, others: np.ndarray) -> np.ndarray:
+        """Exact similarity of set i with each of the others."""
+        own = self.ids[self.first[i] : self.first[i] + self.size[i]]
+        size = self.size[others]
+        ends = np.cumsum(size)
+        at = np.repeat(self.first[others] - (ends - size), size) + np.arange(ends[-1])
+        self.mark[own] = 1
+        hits = np.concatenate([[0], np.cumsum(self.mark[self.ids[at]])])
+        self.mark[own] = 0
+        both = hits[ends] - hits[ends - size]
+        return both / np.maximum(1, size + len(own) - both)
 
 
 def linked_sets(fp: np.ndarray, sets: list[np.ndarray], data: np.ndarray, query: np.ndarray, radius: int, similarity: float) -> np.ndarray:
-    """Root row after linking rows whose sets are similar. Near fingerprints go first, and pairs
-    that are already together are passed over, so a large group of copies costs about one
-    comparison a member."""
-    groups = _Groups(len(fp))
+    """Root row after linking rows whose sets are similar. Near fingerprints go first, ring by ring,
+    and pairs that are already together are passed over, so a large group of copies costs few
+    comparisons a member."""
+    groups, bags = _Groups(len(fp)), Sets(sets)
     step = max(1, (1 << 20) // max(1, len(data)))
-    for s in range(0, len(query), step):
-        rows = query[s : s + step]
-        apart = np.zeros((len(rows), len(data)), np.uint16)
-        for w in range(fp.shape[1]):
-            apart += np.bitwise_count(fp[rows, w][:, None] ^ fp[data, w][None, :])
-        a, b = np.nonzero(apart <= radius)
-        order = np.argsort(apart[a, b], kind="stable")
-        a, b = rows[a[order]], data[b[order]]
-        for t in range(0, len(a), 4096):
-            x, y = a[t : t + 4096], b[t : t + 4096]
-            open_ = groups.root(x) != groups.root(y)
-            for i, j in zip(x[open_].tolist(), y[open_].tolist(), strict=True):
-                p, q = int(groups.root(np.array([i]))[0]), int(groups.root(np.array([j]))[0])
-                if p != q and jaccard(sets[i], sets[j]) >= similarity:
-                    groups.up[max(p, q)] = min(p, q)
-    return groups.root(np.arange(len(fp)))
+    is_data, is_query = np.zeros(len(fp), bool), np.zeros(len(fp), bool)
+    is_data[data], is_query[query] = True, True
+    far = [-1, *(radius * i // 8 for i in range(4, 9))]
+    for low, high in zip(far, far[1:], strict=False):
+        for s in range(0, len(query), step):
+            rows = query[s : s + step]
+            apart = np.zeros((len(rows), len(data)), np.uint16)
+            for w in range(fp.shape[1]):
+                apart += np.bitwise_count(fp[rows, w][:, None] ^ fp[data, w][None, :])
+            open_ = (apart <= high) & (apart > low) if low >= 0 else apart <= high
+            open_ &= groups.up[rows][:, None] != groups.up[data][None, :]
+            open_ &= (data[None, :] > rows[:, None]) | ~is_data[rows][:, None] | ~is_query[data][None, :]  # each pair once
+            for r in np.flatnonzero(open_.any(1)).tolist():
+                i, near = int(rows[r]), data[open_[r]]
+                near = near[groups.up[near] != groups.up[i]]
+                if len(near):
+                    linked = near[bags.jaccard(i, near) >= similarity]
+                    groups.join(np.full(len(linked), i), linked)
+    return groups.up
 
 
 def verified_edges(docs: DataFrame, distinct: DataFrame, loose: DataFrame, k: int, bits: int, radius: int, similarity: float) -> DataFrame:
@@ -426,7 +446,8 @@ def verified_edges(docs: DataFrame, distinct: DataFrame, loose: DataFrame, k: in
         at = np.flatnonzero(root != np.arange(len(fp)))
         return pa.table({"a": t.column("fp").take(pa.array(at)), "b": t.column("fp").take(pa.array(root[at]))})
 
-    out = _grid(sets, "root", "sets").groupBy("shard", "cell").applyInArrow(search, "a binary, b binary")
+    upper = F.floor(F.col("cell") / F.col("chunks")) <= F.col("cell") % F.col("chunks")  # all rows are data: half the grid has every pair
+    out = _grid(sets, "root", "sets", where=upper).groupBy("shard", "cell").applyInArrow(search, "a binary, b binary")
     return out.where(F.col("a") != F.col("b")).distinct()
 
 

@@ -94,7 +94,7 @@ def test_verified_links_are_the_similar_pairs(spark, monkeypatch):
     for _ in range(12):
         base = [f"v{rnd.randrange(400)}" for _ in range(rnd.choice([30, 120, 250]))]
         texts.append(base)
-        for n in (1, 2, 4, 8, 16):
+        for n in (1, 2, 3, 4, 8, 16):
             copy = list(base)
             for _ in range(n):
                 copy[rnd.randrange(len(copy))] = f"x{rnd.randrange(10**6)}"
@@ -115,7 +115,7 @@ def test_verified_links_are_the_similar_pairs(spark, monkeypatch):
                 up[max(a, b)] = min(a, b)
     want = [(r[0], rows[find(i)][0]) for i, r in enumerate(rows)]
     df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
-    for chunk in (5000, 7):
+    for chunk in (2000, 7):
         monkeypatch.setattr(S, "SET_CHUNK", chunk)
-        got = sorted((r.doc_id, r.component_id) for r in S.near_duplicates(df, 5, 256, 60, 1, 0.8, leaf=64).collect())
+        got = sorted((r.doc_id, r.component_id) for r in S.near_duplicates(df, 5, 512, 110, 1, 0.8, leaf=64).collect())
         assert got == want
