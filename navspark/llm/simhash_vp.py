@@ -276,18 +276,16 @@ def _grid(rows: DataFrame, *keep: str, where=None) -> DataFrame:
     )
 
 
-def fingerprint_edges(distinct: DataFrame, bits: int, radius: int, blocks: int, band: str | None = None, leaf: int = 512) -> DataFrame:
+def fingerprint_edges(distinct: DataFrame, bits: int, radius: int, blocks: int, leaf: int = 512) -> DataFrame:
     """Spanning edges (a, b) of fingerprints within ``radius`` bits of each other.
 
-    ``distinct`` is a written table with column fp and, if ``band`` names it, an integer
-    column: fingerprints link only if their bands differ by one at most.
+    ``distinct`` is a written table with column fp.
     """
-    spark = distinct.sparkSession
     n = distinct.count()
     depth = max(0, min(10, int(np.ceil(np.log2(max(1, n) / SHARD)))))
     sample = (
         _matrix(pa.array([bytes(r[0]) for r in distinct.select("fp").orderBy(F.xxhash64("fp"), "fp").limit(SAMPLE).collect()], pa.binary()), bits)
-        if depth and not band
+        if depth
         else np.zeros((0, bits // 64), np.uint64)
     )
     trees = [VantageTree(_block(sample, j, blocks), 1, depth) for j in range(blocks)]
@@ -296,25 +294,16 @@ def fingerprint_edges(distinct: DataFrame, bits: int, radius: int, blocks: int,
     def route(batches):
         for b in batches:
             fp = _matrix(b.column("fp"), bits)
-            bands = b.column("band").to_numpy(zero_copy_only=False) if band else None
             for j in range(blocks):
                 at, leaf_no, home = trees[j].visit(_block(fp, j, blocks), inner)
                 key = leaf_no * blocks + j
-                if band:  # the lower band visits the upper one
-                    key = key + blocks * trees[j].leaves * bands[at]
-                    at, key, home = (
-                        np.concatenate([at, at]),
-                        np.concatenate([key, key + blocks * trees[j].leaves]),
-                        np.concatenate([home, np.zeros(len(at), bool)]),
-                    )
                 yield pa.RecordBatch.from_arrays(
                     [b.column("fp").take(pa.array(at)), pa.array(key.astype(np.int64)), pa.array(home)], ["fp", "shard", "home"]
                 )
 
-    cols = [F.col("fp")] + ([F.col(band).cast("long").alias("band")] if band else [])
-    routed = distinct.select(*cols).mapInArrow(route, "fp binary, shard long, home boolean")
-    sizes = distinct.select(*cols).mapInArrow(route, "fp binary, shard long, home boolean").where("home").groupBy("shard").count()
-    # Shards are bounded in number (trees of at most 2**10 leaves, bands of a logarithm), so is this table.
+    routed = distinct.select("fp").mapInArrow(route, "fp binary, shard long, home boolean")
+    sizes = routed.where("home").groupBy("shard").count()
+    # Shards are bounded in number (trees of at most 2**10 leaves), so is this table.
     chunks = sizes.select("shard", F.ceil(F.col("count") / CHUNK).cast("int").alias("chunks"))
     dealt = _grid(routed.join(F.broadcast(chunks), "shard"))
 
@@ -357,6 +346,72 @@ def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     )
 
 
+def size_band(n: int, similarity: float) -> tuple[int, int, int]:
+    """Number and largest sizes of the band of n and of the next one: similar sets lie at most one band apart."""
+    j, low = 0, 1
+    while (high := int(low / similarity + 1e-9)) < n:
+        j, low = j + 1, high + 1
+    return j, high, int((high + 1) / similarity + 1e-9)
+
+
+def signatures(ids: np.ndarray, similarity: float) -> np.ndarray:
+    """Hashes of which any two different sets of ``similarity`` or more have one in common, surely.
+
+    ``ids``: the distinct hashes of a set. Similar sets of at most ``most`` elements differ in ``apart`` elements at
+    most. Elements are dealt to parts by hash; at most ``apart`` parts differ, so the first ``apart + 1`` parts
+    that are not empty, in any order common to both sets, can't all differ (large parts go first, as few
+    other sets have them). A set with fewer parts than that gives its first elements besides: the pair would
+    be lost only where both sets have too few, and then these meet. A set signs for its own size
+    band and the next, so that it meets its neighbours in both.
+    """
+    n = len(ids)
+    if not n:
+        return ids
+    band, *largest = size_band(n, similarity)
+    out = []
+    with np.errstate(over="ignore"):
+        for key, most in enumerate(largest, band):
+            apart = int((1 - similarity) / (1 + similarity) * 2 * most + 1e-9)
+            if not apart:  # similar sets of this size are equal
+                continue
+            parts = np.uint64(-(-13 * (apart + 1) // 10))
+            mixed = _mixed(ids, 64 + key)
+            part = (mixed >> np.uint64(32)) % parts
+            order = np.argsort(part, kind="stable")
+            first = np.flatnonzero(np.diff(part[order], prepend=parts))
+            sums = _mixed(np.add.reduceat(mixed[order], first) + part[order][first], 1)
+            if len(first) > apart:
+                size = np.diff(first, append=n)
+                sums = sums[np.lexsort((sums, -size))[: apart + 1]]
+            else:
+                few = n - int(np.ceil(similarity * n - 1e-9)) + 1
+                out.append(_mixed(np.sort(mixed)[:few], 2))
+            out.append(sums)
+    return np.concatenate([ids[:0], *out])
+
+
+def signature_edges(docs: DataFrame, k: int, bits: int, similarity: float) -> DataFrame:
+    """Edges (a, b) that join any two fingerprints, by their xxhash64, whose shingle sets share a signature.
+
+    Rows of one signature form a star, never all pairs.
+    """
+
+    def run(batches):
+        for b in batches:
+            ids, got = [], []
+            for text in b.column("text"):
+                parts = list(shingle_hashes(text.as_py(), k))
+                one = np.unique(np.concatenate(parts)) if parts else np.zeros(0, np.uint64)
+                ids.append(vote([one], len(one), bits))
+                got.append(signatures(one, similarity).view(np.int64))
+            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.binary()), pa.array(got, pa.list_(pa.int64()))], ["fp", "signs"])
+
+    signs = written(docs.select(F.col("text").cast("string").alias("text")).mapInArrow(run, "fp binary, signs array<long>").select(F.xxhash64("fp").alias("node"), "signs"), "signatures")
+    flat = signs.select("node", F.explode("signs").alias("sign"))
+    met = written(flat.groupBy("sign").agg(F.min("node").alias("b"), F.max("node").alias("top")).where("b <> top").select("sign", "b"), "met")
+    return flat.join(checked(met, 16), "sign").where("node <> b").select(F.col("node").alias("a"), "b").distinct()
+
+
 class Sets:
     """Sets of hashes as dense numbers, to compare one with many at once."""
 
@@ -380,14 +435,15 @@ class Sets:
 
 
 def linked_sets(fp: np.ndarray, sets: list[np.ndarray], data: np.ndarray, query: np.ndarray, radius: int, similarity: float) -> np.ndarray:
-    """Root row after linking rows whose sets are similar. Near fingerprints go first, ring by ring,
-    and pairs that are already together are passed over, so a large group of copies costs few
-    comparisons a member."""
+    """Root row after linking rows whose sets are similar. Near fingerprints go first, ring by ring up to
+    ``radius`` and then all others, and pairs that are already together are passed over, so a large group
+    of copies costs few comparisons a member."""
     groups, bags = _Groups(len(fp)), Sets(sets)
     step = max(1, (1 << 20) // max(1, len(data)))
     is_data, is_query = np.zeros(len(fp), bool), np.zeros(len(fp), bool)
     is_data[data], is_query[query] = True, True
-    far = [-1, *(radius * i // 8 for i in range(4, 9))]
+    far = [-1, *(radius * i // 8 for i in range(4, 9)), 64 * fp.shape[1]]
+    least = similarity * bags.size - 1e-9
     for low, high in zip(far, far[1:], strict=False):
         for s in range(0, len(query), step):
             rows = query[s : s + step]
@@ -396,6 +452,7 @@ def linked_sets(fp: np.ndarray, sets: list[np.ndarray], data: np.ndarray, query:
                 apart += np.bitwise_count(fp[rows, w][:, None] ^ fp[data, w][None, :])
             open_ = (apart <= high) & (apart > low) if low >= 0 else apart <= high
             open_ &= groups.up[rows][:, None] != groups.up[data][None, :]
+            open_ &= (bags.size[rows][:, None] >= least[data][None, :]) & (bags.size[data][None, :] >= least[rows][:, None])
             open_ &= (data[None, :] > rows[:, None]) | ~is_data[rows][:, None] | ~is_query[data][None, :]  # each pair once
             for r in np.flatnonzero(open_.any(1)).tolist():
                 i, near = int(rows[r]), data[open_[r]]
@@ -412,7 +469,7 @@ def verified_edges(docs: DataFrame, distinct: DataFrame, loose: DataFrame, k: in
     Only members of a component with company are read again. Small components share a shard;
     one of more than ``SET_CHUNK`` members becomes a grid of cells, as large shards do.
     """
-    members = written(distinct.where("rep is not null").join(loose, F.col("fp") == F.col("node")).select("fp", "rep", "root"), "members")
+    members = written(distinct.where("rep is not null").join(loose, F.xxhash64("fp") == F.col("node")).select("fp", "rep", "root"), "members")
     sizes = members.groupBy("root").agg(F.ceil(F.count("*") / SET_CHUNK).cast("int").alias("chunks")).where("chunks > 1")  # at most n / SET_CHUNK rows
     shards = max(1, members.count() // SET_CHUNK)
     m = members.join(checked(sizes, 96), "root", "left").withColumn("chunks", F.coalesce("chunks", F.lit(1)))
@@ -432,13 +489,13 @@ def verified_edges(docs: DataFrame, distinct: DataFrame, loose: DataFrame, k: in
             at = pa.array(keep, pa.int64())
             yield pa.RecordBatch.from_arrays([*(b.column(c).take(at) for c in ("fp", "root", "shard", "chunks")), pa.array(sets, pa.binary())], ["fp", "root", "shard", "chunks", "sets"])
 
-    sets = rows.mapInArrow(run, "fp binary, root binary, shard long, chunks int, sets binary").withColumn("home", F.lit(True))
+    sets = rows.mapInArrow(run, "fp binary, root long, shard long, chunks int, sets binary").withColumn("home", F.lit(True))
 
     def search(key: tuple[pa.Scalar, ...], t: pa.Table) -> pa.Table:
         t = t.combine_chunks().sort_by([("root", "ascending"), ("fp", "ascending")])
         fp, bags = _matrix(t.column("fp"), bits), [np.frombuffer(x, np.uint64) for x in t.column("sets").to_pylist()]
         data, query = (t.column(c).to_numpy(zero_copy_only=False) for c in ("data", "query"))
-        names, first = np.unique(np.array(t.column("root").to_pylist(), dtype=object), return_index=True)
+        _, first = np.unique(t.column("root").to_numpy(), return_index=True)
         root = np.arange(len(fp))
         for a, b in zip(first, [*first[1:], len(fp)], strict=True):
             got = linked_sets(fp[a:b], bags[a:b], np.flatnonzero(data[a:b]), np.flatnonzero(query[a:b]), radius, similarity)
@@ -457,23 +514,21 @@ def near_duplicates(
     """(doc_id, fp, component_id) for each row; component_id is the smallest doc_id reachable.
 
     ``ratio``: links are pairs of a Jaccard similarity of ``ratio`` or more over distinct
-    shingles. Only fingerprints whose shingle counts differ by at most that factor are compared,
-    which shards them by band before the tree does; pairs within ``radius``, which should be wide
-    enough to miss none, are candidates, and their shingle sets decide. Texts of rows with a
+    shingles. Candidates share a signature, which misses none (see ``signatures``), and their shingle
+    sets decide; ``radius`` only sets which fingerprints are compared first. Texts of rows with a
     null doc_id can't be found again, so in this mode those link to exact copies only.
     """
-    by_band = ratio is not None
-    fps = written(fingerprints(docs, k, bits, distinct=by_band), "fingerprints")
-    band = F.floor(F.log(F.greatest("n_shingles", F.lit(1)).cast("double")) / float(-np.log(ratio))) if by_band else F.lit(0)
-    keyed = fps.select("doc_id", "fp", band.cast("long").alias("band"))
-    distinct = written(keyed.groupBy("fp").agg(F.min("doc_id").alias("rep"), F.min("band").alias("band")), "distinct")
-    linked = components(fingerprint_edges(distinct, bits, radius, blocks, "band" if by_band else None, leaf))
-    if by_band:
-        linked = components(verified_edges(docs, distinct, linked, k, bits, radius, ratio))
+    by_sets = ratio is not None
+    fps = written(fingerprints(docs, k, bits, distinct=by_sets), "fingerprints")
+    distinct = written(fps.groupBy("fp").agg(F.min("doc_id").alias("rep")), "distinct")
+    if by_sets:
+        linked = components(verified_edges(docs, distinct, components(signature_edges(docs, k, bits, ratio)), k, bits, radius, ratio))
+    else:
+        linked = components(fingerprint_edges(distinct, bits, radius, blocks, leaf))
     own = distinct.join(linked, distinct.fp == linked.node, "left").select("fp", "rep", F.coalesce("root", "fp").alias("root"))
     best = own.groupBy("root").agg(F.min("rep").alias("component_id"))
     named = written(own.join(best, "root").select("fp", "component_id"), "named")
-    return keyed.select("doc_id", "fp").join(named, "fp")
+    return fps.select("doc_id", "fp").join(named, "fp")
 
 
 def op8_result(docs: DataFrame) -> DataFrame:

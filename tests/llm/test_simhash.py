@@ -1,5 +1,6 @@
 import random
 
+import corpus_pipeline as C
 import numpy as np
 import pytest
 import xxhash
@@ -119,3 +120,37 @@ def test_verified_links_are_the_similar_pairs(spark, monkeypatch):
         monkeypatch.setattr(S, "SET_CHUNK", chunk)
         got = sorted((r.doc_id, r.component_id) for r in S.near_duplicates(df, 5, 512, 110, 1, 0.8, leaf=64).collect())
         assert got == want
+
+
+def _short_pairs():
+    rnd, rows = random.Random(4), []
+    for i in range(400):
+        base = [f"t{i}v{j}" for j in range(rnd.randrange(6, 31) if i % 4 else 9)]
+        cut = rnd.choice([1, 1, 2, 3, 5])
+        rows += [" ".join(base), " ".join(base[: -cut if i % 4 else 8])] if i % 2 or not i % 4 else [" ".join(base), " ".join(base[cut:] + ["x"] * (i % 3))]
+    return list(enumerate(rows))
+
+
+def test_short_texts_at_the_pipelines_radius_equal_brute_force(spark):
+    rows = _short_pairs()
+    sets = [set(np.concatenate([np.zeros(0, np.uint64), *S.shingle_hashes(t, C.SHINGLE)]).tolist()) for _, t in rows]
+    want = {d: d for d, _ in rows}
+    for i in range(0, len(rows), 2):  # words are unique to a pair
+        if len(sets[i] & sets[i + 1]) >= C.SIMILARITY * len(sets[i] | sets[i + 1]) - 1e-9:
+            want[i + 1] = i
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    got = S.near_duplicates(df, C.SHINGLE, C.BITS, C.RADIUS, 1, C.SIMILARITY)
+    assert {r.doc_id: r.component_id for r in got.collect()} == want
+
+
+def test_similar_sets_share_a_signature():
+    rng = np.random.default_rng(8)
+    for _ in range(3000):
+        n = int(rng.integers(1, 400))
+        ids = rng.integers(0, 1 << 63, n + n // 4, dtype=np.uint64)
+        size = n + int(rng.integers(0, n // 4 + 1))
+        drop = int(rng.integers(0, n // 9 + 1))
+        a, b = np.sort(ids[:n]), np.sort(ids[drop:size])
+        both = n - drop
+        if both >= 0.8 * (len(a) + len(b) - both) and drop + size - n:
+            assert np.intersect1d(S.signatures(a, 0.8), S.signatures(b, 0.8)).size
