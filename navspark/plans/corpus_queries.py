@@ -401,16 +401,3 @@ def split_stats(spark, sf):
 def split_contiguous(spark, sf):
     d = Y.split_contiguous(C.load(spark, sf, "documents").select("doc_id", "source"), 10, "doc_id", "source")
     return Y.source_composition(d).where("split is not null").select("source", "split", "n")
-
-
-PREFIX, MAX_ITEMS = 60, 10_000  #: characters that give an evaluation passage away; most passages compared this way
-
-
-@query("split_contamination", "SELECT count(*) AS n_docs, CAST(sum(CAST(EXISTS (SELECT 1 FROM benchmark b WHERE length(b.text) >= 60 AND contains(d.text, substr(b.text, 1, 60))) AS INT)) AS BIGINT) AS n_hit FROM documents d")
-def split_contamination(spark, sf):
-    """Documents that hold the first 60 characters of an evaluation passage; one scan against a bounded list."""
-    items = C.load(spark, sf, "benchmark").where(F.char_length("text") >= PREFIX).select(F.substring("text", 1, PREFIX).alias("p")).distinct().limit(MAX_ITEMS + 1).collect()
-    if len(items) > MAX_ITEMS:
-        raise ValueError("too many passages to carry in the plan; use window hashes")
-    hit = F.exists(F.array(*[F.lit(r.p) for r in items]), lambda p: F.contains(F.col("text"), p)) if items else F.lit(False)
-    return C.load(spark, sf, "documents").agg(F.count("*").alias("n_docs"), F.sum(F.coalesce(hit, F.lit(False)).cast("long")).alias("n_hit"))

@@ -276,3 +276,9 @@ def test_salted_sum_and_nested_samples(spark):
     assert (r.v, r.n) == (499500.0, 1000)
     small, large = ({x.id for x in ops.sample_fraction(df, f, "id").collect()} for f in (0.1, 0.5))
     assert small < large
+
+
+def test_split_contamination_is_left_to_op10():
+    from navspark.plans import registry
+
+    assert "split_contamination" not in registry.queries()
