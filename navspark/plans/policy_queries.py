@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from navspark.functions.core import r6, r6_sql, uniform01_sql
+from navspark.functions.core import PI, r6, r6_sql, uniform01_sql, wrap_angle
 from navspark.operators import grpo as O
 from navspark.operators import metrics as M
 from navspark.operators import rollouts as R
@@ -266,8 +266,15 @@ DIAG_VIEWS = {**VLN_VIEWS, "diag": _DIAG}
 
 
 def diagnostic(spark, sf):
-    """Indoor and outdoor radii; the goal lies ahead by construction, so it is in the final view."""
-    s = scored(spark, sf, 3.0).withColumn("in_view", F.lit(True))
+    """Indoor and outdoor radii; the goal must be in the 120 degree view of the final frame.
+
+    A goal at no distance counts as lying along +x, where the carrier puts all others. The SQL twin
+    leaves the view out, so it counts more successes.
+    """
+    last = C.v_path(spark, sf).where("i = n")
+    off = wrap_angle(F.atan2(F.col("gy") - F.col("y"), F.col("gx") - F.col("x")) - F.col("heading"))
+    view = last.select("episode_id", (F.round(F.abs(off), 9) <= round(PI / 3, 9)).alias("in_view"))
+    s = scored(spark, sf, 3.0).join(view, "episode_id", "left")
     return s.withColumn("success", M.diagnostic_success(F.col("scene_type") == C.OUTDOOR))
 
 

@@ -103,7 +103,7 @@ def v_rollouts(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def v_path(spark: SparkSession, sf: str) -> DataFrame:
-    """Executed and reference points (x, y) and (rx, ry) of each rollout, i = 0 at the origin."""
+    """Executed and reference points (x, y) and (rx, ry) of each rollout, i = 0 at the origin; heading is that after step i."""
     ro = v_rollouts(spark, sf).select("episode_id", "goal_dist_m")
     li = load(spark, sf, "lineitem")
     order = ["l_linenumber", "l_partkey", "l_suppkey", "l_shipdate", "l_extendedprice", "l_quantity", "l_discount", "l_tax", "l_returnflag", "l_linestatus"]
@@ -119,12 +119,12 @@ def v_path(spark: SparkSession, sf: str) -> DataFrame:
     until = by.rowsBetween(W.unboundedPreceding, 0)
     h = F.coalesce(F.sum("dth").over(by.rowsBetween(W.unboundedPreceding, -1)), F.lit(0.0))
     inc = inc.withColumn("h", h).withColumn("sx", F.col("dx") * F.cos("h") - F.col("dy") * F.sin("h")).withColumn("sy", F.col("dx") * F.sin("h") + F.col("dy") * F.cos("h"))
-    p = inc.select("episode_id", "i", F.sum("sx").over(until).alias("x"), F.sum("sy").over(until).alias("y"))
+    p = inc.select("episode_id", "i", F.sum("sx").over(until).alias("x"), F.sum("sy").over(until).alias("y"), (F.col("h") + F.col("dth")).alias("heading"))
     whole = W.partitionBy("episode_id")
     p = p.withColumn("n", F.max("i").over(whole)).withColumn("ex", F.max_by("x", "i").over(whole)).withColumn("ey", F.max_by("y", "i").over(whole))
     p = p.join(ro, "episode_id").withColumn("gx", F.col("ex") + F.col("goal_dist_m")).withColumn("gy", F.col("ey"))
     part = F.when(F.col("n") == 0, F.lit(1.0)).otherwise(F.col("i") / F.col("n"))
-    return p.select("episode_id", "i", "n", "x", "y", (F.col("gx") * part).alias("rx"), (F.col("gy") * part).alias("ry"), "gx", "gy")
+    return p.select("episode_id", "i", "n", "x", "y", (F.col("gx") * part).alias("rx"), (F.col("gy") * part).alias("ry"), "gx", "gy", "heading")
 
 
 def v_views(spark: SparkSession, sf: str) -> DataFrame:

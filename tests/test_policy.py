@@ -191,3 +191,13 @@ def test_wilson_and_diagnostic(spark):
     assert w.low == pytest.approx(0.604, abs=2e-3) and w.high == pytest.approx(0.841, abs=2e-3)
     df = spark.createDataFrame([(True, 2.5, True, 10, True), (True, 2.5, False, 10, True), (True, 1.0, False, 301, True), (True, 1.0, False, 300, False), (False, 0.0, False, 1, True)], "stop_called boolean, d_t double, out boolean, n int, in_view boolean")
     assert [r.s for r in df.select(M.diagnostic_success(F.col("out")).alias("s")).collect()] == [True, False, False, False, False]
+
+
+def test_diagnostic_looks_at_the_final_heading(spark):
+    from navspark.plans import policy_queries as P
+
+    turn = {r.l_orderkey: r.h for r in C.load(spark, SF_SMOKE, "lineitem").groupBy("l_orderkey").agg(F.sum((F.col("l_discount") - 0.05) * 10).alias("h")).collect()}
+    got = P.diagnostic(spark, SF_SMOKE).select("episode_id", "in_view", "success").collect()
+    clear = [(r, math.cos(turn.get(r.episode_id, 0.0)) - 0.5) for r in got if abs(math.cos(turn.get(r.episode_id, 0.0)) - 0.5) > 1e-6]
+    assert all(r.in_view == (c > 0) for r, c in clear) and any(c < 0 for _, c in clear)
+    assert not any(r.success and not r.in_view for r in got)
