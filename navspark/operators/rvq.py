@@ -128,8 +128,9 @@ def assign(z: np.ndarray, books: np.ndarray, how: str = "d_traj", m: np.ndarray
     for lv, book in enumerate(books):
         if how == "d_j":
             a, b = (z - done) @ m.T, book @ m.T
-            d = (b * b).sum(1) - 2 * a @ b.T
-            codes[:, lv] = d.argmin(1)
+            step = max(1, (1 << 22) // len(book))
+            for s in range(0, len(z), step):
+                codes[s : s + step, lv] = ((b * b).sum(1) - 2 * a[s : s + step] @ b.T).argmin(1)
         else:
             step = max(1, (1 << 20) // (len(book) * D))
             for s in range(0, len(z), step):
@@ -161,10 +162,8 @@ def lloyd_partials(traj: DataFrame, books: np.ndarray, centre: np.ndarray, m: np
         n = np.zeros(len(centre))
         sums = np.zeros((len(centre), D + (D * D if per_sample else 0)))
         err, far, far_row = np.zeros(len(centre)), np.full(len(centre), -1.0), np.zeros((len(centre), D))
-        for b in batches:
-            if not b.num_rows:
-                continue
-            z = _rows(b.column("z"))
+        step = max(1, (1 << 22) // len(centre))  # distances held at a time, whatever K
+        for z in (z[s : s + step] for z in (_rows(b.column("z")) for b in batches) for s in range(0, len(z), step)):
             r = z - (sum(book[c] for book, c in zip(books, assign(z, books, "d_j", m).T, strict=True)) if len(books) else 0)
             if per_sample:
                 w = np.sqrt(weights())

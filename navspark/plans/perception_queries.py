@@ -213,10 +213,10 @@ def _quality(traj, levels, k, iters=6):
 
 @query("rvq_quality")
 def rvq_quality(spark, sf):
-    """Displacement for each prefix of a residual quantiser and for single-level vocabularies."""
+    """Displacement for each prefix of residual quantisers, 3 x 256 at full size, and for single-level vocabularies up to 4,096."""
     traj = C.v_chunks(spark, sf).select(F.col("chunk_id").alias("traj_id"), "z").persist()
     out = None
-    for levels, k in ((3, 16), (1, 48), (1, 256)):
+    for levels, k in ((3, 16), (3, 64), (3, 256), (1, 48), (1, 256), (1, 4096)):
         one = _quality(traj, levels, k).select(F.lit(f"{levels}x{k}").alias("size"), "levels", "n", r6("mean_ade").alias("mean_ade"), r6("mean_dth").alias("mean_dth"), "used_codes", r6("entropy_bits").alias("entropy_bits"), "dead_codes")
         out = one if out is None else out.unionByName(one)
     return out

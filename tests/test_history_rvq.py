@@ -156,3 +156,30 @@ def test_repartition_changes_nothing(spark):
     s = C.v_steps(spark, SF_SMOKE)
     a = C.steps_from(C.events(spark, SF_SMOKE).repartition(7, "event_type"))
     assert sorted(map(tuple, s.collect())) == sorted(map(tuple, a.collect()))
+
+
+def test_quality_query_fits_the_full_sizes(monkeypatch):
+    from navspark.plans import perception_queries as P
+
+    class Seen(Exception):
+        pass
+
+    sizes = []
+
+    def fit(traj, levels, k, iters=6):
+        sizes.append((levels, k))
+        if (levels, k) == (1, 4096):
+            raise Seen
+        return _Any()
+
+    class _Any:
+        def __getattr__(self, name):
+            return lambda *a, **b: _Any()
+
+    monkeypatch.setattr(P, "_quality", fit)
+    monkeypatch.setattr(P, "F", _Any())
+    monkeypatch.setattr(P, "r6", lambda *a: _Any())
+    monkeypatch.setattr(P.C, "v_chunks", lambda *a: _Any())
+    with pytest.raises(Seen):
+        P.rvq_quality(None, None)
+    assert {(3, 64), (3, 256)} < set(sizes)
