@@ -20,16 +20,20 @@ def draw_starts(instances: DataFrame, poses: DataFrame, views: DataFrame, per_ta
     return seen.withColumn("_r", F.row_number().over(w)).where(F.col("_r") <= per_target).select("target", F.col("viewpoint").alias("start"))
 
 
-def geodesic(edges: DataFrame, sources: DataFrame, max_rounds: int = 64, checkpoint_every: int = 3) -> DataFrame:
+def geodesic(edges: DataFrame, sources: DataFrame, max_rounds: int | None = None, checkpoint_every: int = 3) -> DataFrame:
     """(src, node, dist) of shortest paths from many sources at once.
 
     Rounds of relaxation: only nodes improved in the last round are extended; ends when none is.
+    Paths have fewer edges than there are nodes, so more rounds than nodes (negative weights),
+    or than ``max_rounds``, with nodes still improving are an error.
     """
     spark = edges.sparkSession
     if spark.sparkContext.getCheckpointDir() is None:
         spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or "/tmp/checkpoints/graph")
     e = edges.select("a", "b", "w").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"), "w"))
     dist = sources.select(F.col("node").alias("src"), "node", F.lit(0.0).alias("dist"), F.lit(True).alias("new"))
+    if max_rounds is None:
+        max_rounds = e.select("a").distinct().count() + 1
     for i in range(max_rounds):
         step = dist.where("new").join(e, F.col("node") == F.col("a")).select("src", F.col("b").alias("node"), (F.col("dist") + F.col("w")).alias("d"))
         best = step.groupBy("src", "node").agg(F.min("d").alias("d"))
@@ -40,6 +44,8 @@ def geodesic(edges: DataFrame, sources: DataFrame, max_rounds: int = 64, checkpo
             dist = dist.checkpoint()
         if not dist.where("new").limit(1).count():
             break
+    else:
+        raise ValueError(f"distances still improve after {max_rounds} rounds")
     return dist.select("src", "node", "dist")
 
 
@@ -48,8 +54,12 @@ def plan_route(edges: DataFrame, dist: DataFrame, pairs: DataFrame) -> DataFrame
     return pairs.join(dist, (pairs.src == dist.src) & (pairs.dst == dist.node)).select(pairs.src, pairs.dst, "dist")
 
 
-def route_nodes(edges: DataFrame, dist: DataFrame, pairs: DataFrame, max_len: int = 64) -> DataFrame:
-    """(src, dst, i, node): nodes of one shortest path from goal back to start, smallest node on ties."""
+def route_nodes(edges: DataFrame, dist: DataFrame, pairs: DataFrame, max_len: int | None = None) -> DataFrame:
+    """(src, dst, i, node): nodes of one shortest path from goal back to start, smallest node on ties.
+
+    A path of more edges than there are nodes (edges of no weight that lead in a circle), or than
+    ``max_len``, is an error.
+    """
     e = edges.select("a", "b", "w").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"), "w"))
     before = (
         dist.alias("x").join(e.alias("e"), F.col("x.node") == F.col("e.a")).join(dist.alias("y"), (F.col("y.src") == F.col("x.src")) & (F.col("y.node") == F.col("e.b")))
@@ -57,11 +67,15 @@ def route_nodes(edges: DataFrame, dist: DataFrame, pairs: DataFrame, max_len: in
     )
     cur = pairs.select("src", "dst", F.col("dst").alias("node"))
     out, i = cur.withColumn("i", F.lit(0)), 0
-    while i < max_len:
+    if max_len is None:
+        max_len = e.select("a").distinct().count()
+    while True:
         i += 1
         cur = cur.where("node <> src").join(before, ["src", "node"]).select("src", "dst", F.col("prev").alias("node")).checkpoint()
         if not cur.limit(1).count():
             break
+        if i > max_len:
+            raise ValueError(f"routes of more than {max_len} edges")
         out = out.unionByName(cur.withColumn("i", F.lit(i)))
     return out
 

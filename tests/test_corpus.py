@@ -278,6 +278,16 @@ def test_salted_sum_and_nested_samples(spark):
     assert small < large
 
 
+def test_paths_of_more_than_64_edges(spark):
+    e = spark.createDataFrame([(i, i + 1, 1.0) for i in range(70)], "a int, b int, w double")
+    g = E.geodesic(e, spark.createDataFrame([(0,)], "node int")).persist()
+    assert {r.node: r.dist for r in g.collect()} == {i: float(i) for i in range(71)}
+    route = E.route_nodes(e, g, spark.createDataFrame([(0, 70)], "src int, dst int")).collect()
+    assert sorted((r.i, r.node) for r in route) == [(i, 70 - i) for i in range(71)]
+    with pytest.raises(ValueError):
+        E.geodesic(e, spark.createDataFrame([(0,)], "node int"), max_rounds=3)
+
+
 def test_split_contamination_is_left_to_op10():
     from navspark.plans import registry
 
