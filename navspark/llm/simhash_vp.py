@@ -409,7 +409,7 @@ def signature_edges(docs: DataFrame, k: int, bits: int, similarity: float) -> Da
     signs = written(docs.select(F.col("text").cast("string").alias("text")).mapInArrow(run, "fp binary, signs array<long>").select(F.xxhash64("fp").alias("node"), "signs"), "signatures")
     flat = signs.select("node", F.explode("signs").alias("sign"))
     met = written(flat.groupBy("sign").agg(F.min("node").alias("b"), F.max("node").alias("top")).where("b <> top").select("sign", "b"), "met")
-    return flat.join(checked(met, 16), "sign").where("node <> b").select(F.col("node").alias("a"), "b").distinct()
+    return flat.join(checked(met, 96), "sign").where("node <> b").select(F.col("node").alias("a"), "b").distinct()
 
 
 class Sets:
@@ -457,9 +457,10 @@ def linked_sets(fp: np.ndarray, sets: list[np.ndarray], data: np.ndarray, query:
             for r in np.flatnonzero(open_.any(1)).tolist():
                 i, near = int(rows[r]), data[open_[r]]
                 near = near[groups.up[near] != groups.up[i]]
-                if len(near):
-                    linked = near[bags.jaccard(i, near) >= similarity]
-                    groups.join(np.full(len(linked), i), linked)
+                if len(near):  # in slices of about so many elements
+                    for some in np.split(near, np.flatnonzero(np.diff(np.cumsum(bags.size[near]) >> 19)) + 1):
+                        linked = some[bags.jaccard(i, some) >= similarity]
+                        groups.join(np.full(len(linked), i), linked)
     return groups.up
 
 
