@@ -5,9 +5,6 @@ import pytest
 
 sys.path.insert(0, os.path.dirname(os.path.dirname(os.path.abspath(__file__))))
 
-SF_SMOKE = "/root/testdata/sf0.001"
-SF = "/root/testdata/sf0.01"
-
 
 @pytest.fixture(scope="session")
 def spark():

@@ -3,7 +3,7 @@ import random
 
 import numpy as np
 import pytest
-from conftest import SF_SMOKE
+from support import SF_SMOKE
 from pyspark.sql import functions as F
 
 from navspark.operators import history as H

@@ -5,7 +5,7 @@ import os
 
 import duckdb
 import pytest
-from conftest import SF_SMOKE
+from support import SF_SMOKE
 
 from navspark.plans import registry
 

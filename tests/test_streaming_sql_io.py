@@ -2,7 +2,7 @@ import time
 import uuid
 
 import pytest
-from conftest import SF_SMOKE
+from support import SF_SMOKE
 from pyspark.sql import functions as F
 
 from navspark.functions import sqlfn
