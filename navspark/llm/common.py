@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import atexit
 import os
+import re
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -22,11 +23,13 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def scratch(spark: SparkSession, label: str) -> str:
     """A fresh folder under the session's ``spark.checkpoint.dir``.
 
-    On a cluster that folder is shared by the driver and all executors. Only where the
-    session names none (local tests) a folder below /tmp/checkpoints is used.
+    On a cluster that folder is shared by the driver and all executors, and a session that
+    names none is an error there. Only a local session (tests) gets one below /tmp/checkpoints.
     """
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if not re.match(r"local(\[|$)", spark.sparkContext.master):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
         base = f"file:///tmp/checkpoints/{os.getuid()}"
     path = f"{base.rstrip('/')}/corpus/{label}-{uuid.uuid4().hex}"
     if not _OWN:
@@ -66,6 +69,19 @@ def checked(small: DataFrame, row_bytes: int = 64, items: str | None = None) ->
     return F.broadcast(small) if n * row_bytes + 8 * m <= BROADCAST_BYTES else small
 
 
+def apart(docs: DataFrame) -> list:
+    """Columns to select so that names can't clash: ``row``, a struct of all columns of ``docs``
+    but ``text``, then ``doc_id``, ``text`` and ``row_key``. ``whole`` is the way back."""
+    rest = [F.col(f"`{c}`") for c in docs.columns if c != "text"]
+    text = F.col("text").cast("string")
+    return [F.struct(*rest).alias("row"), F.col("doc_id"), text.alias("text"), text_key(text).alias("row_key")]
+
+
+def whole(docs: DataFrame, text: str = "text") -> list:
+    """The columns of ``docs`` again, from ``row`` and the column ``text``."""
+    return [F.col(text).alias("text") if c == "text" else F.col("row").getField(c).alias(c) for c in docs.columns]
+
+
 def same_row(a: DataFrame, b: DataFrame):
     """Join condition on (doc_id, row_key); null ids meet."""
     return a.doc_id.eqNullSafe(b.doc_id) & (a.row_key == b.row_key)

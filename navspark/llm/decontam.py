@@ -4,12 +4,13 @@ Texts become lower-cased (A-Z) words. A window is 13 consecutive words of a benc
 a shorter item is one window of its own length. Documents are scanned once: word hashes are
 combined by doubling into window hashes, which are matched against the hash set of all
 benchmark windows. Hits are then verified word by word, and covered words are counted by
-merging intervals. Everything is built-in functions; the text itself is never shuffled while
-the hit documents fit a broadcast, and that is checked.
+merging intervals. Everything is built-in functions. Texts are joined to their hits by a
+broadcast of the hits as long as these fit one, which is checked; beyond that by a shuffle.
 
-Defined results: null text has no words; an item without words or id has no windows; repeated
+Defined results: null text has no words; an item without words has no windows; items without
+an id hit like others and count together as one item that adds no id to the list; repeated
 rows are judged each by its own text; a null doc_id is an ordinary value; empty tables give
-no hits; extra columns are ignored.
+no hits; extra columns, whatever their names, are carried by the filters and ignored else.
 """
 
 from __future__ import annotations
@@ -17,7 +18,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from navspark.llm.common import az_lower, checked, once, same_row, text_key, written
+from navspark.llm.common import apart, az_lower, checked, once, same_row, text_key, whole, written
 
 N = 13  #: words of a window
 _SEP = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]"  # ASCII but letters and digits
@@ -61,8 +62,8 @@ def with_window_hashes(df: DataFrame, lengths: list[int], word_col: str = "w", f
 
 
 def benchmark_windows(bench: DataFrame, n: int = N) -> tuple[DataFrame, list[int]]:
-    """(h, len, words, items) of each distinct window, and the window lengths that occur."""
-    items = bench.where("item_id is not null").select("item_id", words(az_lower(F.col("text").cast("string"))).alias("w")).where(F.size("w") > 0)
+    """(h, len, words, items, nameless) of each distinct window, and the window lengths that occur."""
+    items = bench.select("item_id", words(az_lower(F.col("text").cast("string"))).alias("w")).where(F.size("w") > 0)
     items = items.withColumn("len", F.least(F.size("w"), F.lit(n)))
     lengths = sorted(r[0] for r in items.select("len").distinct().collect())  # n values at most
     hashed = with_window_hashes(items, lengths)
@@ -73,7 +74,8 @@ def benchmark_windows(bench: DataFrame, n: int = N) -> tuple[DataFrame, list[int
     if flat is None:
         return None, []
     flat = flat.select("item_id", "len", "h", F.array_join(F.slice("w", F.col("pos") + 1, F.col("len")), " ").alias("words"))
-    return written(flat.groupBy("h", "len", "words").agg(F.collect_set("item_id").alias("items")), "windows"), lengths
+    nameless = F.max(F.col("item_id").isNull().cast("int")).alias("nameless")
+    return written(flat.groupBy("h", "len", "words").agg(F.collect_set("item_id").alias("items"), nameless), "windows"), lengths
 
 
 def covered_words(spans, place=lambda x: x.pos, size=lambda x: x.len) -> Column:
@@ -91,12 +93,12 @@ def covered_words(spans, place=lambda x: x.pos, size=lambda x: x.len) -> Column:
 
 def contamination(docs: DataFrame, bench: DataFrame, n: int = N) -> DataFrame:
     """One row for each row of ``docs``: doc_id, row_key, n_words, spans (array of start and
-    length in words, verified), items (sorted array of item ids as strings), n_hit."""
+    length in words, verified), items (sorted array of item ids as strings), n_hit, n_items."""
     docs = docs.select("doc_id", F.col("text").cast("string").alias("text")).withColumn("row_key", text_key())
     windows, lengths = benchmark_windows(bench, n)
     base = docs.select("doc_id", "row_key", "text", words(F.col("text")).alias("w"))
     if not lengths:
-        return base.select("doc_id", "row_key", F.size("w").alias("n_words"), F.expr("cast(array() as array<struct<pos:int,len:int>>)").alias("spans"), F.expr("cast(array() as array<string>)").alias("items"), F.lit(0).alias("n_hit"))
+        return base.select("doc_id", "row_key", F.size("w").alias("n_words"), F.expr("cast(array() as array<struct<pos:int,len:int>>)").alias("spans"), F.expr("cast(array() as array<string>)").alias("items"), F.lit(0).alias("n_hit"), F.lit(0).alias("n_items"))
     hashes = windows.select("h").distinct()
     hashed = with_window_hashes(base.select("doc_id", "row_key", "w"), lengths)
     found = hashed.select("doc_id", "row_key", "n", F.posexplode(F.concat(*[F.col(f"h{x}") for x in lengths])).alias("at", "h"))
@@ -112,21 +114,22 @@ def contamination(docs: DataFrame, bench: DataFrame, n: int = N) -> DataFrame:
     found = found.select("doc_id", "row_key", F.struct(place.cast("int").alias("pos"), size.cast("int").alias("len")).alias("hit"))
     per_doc = written(found.groupBy("doc_id", "row_key").agg(F.collect_set("hit").alias("hits")), "hits")
     b = checked(per_doc, 48, "hits").alias("b")
-    met = docs.alias("a").join(b, same_row(docs, per_doc), "inner").select("a.doc_id", "a.row_key", "a.text", "b.hits").distinct()
+    met = docs.alias("a").join(b, same_row(docs, per_doc), "inner").select("a.doc_id", "a.row_key", "a.text", "b.hits")
     exact = met.select("doc_id", "row_key", "hits", once(words(az_lower(F.col("text")))).alias("w")).where(F.size("w") > 0)
     exact = exact.select(
         "doc_id", "row_key", F.explode(F.transform("hits", lambda x: F.struct(x.pos.alias("pos"), x.len.alias("len"), F.array_join(F.slice("w", x.pos + 1, x.len), " ").alias("words")))).alias("x")
     ).select("doc_id", "row_key", "x.*")
-    sure = exact.join(checked(windows.select("len", "words", "items"), 256, "items"), ["len", "words"])
+    sure = exact.join(checked(windows.select("len", "words", "items", "nameless"), 256, "items"), ["len", "words"])
     hit = written(
         sure.groupBy("doc_id", "row_key").agg(
             F.sort_array(F.collect_set(F.struct("pos", "len"))).alias("spans"),
             F.array_distinct(F.flatten(F.collect_set("items"))).alias("items"),
+            F.max("nameless").alias("nameless"),
         ),
         "verified",
     )
     covered = covered_words("spans")
-    hit = hit.select("doc_id", "row_key", "spans", F.array_sort(F.transform("items", lambda i: i.cast("string"))).alias("items"), covered.alias("n_hit"))
+    hit = hit.select("doc_id", "row_key", "spans", F.array_sort(F.transform("items", lambda i: i.cast("string"))).alias("items"), covered.alias("n_hit"), (F.size("items") + F.col("nameless")).alias("n_items"))
     h = checked(hit, 64, "spans").alias("h")
     none = F.expr("cast(array() as array<struct<pos:int,len:int>>)")
     return base.alias("a").join(h, same_row(base, hit), "left").select(
@@ -136,6 +139,7 @@ def contamination(docs: DataFrame, bench: DataFrame, n: int = N) -> DataFrame:
         F.coalesce("h.spans", none).alias("spans"),
         F.coalesce("h.items", F.expr("cast(array() as array<string>)")).alias("items"),
         F.coalesce("h.n_hit", F.lit(0)).alias("n_hit"),
+        F.coalesce("h.n_items", F.lit(0)).alias("n_items"),
     )
 
 
@@ -147,20 +151,20 @@ def contaminated(share: int = 20) -> Column:
 def without_contaminated(docs: DataFrame, bench: DataFrame) -> DataFrame:
     """Drops documents that the contamination rule rejects; all columns stay."""
     bad = written(contamination(docs, bench).where(contaminated()).select("doc_id", "row_key").distinct(), "contaminated")
-    keyed = docs.withColumn("row_key", text_key(F.col("text").cast("string")))
-    return keyed.join(checked(bad, 24), same_row(keyed, bad), "left_anti").drop("row_key").select(*docs.columns)
+    keyed = docs.select(*apart(docs))
+    return keyed.join(checked(bad, 24), same_row(keyed, bad), "left_anti").select(*whole(docs))
 
 
 def without_spans(docs: DataFrame, bench: DataFrame) -> DataFrame:
     """Cuts the hit words, each with what follows it up to the next word, out of the texts."""
     hits = written(contamination(docs, bench).where("n_hit > 0").select("doc_id", "row_key", "spans").distinct(), "spans")
-    keyed = docs.withColumn("row_key", text_key(F.col("text").cast("string")))
-    j = keyed.join(checked(hits, 48, "spans"), same_row(keyed, hits), "left").select(*[keyed[c] for c in docs.columns], "spans")
+    keyed = docs.select(*apart(docs))
+    j = keyed.join(checked(hits, 48, "spans"), same_row(keyed, hits), "left").select(keyed.row, keyed.text, "spans")
     j = j.withColumn("pieces", once(F.when(F.col("spans").isNotNull(), F.regexp_extract_all("text", F.lit(f"{_WORD}+{_SEP}*"), 0))))
     gone = F.flatten(F.transform("spans", lambda x: F.sequence(x.pos, x.pos + x.len - 1)))
     keep = F.array_except(F.sequence(F.lit(0), F.size("pieces") - 1), gone)
     rest = F.concat(F.regexp_extract("text", f"^{_SEP}*", 0), F.array_join(F.transform(keep, lambda i: F.get("pieces", i)), ""))
-    return j.withColumn("text", F.when(F.col("spans").isNull() | (F.size("pieces") == 0), F.col("text")).otherwise(rest)).select(*docs.columns)
+    return j.withColumn("text", F.when(F.col("spans").isNull() | (F.size("pieces") == 0), F.col("text")).otherwise(rest)).select(*whole(docs))
 
 
 def op10_result(docs: DataFrame, bench: DataFrame) -> DataFrame:
@@ -169,7 +173,7 @@ def op10_result(docs: DataFrame, bench: DataFrame) -> DataFrame:
         "doc_id",
         F.col("n_words").cast("long").alias("n_words"),
         F.col("n_hit").cast("long").alias("n_hit"),
-        F.size("items").cast("long").alias("n_items"),
+        F.col("n_items").cast("long").alias("n_items"),
         F.sha2(F.array_join("items", ","), 256).alias("items_sha256"),
         contaminated().alias("contaminated"),
     )

@@ -44,3 +44,12 @@ def test_empty_tables(spark):
     df, bench = spark.createDataFrame(data, DOC_DDL), spark.createDataFrame(items, "item_id long, text string")
     assert D.op10_result(df.limit(0), bench).count() == 0
     assert D.op10_result(df, bench.limit(0)).where("n_hit > 0").count() == 0
+
+
+def test_items_without_id_hit(spark):
+    item, other = " ".join(f"t{i}" for i in range(13)), " ".join(f"s{i}" for i in range(14))
+    data = docs([(1, item), (2, other), (3, "clean"), (4, item + " " + other)])
+    items = [(None, item), (None, other), (7, other)]
+    got = rows(D.op10_result(spark.createDataFrame(data, DOC_DDL), spark.createDataFrame(items, "item_id long, text string")), COLS)
+    assert got == duck(D.OP10_SQL, documents=(data, DOCS), benchmark=(items, ITEMS))
+    assert [r[:4] for r in got] == [(1, 13, 13, 1), (2, 14, 14, 2), (3, 1, 0, 0), (4, 27, 27, 2)]
