@@ -1,5 +1,6 @@
 import random
 
+import pytest
 from helpers import DOC_DDL, DOCS, docs, duck, rows
 
 from navspark.llm import line_runs as L
@@ -22,9 +23,9 @@ def test_equals_sql(spark):
 
 def test_batches_do_not_matter(spark):
     df = spark.createDataFrame(sample(), DOC_DDL)
-    want = rows(L.without_repeated_lines(df, 1), ["doc_id", "text", "n_dropped"])
+    want = rows(L.without_repeated_lines(df, 1), ["doc_id", "text"])
     for n in (2, 5):
-        assert rows(L.without_repeated_lines(df, n), ["doc_id", "text", "n_dropped"]) == want
+        assert rows(L.without_repeated_lines(df, n), ["doc_id", "text"]) == want
 
 
 def test_store_compacts_and_keeps_first_owner(spark):
@@ -41,3 +42,26 @@ def test_null_ids_repeats_and_empty(spark):
     got = rows(L.without_repeated_lines(df), ["doc_id", "text"])
     assert got == sorted([(None, "a line of some length"), (3, "a line of some length"), (3, "a line of some length"), (5, "")], key=str)
     assert L.op9_result(df.limit(0)).count() == 0
+
+
+def test_runs_are_neither_shuffled_nor_sorted_again(spark):
+    store = L.LineRuns(spark, fanout=9)
+    for i in range(3):
+        store.add(spark.createDataFrame([(i * 1000 + j, h, h) for j, h in enumerate(range(i * 5, 200))], "doc_id long, h1 long, h2 long"))
+    batch = spark.createDataFrame([(9999, h, h) for h in range(300)], "doc_id long, h1 long, h2 long")
+    with L._in_order(spark):
+        met = store.resolve(batch)
+        plan = met._jdf.queryExecution().executedPlan().toString()
+        assert met.where("owner is null").count() == 100
+    assert plan.count("SortMergeJoin") == 3 and "Broadcast" not in plan
+    assert plan.count("Exchange hashpartitioning") == 1  # the batch's own keys
+    assert plan.count("Sort [") == 1
+    store.close()
+
+
+def test_batches_out_of_order_are_refused(spark):
+    store = L.LineRuns(spark)
+    store.add(spark.createDataFrame([(5, 1, 1)], "doc_id long, h1 long, h2 long"))
+    with pytest.raises(ValueError, match="doc_id 4"):
+        store.add(spark.createDataFrame([(4, 1, 1)], "doc_id long, h1 long, h2 long"))
+    store.close()
