@@ -6,13 +6,16 @@ the weighted representation is scored. Only document labels are known, so the at
 learns by itself which passages decide.
 
 The model is fitted on the driver from at most ``MAX_TRAIN`` labelled documents of at most
-``MAX_PASSAGES`` passages, chosen by the hash of their ids (a documented bound); scoring is one
-scan with an Arrow map and covers every document and all of its text in bounded slices.
+``MAX_PASSAGES`` passages, and no more than ``MAX_TOTAL`` passages in all (32 MB), taken in the
+order of the hashes of their ids (a documented bound); scoring is one scan with an Arrow map
+and covers every document and all of its text in bounded slices.
 
 Defined results: null or empty text is one empty passage and gets the model's score for it.
-With fewer than two classes among the training rows every score is 1. Labels, languages,
-sources and ids are never inputs. A doc_id with several labels counts with the lowest.
-Repeated rows are scored each; an empty table gives an empty result; extra columns stay.
+With fewer than two classes among the training rows every score is the share of label 1, with
+one of each class added: above 0.5 for ones alone, below for zeros alone, 0.5 without labels.
+Labels, languages, sources and ids are never inputs. A doc_id with several labels counts with
+the lowest, one with several texts is fitted on one of them. Repeated rows are scored each; an
+empty table gives an empty result; extra columns stay, and a name that is taken is an error.
 """
 
 from __future__ import annotations
@@ -21,13 +24,17 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType, StructField, StructType
+
+from navspark.llm.common import written
 
 PASSAGE = 1024  #: bytes of a passage
 SLICE = 1 << 22  #: bytes encoded at a time
 MAX_TRAIN = 4000  #: labelled documents used for fitting
 MAX_PASSAGES = 128  #: longer documents are left out of fitting (never of scoring)
+MAX_TOTAL = 1 << 16  #: passages of all documents used for fitting
 CLASSES = 16
 WIDTH = CLASSES * CLASSES
 
@@ -125,50 +132,57 @@ def held_out(doc_id="doc_id"):
     return F.coalesce(F.crc32(F.col(doc_id).cast("string")) % 3, F.lit(0)) == 1
 
 
-def training_bags(docs: DataFrame, labels: DataFrame, max_train: int = MAX_TRAIN, max_passages: int = MAX_PASSAGES):
+def training_bags(docs: DataFrame, labels: DataFrame, max_train: int = MAX_TRAIN, max_passages: int = MAX_PASSAGES, max_total: int = MAX_TOTAL):
     """Bounded sample of labelled documents as bags of encoded passages."""
     marked = labels.where("doc_id is not null and quality is not null").where(~held_out()).groupBy("doc_id").agg(F.min("quality").cast("int").alias("label"))
     chosen = F.broadcast(marked.orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_train))
-    some = docs.select("doc_id", F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text")).where(F.octet_length("text") <= PASSAGE * max_passages).join(chosen, "doc_id")
+    some = docs.select("doc_id", F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text")).where(F.octet_length("text") <= PASSAGE * max_passages)
+    one = some.join(chosen, "doc_id").groupBy("doc_id", "label").agg(F.min(F.struct(F.xxhash64("text"), "text")).alias("x"))
 
     def run(batches):
         for b in batches:
             got = [encode_passages(t.as_py().encode()).astype(np.float16).tobytes() for t in b.column("text")]
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("label"), pa.array(got, pa.binary())], ["doc_id", "label", "bag"])
+            size = [len(x) // (2 * WIDTH) for x in got]
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("label"), pa.array(size, pa.int64()), pa.array(got, pa.binary())], ["doc_id", "label", "size", "bag"])
 
-    rows = some.select("doc_id", "label", "text").mapInArrow(run, "doc_id long, label int, bag binary").collect()
-    rows = sorted({(r.doc_id, bytes(r.bag)): r.label for r in rows}.items())
-    return [np.frombuffer(k[1], np.float16).reshape(-1, WIDTH).astype(np.float32) for k, _ in rows], np.array([v for _, v in rows], np.float64)
+    bags = written(one.select("doc_id", "label", F.col("x.text").alias("text")).mapInArrow(run, "doc_id long, label int, size long, bag binary"), "bags")
+    so_far = F.sum("size").over(Window.orderBy(F.xxhash64("doc_id"), "doc_id"))  # of at most max_train rows
+    take = bags.select("doc_id", so_far.alias("so_far")).where(F.col("so_far") <= max_total).select("doc_id")
+    rows = sorted(bags.join(F.broadcast(take), "doc_id").select("doc_id", "label", "bag").collect())
+    return [np.frombuffer(r.bag, np.float16).reshape(-1, WIDTH).astype(np.float32) for r in rows], np.array([r.label for r in rows], np.float64)
 
 
-def train(docs: DataFrame, labels: DataFrame, max_train: int = MAX_TRAIN, max_passages: int = MAX_PASSAGES) -> GatedAttention | None:
+def train(docs: DataFrame, labels: DataFrame, max_train: int = MAX_TRAIN, max_passages: int = MAX_PASSAGES) -> GatedAttention | float:
+    """The fitted model, or a constant score where the labels know fewer than two classes."""
     bags, y = training_bags(docs, labels, max_train, max_passages)
-    return fit(bags, y) if len(set(y.tolist())) > 1 else None
+    return fit(bags, y) if len(set(y.tolist())) > 1 else float((y.sum() + 1) / (len(y) + 2))
 
 
-def scored(docs: DataFrame, model: GatedAttention | None) -> DataFrame:
-    """``docs`` with a column score; the text is read whole."""
-    schema = docs.schema
-    names = [f.name for f in schema if f.name != "score"]
-    out = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in schema if f.name != "score") + ", score double"
+def scored(docs: DataFrame, model: GatedAttention | float, name: str = "score") -> DataFrame:
+    """``docs`` with the column ``name`` added; the text is read whole."""
+    if name.lower() in map(str.lower, docs.columns):
+        raise ValueError(f"there is a column {name} already")
+    text = docs.columns.index("text")
+    names = [*docs.columns, name]
 
     def run(batches):
         for b in batches:
-            score = np.ones(b.num_rows)
-            texts = [(t.as_py() or "").encode() for t in b.column("text")] if model else []
-            at = 0
-            while at < len(texts):
-                end, size = at, 0
-                while end < len(texts) and (end == at or size + len(texts[end]) <= SLICE):
-                    size += len(texts[end])
-                    end += 1
-                bags = [encode_passages(x) for x in texts[at:end]]
-                first = np.cumsum([0, *map(len, bags)])[:-1]
-                score[at:end] = model.forward(np.concatenate(bags), first)[0]
-                at = end
-            yield pa.RecordBatch.from_arrays([*(b.column(n) for n in names), pa.array(score)], [*names, "score"])
-
-    return docs.select(*names).mapInArrow(run, out)
+            if isinstance(model, float):
+                score = np.full(b.num_rows, model)
+            else:
+                score, texts, at = np.ones(b.num_rows), [(t.as_py() or "").encode() for t in b.column(text)], 0
+                while at < len(texts):
+                    end, size = at, 0
+                    while end < len(texts) and (end == at or size + len(texts[end]) <= SLICE):
+                        size += len(texts[end])
+                        end += 1
+                    bags = [encode_passages(x) for x in texts[at:end]]
+                    first = np.cumsum([0, *map(len, bags)])[:-1]
+                    score[at:end] = model.forward(np.concatenate(bags), first)[0]
+                    at = end
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(score)], names)
+
+    return docs.mapInArrow(run, StructType([*docs.schema.fields, StructField(name, DoubleType())]))
 
 
 def op3_result(docs: DataFrame, labels: DataFrame) -> DataFrame:
@@ -178,4 +192,7 @@ def op3_result(docs: DataFrame, labels: DataFrame) -> DataFrame:
 
 def good_documents(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """Drops the documents that the classifier rejects; all columns stay."""
-    return scored(docs, train(docs, labels)).where("score >= 0.5").select(*docs.columns)
+    name = "score"
+    while name in map(str.lower, docs.columns):
+        name = "_" + name
+    return scored(docs, train(docs, labels), name).where(F.col(name) >= 0.5).drop(name)

@@ -1,4 +1,5 @@
 import numpy as np
+import pytest
 from helpers import DOC_DDL, docs
 
 from navspark.llm import quality_mil as Q
@@ -42,10 +43,30 @@ def test_held_out_accuracy(spark):
 
 def test_edge_rows(spark):
     d = docs([(1, None), (2, ""), (3, "a"), (3, "a"), (None, "text " * 100), (4, "x" * 5_000_000)])
-    df = spark.createDataFrame(d, DOC_DDL).withColumnRenamed("lang", "score")
+    df = spark.createDataFrame(d, DOC_DDL).withColumnRenamed("lang", "Score")
     few = spark.createDataFrame([(1, 1, 0), (2, 0, 0), (4, 0, 0), (6, 1, 0)], "doc_id long, quality int, toxic int")
     for labels in (few, few.limit(0)):
         got = Q.op3_result(df, labels).collect()
         assert len(got) == 6 and all(0 <= r.score <= 1 for r in got)
         assert Q.op3_result(df.limit(0), labels).count() == 0
     assert set(Q.good_documents(df, few.limit(0)).columns) == set(df.columns)
+
+
+def test_one_class_and_bounds(spark):
+    d = docs([(i, f"text number {i} " * 30) for i in range(40)] + [(1, "another text of one id")] * 30)
+    df = spark.createDataFrame(d, DOC_DDL)
+    for label in (0, 1):
+        labels = spark.createDataFrame([(i, label, 0) for i in range(40)], "doc_id long, quality int, toxic int")
+        assert {r.predicted for r in Q.op3_result(df, labels).collect()} == {label}
+    bags, y = Q.training_bags(df, labels)
+    assert len(bags) == len(y) == sum(1 for i in range(40) if __import__("zlib").crc32(str(i).encode()) % 3 != 1)
+    assert sum(map(len, Q.training_bags(df, labels, max_total=7)[0])) <= 7
+    assert len(Q.training_bags(df, labels, max_train=3)[0]) == 3
+
+
+def test_taken_names(spark):
+    df = spark.createDataFrame([(1, "some text", 0.25), (2, None, 0.5)], "doc_id long, text string, Score double")
+    labels = spark.createDataFrame([(1, 1, 0)], "doc_id long, quality int, toxic int")
+    assert sorted(Q.good_documents(df, labels).collect()) == sorted(df.collect())
+    with pytest.raises(ValueError):
+        Q.scored(df, 0.5)
