@@ -1,12 +1,15 @@
 """Layout-aware HTML to text.
 
 A tokenizer and a tree builder with implied tags make a tree of elements; visibility rules
-prune it; a renderer emits all visible text with block spacing, list marks and aligned table
-cells. Trees are walked with explicit stacks, so nesting depth is no limit.
-
-Defined results: null or empty html gives an empty text; broken markup never fails; repeated
-rows are rendered each; null ids are carried; an empty table gives an empty result; extra
-columns are ignored.
+prune it (``display`` drops a subtree, ``visibility`` is inherited and may be set again below); a
+renderer emits all visible text with block spacing, list marks and aligned table cells. Trees
+are walked with explicit stacks, so nesting depth is no limit, and the time is linear in the
+page, whatever its markup.
+
+Defined results: null or empty html gives an empty text; broken markup never fails; a quoted
+value that is never closed ends its tag at the next >; a page that ends inside a tag or comment
+ends before it; list marks are indented by at most 40 levels; repeated rows are rendered each;
+null ids are carried; an empty table gives an empty result; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -46,10 +49,12 @@ _CLOSES_P = frozenset("address article aside blockquote center details div dl fi
 _P_BOUNDS = frozenset(["td", "th", "table", "body", "html", "button", "object", "caption"])
 _CLOSE_BOUNDS = {"li": frozenset(["ul", "ol"]), "p": _P_BOUNDS, "td": _TABLE, "th": _TABLE, "tr": _TABLE}
 
-_TAG = re.compile(r"<(?:!--(?:.*?--!?>|.*\Z)|(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*+)>|[!?/][^>]*>)", re.S)
+_NAME = re.compile(r"<(/?)([a-zA-Z][^\s/>]*)")
+_STOP = re.compile(r">|=\s*([\"'])")
 _ATTR = re.compile(r"([^\s=/>\"']+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+)))?")
 _SPACES = re.compile(r"[ \t\n\r\f\v]+")
-_HIDDEN_STYLE = re.compile(r"display\s*:\s*none|visibility\s*:\s*(?:hidden|collapse)", re.I)
+_INDENT = 40
+_BLANKS = 1000
 
 
 class Node:
@@ -60,49 +65,98 @@ class Node:
         self.kids: list[Node | str] = []
 
     def get(self, name: str) -> str | None:
-        if name not in self.attrs.lower():
+        if not self.attrs or name not in self.attrs.lower():
             return None
         for m in _ATTR.finditer(self.attrs):
             if m[1].lower() == name:
                 return unescape(next((g for g in m.groups()[1:] if g is not None), ""))
         return None
 
-    def hidden(self) -> bool:
+    def style(self, name: str) -> str | None:
+        """Value of a property in the style attribute; the last one counts, an important one first."""
+        got, strong = None, False
+        for part in (self.get("style") or "").split(";"):
+            key, colon, value = part.partition(":")
+            if colon and key.strip().lower() == name:
+                value = value.strip().lower()
+                must = value.endswith("!important")
+                if must or not strong:
+                    got, strong = value.removesuffix("!important").strip(), must
+        return got
+
+    def gone(self) -> bool:
+        """Whether the element and all below it take no part in the page."""
         if self.tag in UNSEEN:
             return True
-        if not self.attrs:
-            return False
-        style = self.get("style")
-        return self.get("hidden") is not None or bool(style and _HIDDEN_STYLE.search(style))
+        if self.tag == "dialog" and self.get("open") is None:
+            return True
+        display = self.style("display") if self.attrs else None
+        return display == "none" if display else bool(self.attrs) and self.get("hidden") is not None
+
+    def shown(self, above: bool) -> bool:
+        """Whether its own text is visible, given that of the element above."""
+        value = self.style("visibility") if self.attrs else None
+        return above if value in (None, "", "inherit") else value not in ("hidden", "collapse")
 
 
 def parse(html: str) -> Node:
-    """Tree of the document. End tags without a start are dropped; what is open at the end closes."""
+    """Tree of the document. End tags without a start are dropped; what is open at the end closes.
+
+    Each step is constant in what is open: for every tag the places of its open elements are known,
+    so nothing walks the stack, and what was once searched for in vain is not searched for again.
+    """
     root = Node("#root")
     stack = [root]
-    at = 0
+    places: dict[str, list[int]] = {}
+    missing: set[str] = set()
+
+    def find(what: str, start: int) -> int:
+        if what in missing:
+            return -1
+        i = html.find(what, start)
+        if i < 0:
+            missing.add(what)
+        return i
 
     def close(names, bounds) -> None:
-        for i in range(len(stack) - 1, 0, -1):
-            if stack[i].tag in names:
-                del stack[i:]
-                return
-            if stack[i].tag in bounds:
-                return
+        at = max((places[t][-1] for t in names if places.get(t)), default=0)
+        if at > max((places[t][-1] for t in bounds if places.get(t)), default=0):
+            for node in reversed(stack[at:]):
+                places[node.tag].pop()
+            del stack[at:]
 
     def text(s: str) -> None:
         if s:
             stack[-1].kids.append(unescape(s) if "&" in s else s)
 
-    while True:
-        m = _TAG.search(html, at)
-        if not m:
+    at, done = 0, len(html)
+    while at < done:
+        begin = find("<", at)
+        if begin < 0:
             text(html[at:])
-            return root
-        text(html[at : m.start()])
-        at = m.end()
-        if not m[2]:
+            break
+        text(html[at:begin])
+        m = _NAME.match(html, begin)
+        if not m:
+            if html.startswith("<!--", begin):
+                end = find("-->", begin + 4)
+                at = end + 3 if end >= 0 else done
+            elif html[begin + 1 : begin + 2] in ("!", "?", "/"):
+                end = find(">", begin)
+                at = end + 1 if end >= 0 else done
+            else:
+                text("<")
+                at = begin + 1
             continue
+        # The tag ends at a > outside quoted values; a quote that is never closed quotes nothing.
+        pos = m.end()
+        while (stop := _STOP.search(html, pos) if ">" not in missing else None) and stop[1]:
+            end = find(stop[1], stop.end())
+            pos = end + 1 if end >= 0 else stop.end()
+        if not stop:
+            missing.add(">")
+            break  # the page ends inside a tag
+        at = stop.end()
         tag = m[2].lower()
         if m[1]:
             close((tag,), _CLOSE_BOUNDS.get(tag, ()))
@@ -113,17 +167,19 @@ def parse(html: str) -> Node:
             close(*IMPLIED[tag])
         if tag == "tr":
             close(("tr",), _TABLE)
-        node = Node(tag, m[3])
+        node = Node(tag, html[m.end() : stop.start()])
         stack[-1].kids.append(node)
         if tag in RAW:
             end = re.compile(f"</{tag}[\\s/>]", re.I).search(html, at)
             body = html[at : end.start()] if end else html[at:]
             if tag == "textarea":
                 node.kids.append(unescape(body))
-            at = html.find(">", end.start()) + 1 if end else len(html)
-            at = at or len(html)
+            close_at = find(">", end.start()) if end else -1
+            at = close_at + 1 if close_at >= 0 else done
         elif tag not in VOID:
+            places.setdefault(tag, []).append(len(stack))
             stack.append(node)
+    return root
 
 
 class _Page:
@@ -173,77 +229,102 @@ class _Page:
             self.parts.append(s)
             self.fresh = self.space = False
 
+    def text(self) -> str:
+        return "".join(self.parts)
+
+
+def _number(value: str | None, least: int, most: int) -> int:
+    value = (value or "").strip()
+    return max(least, min(int(value), most)) if value.isascii() and value.isdecimal() and len(value) < 10 else least
+
+
+def _table_lines(table: Node, shown: bool) -> list[str]:
+    """A table's rows with aligned cells, and other text inside it, in the order of the page.
+
+    Nested tables stay inside their cell. A cell's spans leave blank cells, in all at most
+    ``_BLANKS`` and four for each cell that there is.
+    """
+    items: list[str | list[str]] = []
+    stray: list[str] = []
+    below: dict[int, int] = {}  # column: last row that a cell above spans
+    row_no, blanks = 0, _BLANKS
+    stack: list[tuple[Node | str, bool]] = [(x, shown) for x in reversed(table.kids)]
+
+    def loose(x: Node | str, shown: bool) -> str:
+        return _SPACES.sub(" ", _flow(x, shown, True)).strip(" ")
 
-def _cell_text(cell: Node) -> str:
-    """A cell's visible text on one line; nested blocks are set apart by spaces."""
-    out: list[str] = []
-    stack: list[Node | str] = [cell]
-    while stack:
-        x = stack.pop()
-        if isinstance(x, str):
-            out.append(x)
-        elif not x.hidden():
-            if x.tag in BLOCKS or x.tag == "br":
-                out.append(" ")
-                stack.append(" ")
-            stack.extend(reversed(x.kids))
-    return _SPACES.sub(" ", "".join(out)).strip(" ")
-
-
-def _table_rows(table: Node) -> tuple[list[str], list[list[str]]]:
-    """Captions and the rows of cell texts; nested tables stay inside their cell."""
-    captions, rows, stray = [], [], []
-    stack: list[Node | str] = list(reversed(table.kids))
     while stack:
-        x = stack.pop()
-        if isinstance(x, str):
-            if x.strip():
-                captions.append(_SPACES.sub(" ", x).strip(" "))
-        elif x.hidden():
+        x, shown = stack.pop()
+        if isinstance(x, Node):
+            if x.gone():
+                continue
+            shown = x.shown(shown)
+        if isinstance(x, Node) and x.tag in ("td", "th"):
+            stray.append(loose(x, shown))
             continue
-        elif x.tag in ("td", "th"):
-            stray.append(_cell_text(x))
-        elif x.tag == "tr":
-            row = []
+        if stray:
+            items.append(stray)
+            stray = []
+        if isinstance(x, Node) and x.tag in ("thead", "tbody", "tfoot"):
+            stack.extend((k, shown) for k in reversed(x.kids))
+        elif isinstance(x, Node) and x.tag == "tr":
+            row: list[str] = []
+            row_no += 1
             for c in x.kids:
-                if isinstance(c, str):
-                    if c.strip():
-                        row.append(_SPACES.sub(" ", c).strip(" "))
-                elif not c.hidden():
-                    row.append(_cell_text(c))
-                    span = c.get("colspan") or "1"
-                    row += [""] * (min(int(span), 100) - 1 if span.isdecimal() else 0)
+                if isinstance(c, Node) and c.gone():
+                    continue
+                one = loose(c, c.shown(shown) if isinstance(c, Node) else shown)
+                if not one and not isinstance(c, Node):
+                    continue
+                while below.get(len(row), 0) >= row_no and blanks > 0:
+                    row.append("")
+                    blanks -= 1
+                at, wide, high = len(row), 1, 1
+                if isinstance(c, Node):
+                    wide, high = _number(c.get("colspan"), 1, 100), _number(c.get("rowspan"), 1, 65_534)
+                blanks += 4
+                wide = min(wide, 1 + max(0, blanks))
+                blanks -= wide - 1
+                row += [one] + [""] * (wide - 1)
+                if high > 1:
+                    below |= dict.fromkeys(range(at, at + wide), row_no + high - 1)
             if any(row):
-                rows.append(row)
-        elif x.tag in ("thead", "tbody", "tfoot"):
-            stack.extend(reversed(x.kids))
-        else:
-            captions.append(_cell_text(x))
-    if any(stray):
-        rows.append(stray)
-    return [c for c in captions if c], rows
-
-
-def _aligned(rows: list[list[str]]) -> list[str]:
-    if max(map(len, rows)) == 1:
-        return [r[0] for r in rows if r and r[0]]
-    widths = [0] * max(map(len, rows))
-    for r in rows:
-        for i, c in enumerate(r):
-            widths[i] = max(widths[i], len(c))
-    widths = [min(w, 60) for w in widths]
-    return [" | ".join([*(c.ljust(widths[i]) for i, c in enumerate(r[:-1])), r[-1]]).rstrip() for r in rows]
-
-
-def render(html: str | None) -> str:
+                items.append(row)
+        elif one := loose(x, shown):
+            items.append(one)
+    if stray:
+        items.append(stray)
+    return _aligned(items)
+
+
+def _aligned(items: list[str | list[str]]) -> list[str]:
+    widths: list[int] = []
+    for row in items:
+        if isinstance(row, list):
+            widths += [0] * (len(row) - len(widths))
+            for i, c in enumerate(row):
+                widths[i] = max(widths[i], min(len(c), 60))
+    out = []
+    for row in items:
+        if isinstance(row, str):
+            out.append(row)
+        elif any(row):
+            out.append(row[0] if len(widths) == 1 else " | ".join([*(c.ljust(widths[i]) for i, c in enumerate(row[:-1])), row[-1]]).rstrip())
+    return out
+
+
+def _flow(top: Node | str, shown: bool, flat: bool) -> str:
+    """Text of a subtree. ``flat``: inside a cell, where a table is a run of blocks like any other
+    (so tables nested ever deeper need no recursion) and the caller joins the lines."""
     page = _Page()
     lists: list[list] = []  # kind and next number of the open lists
     pre = 0
-    stack: list[tuple[Node | str, bool]] = [(parse(html or ""), False)]
+    stack: list[tuple[Node | str, bool, bool]] = [(top, shown, False)]
     while stack:
-        x, leaving = stack.pop()
+        x, shown, leaving = stack.pop()
         if isinstance(x, str):
-            page.exact(x) if pre else page.inline(x)
+            if shown:
+                page.exact(x) if pre else page.inline(x)
             continue
         tag = x.tag
         if leaving:
@@ -255,23 +336,24 @@ def render(html: str | None) -> str:
             if tag == "li":
                 page.mark = ""
             continue
-        if x.hidden():
+        if x.gone():
             continue
+        shown = x.shown(shown)
         if tag == "br":
             page.line()
             continue
         if tag == "img":
-            page.inline(x.get("alt") or "")
+            if shown:
+                page.inline(x.get("alt") or "")
             continue
         if tag == "input":
             kind = (x.get("type") or "text").lower()
-            if kind in ("submit", "button", "reset", "text", "search"):
+            if shown and kind in ("submit", "button", "reset", "text", "search"):
                 page.inline(x.get("value") or "")
             continue
-        if tag == "table":
-            captions, rows = _table_rows(x)
+        if tag == "table" and not flat:
             page.block(2)
-            for line in captions + (_aligned(rows) if rows else []):
+            for line in _table_lines(x, shown):
                 page.block(1)
                 page.exact(line)
             page.block(2)
@@ -279,10 +361,9 @@ def render(html: str | None) -> str:
         if tag in BLOCKS:
             page.block(2 if tag in SPACED and not (tag in ("ul", "ol") and lists) else 1)
             if tag in ("ul", "ol"):
-                start = x.get("start") if tag == "ol" else None
-                lists.append([tag, int(start) if start and start.isdecimal() else 1])
+                lists.append([tag, _number(x.get("start"), 0, 10**9) if tag == "ol" and x.get("start") else 1])
             elif tag == "li":
-                indent = "  " * (len(lists) - 1)
+                indent = "  " * min(len(lists) - 1, _INDENT)
                 if lists and lists[-1][0] == "ol":
                     page.mark = f"{indent}{lists[-1][1]}. "
                     lists[-1][1] += 1
@@ -292,9 +373,13 @@ def render(html: str | None) -> str:
                 page.mark = "  "
             elif tag == "pre":
                 pre += 1
-            stack.append((x, True))
-        stack.extend((k, False) for k in reversed(x.kids))
-    return "".join(page.parts)
+            stack.append((x, shown, True))
+        stack.extend((k, shown, False) for k in reversed(x.kids))
+    return page.text()
+
+
+def render(html: str | None) -> str:
+    return _flow(parse(html or ""), True, False)
 
 
 def rendered(pages: DataFrame) -> DataFrame:
