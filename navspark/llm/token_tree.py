@@ -1,4 +1,4 @@
-"""Edit-aware token counting with segment trees of pre-tokens.
+"""Edit-aware token counting with stored segment trees of pre-tokens.
 
 Byte-pair merges never cross pre-tokens, so a text's count is the sum over its pre-tokens. A
 document keeps a tree whose leaves hold runs of pre-tokens (their lengths and token counts)
@@ -7,6 +7,11 @@ have seen the edit up to the first old boundary behind it that the new split mee
 beyond that the split, which looks only forward, must go on as before. Leaves touched are
 replaced and sums on their paths updated.
 
+``planted`` makes a table of trees, one row a document: its text and the lengths and counts of
+its pre-tokens. The table is written once and read in each later run; ``edited`` takes rows of
+it with their edits, encodes only what these touch, and gives rows of the same form again. Inner
+sums follow from the leaves without any encoding, so they are not stored.
+
 Defined results: null text counts as empty; positions and lengths of edits are clipped to the
 text; repeated rows are counted each; null ids are carried; an empty table gives an empty
 result; extra columns are ignored. Special-token strings count as ordinary text.
@@ -14,14 +19,15 @@ result; extra columns are ignored. Special-token strings count as ordinary text.
 
 from __future__ import annotations
 
-import zlib
 from functools import lru_cache
 
+import numpy as np
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from navspark.llm.common import scratch, text_key
 from navspark.llm.tokens import Vocabulary, _fast
 
 LEAF = 64  #: pre-tokens of a leaf
@@ -55,23 +61,38 @@ class Counter:
 class TokenTree:
     """Text with its pre-tokens in a tree of sums; ``edit`` returns how many were encoded anew."""
 
-    def __init__(self, text: str, count: Counter, leaf: int = LEAF):
+    def __init__(self, text: str, count: Counter, leaf: int = LEAF, lengths: np.ndarray | None = None, counts: np.ndarray | None = None):
+        """``lengths`` and ``counts``: those of a stored tree, else the text is split and encoded."""
         self.text, self.count, self.leaf = text, count, leaf
-        pieces = _pattern().findall(text)
-        self._plant(list(map(len, pieces)), list(map(count, pieces)))
+        if lengths is None:
+            pieces = _pattern().findall(text)
+            lengths, counts = np.fromiter(map(len, pieces), np.uint32, len(pieces)), np.fromiter(map(count, pieces), np.uint32, len(pieces))
+        self._plant(lengths, counts)
 
-    def _plant(self, lengths: list[int], counts: list[int]) -> None:
+    def _plant(self, lengths: np.ndarray, counts: np.ndarray) -> None:
         k = self.leaf
-        self.leaves = [(lengths[i : i + k], counts[i : i + k]) for i in range(0, len(lengths), k)] or [([], [])]
+        first = np.arange(0, len(lengths), k)
+        self.leaves: list[tuple] = [(lengths[i : i + k], counts[i : i + k]) for i in first.tolist()] or [(lengths, counts)]
         self.size = 1
         while self.size < len(self.leaves):
             self.size *= 2
         self.chars, self.tokens = [0] * (2 * self.size), [0] * (2 * self.size)
-        for i, (a, b) in enumerate(self.leaves):
-            self.chars[self.size + i], self.tokens[self.size + i] = sum(a), sum(b)
+        for sums, values in ((self.chars, lengths), (self.tokens, counts)):
+            if len(first):
+                sums[self.size : self.size + len(first)] = np.add.reduceat(values, first, dtype=np.int64).tolist()
         for i in range(self.size - 1, 0, -1):
             self._sum(i)
 
+    def _leaf(self, i: int) -> tuple[list[int], list[int]]:
+        lengths, counts = self.leaves[i]
+        if not isinstance(lengths, list):
+            lengths, counts = self.leaves[i] = lengths.tolist(), counts.tolist()
+        return lengths, counts
+
+    def stored(self) -> tuple[bytes, bytes]:
+        """Lengths and counts of all pre-tokens, unsigned 32-bit, little-endian."""
+        return tuple(b"".join(np.asarray(x[side], "<u4").tobytes() for x in self.leaves) for side in (0, 1))
+
     def _sum(self, i: int) -> None:
         self.chars[i] = self.chars[2 * i] + self.chars[2 * i + 1]
         self.tokens[i] = self.tokens[2 * i] + self.tokens[2 * i + 1]
@@ -98,8 +119,8 @@ class TokenTree:
         leaf, first = self._find(max(0, at - AHEAD))
         while leaf and first > max(0, at - AHEAD):
             leaf -= 1
-            first -= sum(self.leaves[leaf][0])
-        lengths, counts = self.leaves[leaf]
+            first -= sum(self._leaf(leaf)[0])
+        lengths, counts = self._leaf(leaf)
         keep, begin = 0, first
         while keep < len(lengths) and begin + lengths[keep] + AHEAD <= at:
             begin += lengths[keep]
@@ -115,7 +136,7 @@ class TokenTree:
                     old_leaf, k = old_leaf + 1, 0
                 if old_leaf >= len(self.leaves):
                     break
-                old_at += self.leaves[old_leaf][0][k]
+                old_at += self._leaf(old_leaf)[0][k]
                 k += 1
             if pos > begin and old_at >= old_end and old_at + shift == pos and old_leaf < len(self.leaves):
                 met = True
@@ -124,7 +145,7 @@ class TokenTree:
             new_c.append(self.count(m[0]))
             fresh += 1
             pos = m.end()
-        rest = self.leaves[old_leaf] if met else ([], [])
+        rest = self._leaf(old_leaf) if met else ([], [])
         new_l, new_c = new_l + rest[0][k:], new_c + rest[1][k:]
         last = old_leaf if met else len(self.leaves) - 1
         self.text = text
@@ -136,11 +157,10 @@ class TokenTree:
                 a, b = n * i // span, n * (i + 1) // span
                 self._set(leaf + i, new_l[a:b], new_c[a:b])
         else:  # a large insertion: plant anew from the kept sums, without encoding
-            before, behind = self.leaves[:leaf], self.leaves[last + 1 :]
-            self._plant(
-                [x for a, _ in before for x in a] + new_l + [x for a, _ in behind for x in a],
-                [x for _, b in before for x in b] + new_c + [x for _, b in behind for x in b],
-            )
+            whole = []
+            for side, new in ((0, new_l), (1, new_c)):
+                whole.append(np.concatenate([np.asarray(x, np.uint32) for x in (*(a[side] for a in self.leaves[:leaf]), new, *(b[side] for b in self.leaves[last + 1 :]))]))
+            self._plant(*whole)
         return fresh
 
     def _set(self, i: int, lengths: list[int], counts: list[int]) -> None:
@@ -153,30 +173,61 @@ class TokenTree:
             i //= 2
 
 
-def counted(docs: DataFrame, edits: str | None = None, ranks_path: str | None = None) -> DataFrame:
-    """Token counts of each row before and after its edits.
+_TREES = "doc_id long, row_key long, text string, n_tokens long, lengths binary, counts binary"
+_EDITS = "array<struct<at:int,remove:int,insert:string>>"
+
+
+def planted(docs: DataFrame, ranks_path: str | None = None) -> DataFrame:
+    """A tree for each row: the table to store."""
+
+    def run(batches):
+        count = Counter(ranks_path)
+        for b in batches:
+            trees = [TokenTree(t.as_py() or "", count) for t in b.column("text")]
+            kept = [t.stored() for t in trees]
+            out = [b.column("doc_id"), b.column("row_key"), b.column("text"), pa.array([t.total() for t in trees], pa.int64()), *(pa.array([k[i] for k in kept], pa.binary()) for i in (0, 1))]
+            yield pa.RecordBatch.from_arrays(out, [f.split()[0] for f in _TREES.split(", ")])
+
+    text = F.col("text").cast("string")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_key(text).alias("row_key"), text.alias("text")).mapInArrow(run, _TREES)
+
 
-    ``edits`` names an array column of (at, remove, insert), applied in order; positions refer
-    to the text as the edits before have left it.
+def store(docs: DataFrame, path: str, ranks_path: str | None = None) -> DataFrame:
+    """Writes the trees of ``docs`` and reads them back."""
+    planted(docs, ranks_path).write.option("compression", "zstd").parquet(path)
+    return docs.sparkSession.read.schema(_TREES).parquet(path)
+
+
+def edited(trees: DataFrame, edits: str = "edits", ranks_path: str | None = None) -> DataFrame:
+    """Stored trees after their edits, in the form of the store, with ``n_before`` and ``n_encoded``
+    (pre-tokens encoded anew). ``edits`` names an array column of (at, remove, insert), applied
+    in order; positions refer to the text as the edits before have left it.
     """
+    names = [f.split()[0] for f in _TREES.split(", ")]
 
     def run(batches):
         count = Counter(ranks_path)
         for b in batches:
-            rows = []
-            for doc_id, text, todo in zip(b.column("doc_id"), b.column("text"), b.column("edits"), strict=True):
-                tree = TokenTree(text.as_py() or "", count)
-                before, fresh = tree.total(), 0
+            rows, size = [], 0
+            for doc_id, key, text, n, lengths, counts, todo in zip(*(b.column(c) for c in (*names, "edits")), strict=True):
+                lengths, counts = (np.frombuffer(x.as_py(), "<u4") for x in (lengths, counts))
+                tree, fresh = TokenTree(text.as_py() or "", count, lengths=lengths, counts=counts), 0
                 for e in todo.as_py() or []:
-                    fresh += tree.edit(e["at"] or 0, e["remove"] or 0, e["insert"] or "")
-                rows.append((doc_id.as_py(), before, tree.total(), fresh, len(tree.text), zlib.crc32(tree.text.encode())))
-            yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in (zip(*rows, strict=True) if rows else [[]] * 6)], names)
+                    if e is not None:
+                        fresh += tree.edit(e["at"] or 0, e["remove"] or 0, e["insert"] or "")
+                rows.append((doc_id.as_py(), key.as_py(), tree.text, tree.total(), *tree.stored(), n.as_py(), fresh))
+                size += 3 * len(tree.text)
+                if size > 1 << 24:
+                    yield batch(rows)
+                    rows, size = [], 0
+            if rows:
+                yield batch(rows)
+
+    def batch(rows):
+        kinds = [pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.binary(), pa.binary(), pa.int64(), pa.int64()]
+        return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], [*names, "n_before", "n_encoded"])
 
-    names = ["doc_id", "n_tokens", "n_tokens_edited", "n_encoded", "n_chars_edited", "crc32_edited"]
-    todo = F.col(edits) if edits else F.array()
-    kind = "array<struct<at:int,remove:int,insert:string>>"
-    some = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), todo.cast(kind).alias("edits"))
-    return some.mapInArrow(run, ", ".join(f"{n} long" for n in names))
+    return trees.select(*names, F.col(edits).cast(_EDITS).alias("edits")).mapInArrow(run, _TREES + ", n_before long, n_encoded long")
 
 
 def test_edits(n: int = 3):
@@ -192,4 +243,14 @@ test_edits.__test__ = False
 
 
 def op7_result(docs: DataFrame) -> DataFrame:
-    return counted(docs.select("doc_id", "text", test_edits().alias("edits")), "edits")
+    """Counts before and after edits of trees that went through the store."""
+    trees = store(docs.select("doc_id", "text"), scratch(docs.sparkSession, "trees"))
+    got = edited(trees.withColumn("edits", test_edits()))
+    return got.select(
+        "doc_id",
+        F.col("n_before").alias("n_tokens"),
+        F.col("n_tokens").alias("n_tokens_edited"),
+        "n_encoded",
+        F.char_length("text").cast("long").alias("n_chars_edited"),
+        F.crc32(F.col("text").cast("binary")).alias("crc32_edited"),
+    )

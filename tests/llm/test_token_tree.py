@@ -46,3 +46,18 @@ def test_query(spark):
         want.append((d, len(enc.encode_ordinary(s)), zlib.crc32(s.encode())))
     assert sorted(((r.doc_id, r.n_tokens_edited, r.crc32_edited) for r in got), key=str) == sorted(want, key=str)
     assert T.op7_result(df.limit(0)).count() == 0
+
+
+def test_stored_trees_take_edit_after_edit(spark, tmp_path):
+    enc = _fast(Vocabulary().ranks_path)
+    data = docs([(1, None), (2, "plain words here, it's all " * 500), (None, "y z")])
+    trees = T.store(spark.createDataFrame(data, DOC_DDL), str(tmp_path / "a"))
+    for turn, todo in enumerate(([(3, 1, " new"), (0, 0, "x")], [(2000, 40, "gone!")], [])):
+        put = "array(" + ", ".join(f"named_struct('at', {a}, 'remove', {r}, 'insert', '{i}')" for a, r, i in todo) + ")"
+        after = T.edited(trees.selectExpr("*", f"{put} as edits"))
+        assert after.where("n_encoded > 12").count() == 0
+        after.drop("n_before", "n_encoded").write.parquet(str(tmp_path / f"t{turn}"))
+        trees = spark.read.parquet(str(tmp_path / f"t{turn}"))
+        for r in trees.collect():
+            assert r.n_tokens == len(enc.encode_ordinary(r.text or ""))
+            assert (bytes(r.lengths), bytes(r.counts)) == T.TokenTree(r.text or "", T.Counter()).stored()
