@@ -4,10 +4,11 @@ Writing. Each page becomes one gzip member. Pages whose payload (of at least ``M
 bytes) equals that of a page with a larger id become revisits of it. Only digests take part in
 the search for equals; payloads are not shuffled while the repeated digests fit a checked
 broadcast. Spark's text writer lays the members end to end with an empty member as separator,
-so archives go to any file system Spark knows, through its commit protocol.
+so archives go to any file system Spark knows, through its commit protocol. A new archive is
+begun when one holds ``max_bytes``, so an archive has at most that and one record more.
 
-Reading. Archives come as whole files (their size is bounded by ``max_records`` when written
-here). Members and plain records are checked: gzip checksum, version line, length, trailing
+Reading. Archives come as whole files, whose bytes are bounded when written here; members are
+inflated one by one and records handed on in bounded batches. Members and plain records are checked: gzip checksum, version line, length, trailing
 line ends, block and payload digests. After a failed check the reader looks for the next
 valid member or version line, goes on from there, and logs the bytes between as a gap.
 
@@ -31,7 +32,7 @@ from pyspark.sql import functions as F
 from navspark.llm.common import checked, scratch, written
 
 MIN_REVISIT = 1000  #: bytes from which equal payloads are stored once
-MAX_RECORDS = 20_000  #: records of an archive
+MAX_BYTES = 32 << 20  #: compressed bytes after which a new archive is begun
 LEVEL = 4  #: of compression
 DATE = "1970-01-01T00:00:00Z"
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
@@ -75,24 +76,25 @@ def plan_revisits(pages: DataFrame, min_bytes: int = MIN_REVISIT) -> DataFrame:
     return base.join(checked(again, 96), "digest", "left").select("page_id", "url", "payload", "digest", refers.alias("refers_to"))
 
 
-def write_warc(pages: DataFrame, path: str, min_bytes: int = MIN_REVISIT, level: int = LEVEL, date: str = DATE, max_records: int = MAX_RECORDS) -> None:
+def write_warc(pages: DataFrame, path: str, min_bytes: int = MIN_REVISIT, level: int = LEVEL, date: str = DATE, max_bytes: int = MAX_BYTES) -> None:
+    """Archives below ``path``/archive=n; a task numbers its own from 0."""
+
     def run(batches):
+        archive, size = 0, 0
         for b in batches:
-            out = []
+            out, where = [], []
             for page_id, url, payload, digest, refers in zip(*(b.column(c) for c in ("page_id", "url", "payload", "digest", "refers_to")), strict=True):
                 to = refers.as_py()
                 out.append(member(record("response" if to is None else "revisit", page_id.as_py(), url.as_py(), payload.as_py(), digest.as_py(), to, date), level))
-            yield pa.RecordBatch.from_arrays([pa.array(out, pa.binary())], ["value"])
+                if size >= max_bytes:
+                    archive, size = archive + 1, 0
+                where.append(archive)
+                size += len(out[-1])
+            yield pa.RecordBatch.from_arrays([pa.array(where, pa.int32()), pa.array(out, pa.binary())], ["archive", "value"])
 
-    members = plan_revisits(pages, min_bytes).mapInArrow(run, "value binary")
+    members = plan_revisits(pages, min_bytes).mapInArrow(run, "archive int, value binary")
     separator = bytes.fromhex(_EMPTY_MEMBER).decode("latin-1")
-    (
-        members.select(F.col("value").cast("string").alias("value"))
-        .write.option("lineSep", separator)
-        .option("encoding", "ISO-8859-1")
-        .option("maxRecordsPerFile", max_records)
-        .text(path)
-    )
+    members.select("archive", F.col("value").cast("string").alias("value")).write.option("lineSep", separator).option("encoding", "ISO-8859-1").partitionBy("archive").text(path)
 
 
 class Broken(Exception):
@@ -243,7 +245,7 @@ def read_warc(spark: SparkSession, path: str, with_payload: bool = True) -> Data
         kinds = [{"string": pa.string(), "long": pa.int64(), "binary": pa.binary()}[f.split()[1]] for f in _READ.split(", ")]
         return pa.RecordBatch.from_arrays([pa.array([r.get(n) for r in rows], k) for n, k in zip(names, kinds, strict=True)], names)
 
-    return spark.read.format("binaryFile").load(path).select("path", "content").mapInArrow(run, _READ)
+    return spark.read.format("binaryFile").option("recursiveFileLookup", "true").load(path).select("path", "content").mapInArrow(run, _READ)
 
 
 def op1_result(spark: SparkSession, pages: DataFrame) -> DataFrame:
