@@ -3,10 +3,12 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
 import os
 import re
 import uuid
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -61,6 +63,28 @@ def written(df: DataFrame, label: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def give_back() -> None:
+    """Returns memory that a finished batch has left free to the system: a worker waits for its next
+    task beside the JVM's tasks and should not keep its largest batch's pages meanwhile."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # another C library
+        return
+
+
+def arrow_map(df: DataFrame, run, schema) -> DataFrame:
+    """``mapInArrow`` that gives memory back after each batch."""
+
+    def tidy(batches):
+        for out in run(batches):
+            yield out
+            del out
+            give_back()
+
+    return df.mapInArrow(tidy, schema)
+
+
 def checked(small: DataFrame, row_bytes: int = 64, items: str | None = None) -> DataFrame:
     """Mark a usually small side of a join for broadcast, if its counted rows (and the eight
     bytes of each element of the array column ``items``) fit ``BROADCAST_BYTES``. Otherwise

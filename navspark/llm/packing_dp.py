@@ -31,6 +31,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from navspark.llm.common import arrow_map
 from navspark.llm.tokens import Vocabulary
 
 LENGTH = 2048
@@ -141,4 +142,4 @@ def pack(docs: DataFrame, length: int = LENGTH, block: int = BLOCK, json_path: s
         if held:
             yield flush(True)
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, SCHEMA)
+    return arrow_map(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")), run, SCHEMA)

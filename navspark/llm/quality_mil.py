@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, StructField, StructType
 
-from navspark.llm.common import written
+from navspark.llm.common import arrow_map, written
 
 PASSAGE = 1024  #: bytes of a passage
 SLICE = 1 << 22  #: bytes encoded at a time
@@ -145,7 +145,7 @@ def training_bags(docs: DataFrame, labels: DataFrame, max_train: int = MAX_TRAIN
             size = [len(x) // (2 * WIDTH) for x in got]
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("label"), pa.array(size, pa.int64()), pa.array(got, pa.binary())], ["doc_id", "label", "size", "bag"])
 
-    bags = written(one.select("doc_id", "label", F.col("x.text").alias("text")).mapInArrow(run, "doc_id long, label int, size long, bag binary"), "bags")
+    bags = written(arrow_map(one.select("doc_id", "label", F.col("x.text").alias("text")), run, "doc_id long, label int, size long, bag binary"), "bags")
     so_far = F.sum("size").over(Window.orderBy(F.xxhash64("doc_id"), "doc_id"))  # of at most max_train rows
     take = bags.select("doc_id", so_far.alias("so_far")).where(F.col("so_far") <= max_total).select("doc_id")
     rows = sorted(bags.join(F.broadcast(take), "doc_id").select("doc_id", "label", "bag").collect())
@@ -182,7 +182,7 @@ def scored(docs: DataFrame, model: GatedAttention | float, name: str = "score")
                     at = end
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(score)], names)
 
-    return docs.mapInArrow(run, StructType([*docs.schema.fields, StructField(name, DoubleType())]))
+    return arrow_map(docs, run, StructType([*docs.schema.fields, StructField(name, DoubleType())]))
 
 
 def op3_result(docs: DataFrame, labels: DataFrame) -> DataFrame:

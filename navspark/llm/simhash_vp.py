@@ -19,8 +19,9 @@ that shard's queries visit, so a task holds a bounded number of rows and no link
 
 Defined results: null or wordless text has fingerprint zero and links like any other. Rows
 sharing a doc_id are fingerprinted each. A null doc_id takes part but never names a
-component unless it has no other member. An empty table gives an empty result. Extra columns
-are ignored.
+component unless it has no other member. An empty table gives an empty result. Extra columns,
+whatever their names, are ignored, and carried by ``survivors``, which keeps one row of each
+group: that of the smallest doc_id (null last), then of the smallest hash of the text.
 """
 
 from __future__ import annotations
@@ -34,12 +35,15 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from navspark.llm.common import checked, written
+from navspark.llm.common import apart, arrow_map, checked, same_row, text_key, whole, written
 
-SAMPLE = 1 << 15  #: fingerprints from which the driver builds the routing trees (bounded)
+SAMPLE = 32  #: fingerprints for each leaf, from which the driver builds the routing trees
+DEPTH = 14  #: most levels of a routing tree, so at most 2**19 sampled fingerprints (4 MB)
 SHARD = 50_000  #: fingerprints aimed at in a shard
 CHUNK = 200_000  #: most fingerprints of one shard that a task holds at a time
-SET_CHUNK = 2_000  #: members whose shingle sets a task holds at a time
+SET_CHUNK = 2_000  #: members whose shingle sets a task holds at a time,
+SET_BYTES = 16 << 20  #: and the bytes of their hashes
+SIGNS = 64  #: most signatures of a set in a size band
 SLICE = 1 << 20  #: bytes of a text split into words at a time
 
 _XX = partial(xxhash.xxh64_intdigest, seed=42)
@@ -96,11 +100,9 @@ def _mixed(h: np.ndarray, word: int) -> np.ndarray:
     return z ^ (z >> np.uint64(31))
 
 
-def fingerprint(text: str | None, k: int = 3, bits: int = 64, distinct: bool = False) -> tuple[bytes, int]:
+def fingerprint(text: str | None, k: int = 3, bits: int = 64) -> tuple[bytes, int]:
     """Fingerprint of a text and the number of shingles that voted."""
     parts = list(shingle_hashes(text, k))
-    if distinct and parts:
-        parts = [np.unique(np.concatenate(parts))]
     n = sum(map(len, parts))
     return vote(parts, n, bits), n
 
@@ -114,20 +116,42 @@ def vote(parts: list[np.ndarray], n: int, bits: int) -> bytes:
     return np.packbits(2 * votes > n).tobytes()
 
 
-def fingerprints(docs: DataFrame, k: int = 3, bits: int = 64, distinct: bool = False) -> DataFrame:
-    """(doc_id, fp binary, n_shingles) for each row of ``docs``."""
+def _texts(docs: DataFrame) -> DataFrame:
+    text = F.col("text").cast("string")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_key(text).alias("row_key"), text.alias("text"))
+
+
+def _set_of(text: str | None, k: int) -> np.ndarray:
+    parts = list(shingle_hashes(text, k))
+    return np.unique(np.concatenate(parts)) if parts else np.zeros(0, np.uint64)
+
+
+def fingerprints(docs: DataFrame, k: int = 3, bits: int = 64, similarity: float | None = None) -> DataFrame:
+    """(doc_id, row_key, fp binary, n_shingles) for each row of ``docs``.
+
+    With ``similarity`` each distinct shingle votes once, and ``signs`` has the set's signatures.
+    """
 
     def run(batches):
         for b in batches:
-            got = [fingerprint(t.as_py(), k, bits, distinct) for t in b.column("text")]
-            yield pa.RecordBatch.from_arrays(
-                [b.column("doc_id"), pa.array([g[0] for g in got], pa.binary()), pa.array([g[1] for g in got], pa.int64())],
-                ["doc_id", "fp", "n_shingles"],
-            )
-
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(
-        run, "doc_id long, fp binary, n_shingles long"
-    )
+            fps, sizes, signs = [], [], []
+            for t in b.column("text"):
+                if similarity is None:
+                    fp, n = fingerprint(t.as_py(), k, bits)
+                else:
+                    ids = _set_of(t.as_py(), k)
+                    fp, n = vote([ids], len(ids), bits), len(ids)
+                    signs.append(signatures(ids, similarity).view(np.int64))
+                fps.append(fp)
+                sizes.append(n)
+            out = [b.column("doc_id"), b.column("row_key"), pa.array(fps, pa.binary()), pa.array(sizes, pa.int64())]
+            names = ["doc_id", "row_key", "fp", "n_shingles"]
+            if similarity is not None:
+                out, names = [*out, pa.array(signs, pa.list_(pa.int64()))], [*names, "signs"]
+            yield pa.RecordBatch.from_arrays(out, names)
+
+    schema = "doc_id long, row_key long, fp binary, n_shingles long" + (", signs array<long>" if similarity is not None else "")
+    return arrow_map(_texts(docs), run, schema)
 
 
 class VantageTree:
@@ -282,9 +306,9 @@ def fingerprint_edges(distinct: DataFrame, bits: int, radius: int, blocks: int,
     ``distinct`` is a written table with column fp.
     """
     n = distinct.count()
-    depth = max(0, min(10, int(np.ceil(np.log2(max(1, n) / SHARD)))))
+    depth = max(0, min(DEPTH, int(np.ceil(np.log2(max(1, n) / SHARD)))))
     sample = (
-        _matrix(pa.array([bytes(r[0]) for r in distinct.select("fp").orderBy(F.xxhash64("fp"), "fp").limit(SAMPLE).collect()], pa.binary()), bits)
+        _matrix(pa.array([bytes(r[0]) for r in distinct.select("fp").orderBy(F.xxhash64("fp"), "fp").limit(SAMPLE << depth).collect()], pa.binary()), bits)
         if depth
         else np.zeros((0, bits // 64), np.uint64)
     )
@@ -303,7 +327,7 @@ def fingerprint_edges(distinct: DataFrame, bits: int, radius: int, blocks: int,
 
     routed = distinct.select("fp").mapInArrow(route, "fp binary, shard long, home boolean")
     sizes = routed.where("home").groupBy("shard").count()
-    # Shards are bounded in number (trees of at most 2**10 leaves), so is this table.
+    # Shards are bounded in number (trees of at most 2**DEPTH leaves), so is this table.
     chunks = sizes.select("shard", F.ceil(F.col("count") / CHUNK).cast("int").alias("chunks"))
     dealt = _grid(routed.join(F.broadcast(chunks), "shard"))
 
@@ -355,14 +379,19 @@ def size_band(n: int, similarity: float) -> tuple[int, int, int]:
 
 
 def signatures(ids: np.ndarray, similarity: float) -> np.ndarray:
-    """Hashes of which any two different sets of ``similarity`` or more have one in common, surely.
+    """Hashes of which any two different sets of ``similarity`` or more have one in common.
 
     ``ids``: the distinct hashes of a set. Similar sets of at most ``most`` elements differ in ``apart`` elements at
-    most. Elements are dealt to parts by hash; at most ``apart`` parts differ, so the first ``apart + 1`` parts
-    that are not empty, in any order common to both sets, can't all differ (large parts go first, as few
-    other sets have them). A set with fewer parts than that gives its first elements besides: the pair would
-    be lost only where both sets have too few, and then these meet. A set signs for its own size
-    band and the next, so that it meets its neighbours in both.
+    most. Elements are dealt to parts by hash, and a part signs with the hash of its elements; a part with no
+    differing element is the same in both sets. A set signs for its own size band and the next, so that it
+    meets its neighbours in both.
+
+    Up to ``apart + 1 = SIGNS`` this is certain: at most ``apart`` parts differ, so the first ``apart + 1`` parts that
+    are not empty, in any order common to both sets, can't all differ (large parts go first, as few other sets
+    have them). A set with fewer parts than that gives its first elements besides: the pair would be lost only
+    where both sets have too few, and then these meet. For larger sets the first ``SIGNS`` of ``apart + 1`` parts
+    sign: each is spared by ``apart`` differences with a chance of 1/e or more, so a pair is missed with a chance
+    of at most 0.632 ** 64, which is 2e-13, about that of two of a set's 64-bit hashes being equal by chance.
     """
     n = len(ids)
     if not n:
@@ -374,13 +403,19 @@ def signatures(ids: np.ndarray, similarity: float) -> np.ndarray:
             apart = int((1 - similarity) / (1 + similarity) * 2 * most + 1e-9)
             if not apart:  # similar sets of this size are equal
                 continue
-            parts = np.uint64(-(-13 * (apart + 1) // 10))
+            sure = apart < SIGNS
+            parts = np.uint64(-(-13 * (apart + 1) // 10) if sure else apart + 1)
             mixed = _mixed(ids, 64 + key)
             part = (mixed >> np.uint64(32)) % parts
+            if not sure:  # the parts that can be among the first, and some to spare
+                few = part < np.uint64(4 * SIGNS)
+                mixed, part = mixed[few], part[few]
             order = np.argsort(part, kind="stable")
             first = np.flatnonzero(np.diff(part[order], prepend=parts))
-            sums = _mixed(np.add.reduceat(mixed[order], first) + part[order][first], 1)
-            if len(first) > apart:
+            sums = _mixed(np.add.reduceat(mixed[order], first) + part[order][first], 1) if len(first) else mixed[:0]
+            if not sure:
+                sums = sums[:SIGNS]
+            elif len(first) > apart:
                 size = np.diff(first, append=n)
                 sums = sums[np.lexsort((sums, -size))[: apart + 1]]
             else:
@@ -390,26 +425,14 @@ def signatures(ids: np.ndarray, similarity: float) -> np.ndarray:
     return np.concatenate([ids[:0], *out])
 
 
-def signature_edges(docs: DataFrame, k: int, bits: int, similarity: float) -> DataFrame:
+def signature_edges(prints: DataFrame) -> DataFrame:
     """Edges (a, b) that join any two fingerprints, by their xxhash64, whose shingle sets share a signature.
 
     Rows of one signature form a star, never all pairs.
     """
-
-    def run(batches):
-        for b in batches:
-            ids, got = [], []
-            for text in b.column("text"):
-                parts = list(shingle_hashes(text.as_py(), k))
-                one = np.unique(np.concatenate(parts)) if parts else np.zeros(0, np.uint64)
-                ids.append(vote([one], len(one), bits))
-                got.append(signatures(one, similarity).view(np.int64))
-            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.binary()), pa.array(got, pa.list_(pa.int64()))], ["fp", "signs"])
-
-    signs = written(docs.select(F.col("text").cast("string").alias("text")).mapInArrow(run, "fp binary, signs array<long>").select(F.xxhash64("fp").alias("node"), "signs"), "signatures")
-    flat = signs.select("node", F.explode("signs").alias("sign"))
+    flat = prints.select(F.xxhash64("fp").alias("node"), F.explode("signs").alias("sign"))
     met = written(flat.groupBy("sign").agg(F.min("node").alias("b"), F.max("node").alias("top")).where("b <> top").select("sign", "b"), "met")
-    return flat.join(checked(met, 96), "sign").where("node <> b").select(F.col("node").alias("a"), "b").distinct()
+    return flat.join(met, "sign").where("node <> b").select(F.col("node").alias("a"), "b").distinct()
 
 
 class Sets:
@@ -467,30 +490,35 @@ def linked_sets(fp: np.ndarray, sets: list[np.ndarray], data: np.ndarray, query:
 def verified_edges(docs: DataFrame, distinct: DataFrame, loose: DataFrame, k: int, bits: int, radius: int, similarity: float) -> DataFrame:
     """Edges (a, b) between fingerprints of one loose component whose shingle sets are similar.
 
-    Only members of a component with company are read again. Small components share a shard;
-    one of more than ``SET_CHUNK`` members becomes a grid of cells, as large shards do.
+    Only members of a component with company are read again. Small components share a shard; one
+    of more than ``SET_CHUNK`` members or ``SET_BYTES`` becomes a grid of cells, as large shards do.
     """
-    members = written(distinct.where("rep is not null").join(loose, F.xxhash64("fp") == F.col("node")).select("fp", "rep", "root"), "members")
-    sizes = members.groupBy("root").agg(F.ceil(F.count("*") / SET_CHUNK).cast("int").alias("chunks")).where("chunks > 1")  # at most n / SET_CHUNK rows
-    shards = max(1, members.count() // SET_CHUNK)
+    members = written(distinct.join(loose, F.xxhash64("fp") == F.col("node")).select("fp", "rep", "n_shingles", "root"), "members")
+    load = F.greatest(F.count("*") / SET_CHUNK, F.sum(8 * F.col("n_shingles")) / SET_BYTES)
+    sizes = members.groupBy("root").agg(F.ceil(load).cast("int").alias("chunks")).where("chunks > 1")  # few: each stands for a chunk or more
+    shards = max(1, int(members.agg(F.coalesce(load, F.lit(0.0))).first()[0]))
     m = members.join(checked(sizes, 96), "root", "left").withColumn("chunks", F.coalesce("chunks", F.lit(1)))
     m = m.withColumn("shard", F.when(F.col("chunks") > 1, F.xxhash64("root")).otherwise(F.pmod(F.xxhash64("root"), F.lit(shards))))
-    some = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    rows = some.join(checked(m, 160), F.col("doc_id") == F.col("rep")).select("fp", "root", "shard", "chunks", "text")
+    m = m.select(F.col("rep.doc_id").alias("doc_id"), F.col("rep.row_key").alias("row_key"), "fp", "root", "shard", "chunks")
+    some = _texts(docs)
+    rows = some.join(checked(m, 160), same_row(some, m)).select("fp", "root", "shard", "chunks", "text")
 
     def run(batches):
+        seen = set()  # rows that repeat both id and text come once a task
         for b in batches:
             sets, keep = [], []
-            for i, (want, text) in enumerate(zip(b.column("fp"), b.column("text"), strict=True)):
-                parts = list(shingle_hashes(text.as_py(), k))
-                one = np.unique(np.concatenate(parts)) if parts else np.zeros(0, np.uint64)
-                if vote([one], len(one), bits) == want.as_py():  # else another text of the same id
+            for i, (want, text) in enumerate(zip(b.column("fp").to_pylist(), b.column("text"), strict=True)):
+                if want in seen:
+                    continue
+                one = _set_of(text.as_py(), k)
+                if vote([one], len(one), bits) == want:  # else another text of the same hash
+                    seen.add(want)
                     sets.append(one.tobytes())
                     keep.append(i)
             at = pa.array(keep, pa.int64())
             yield pa.RecordBatch.from_arrays([*(b.column(c).take(at) for c in ("fp", "root", "shard", "chunks")), pa.array(sets, pa.binary())], ["fp", "root", "shard", "chunks", "sets"])
 
-    sets = rows.mapInArrow(run, "fp binary, root long, shard long, chunks int, sets binary").withColumn("home", F.lit(True))
+    sets = arrow_map(rows, run, "fp binary, root long, shard long, chunks int, sets binary").withColumn("home", F.lit(True))
 
     def search(key: tuple[pa.Scalar, ...], t: pa.Table) -> pa.Table:
         t = t.combine_chunks().sort_by([("root", "ascending"), ("fp", "ascending")])
@@ -509,27 +537,49 @@ def verified_edges(docs: DataFrame, distinct: DataFrame, loose: DataFrame, k: in
     return out.where(F.col("a") != F.col("b")).distinct()
 
 
-def near_duplicates(
-    docs: DataFrame, k: int = 3, bits: int = 64, radius: int = 3, blocks: int = 2, ratio: float | None = None, leaf: int = 512
-) -> DataFrame:
-    """(doc_id, fp, component_id) for each row; component_id is the smallest doc_id reachable.
+def _groups(docs: DataFrame, k: int, bits: int, radius: int, blocks: int, ratio: float | None, leaf: int) -> tuple[DataFrame, DataFrame]:
+    """(doc_id, row_key, fp) of each row, and (fp, component_id, leader) of the fingerprints whose
+    group has more than one row; the leader is the (doc_id, row_key) that stands for the group."""
+    prints = written(fingerprints(docs, k, bits, ratio), "fingerprints")
+    rep = F.struct(F.col("doc_id").isNull().alias("nameless"), "doc_id", "row_key")
+    distinct = written(prints.groupBy("fp").agg(F.min(rep).alias("rep"), F.min("n_shingles").alias("n_shingles"), F.count("*").alias("n_rows")), "distinct")
+    if ratio is not None:
+        linked = components(verified_edges(docs, distinct, components(signature_edges(prints)), k, bits, radius, ratio))
+    else:
+        linked = components(fingerprint_edges(distinct, bits, radius, blocks, leaf))
+    own = distinct.join(linked, distinct.fp == linked.node, "left").where(F.col("root").isNotNull() | (F.col("n_rows") > 1))
+    own = own.select("fp", "rep", F.coalesce("root", "fp").alias("root"))
+    best = own.groupBy("root").agg(F.min("rep").alias("leader"))
+    named = own.join(best, "root").select("fp", F.col("leader.doc_id").alias("component_id"), F.struct("leader.doc_id", "leader.row_key").alias("leader"))
+    return prints.select("doc_id", "row_key", "fp"), written(named, "named")
+
+
+def near_duplicates(docs: DataFrame, k: int = 3, bits: int = 64, radius: int = 3, blocks: int = 2, ratio: float | None = None, leaf: int = 512) -> DataFrame:
+    """(doc_id, row_key, fp, component_id) for each row; component_id is the smallest doc_id reachable.
 
     ``ratio``: links are pairs of a Jaccard similarity of ``ratio`` or more over distinct
-    shingles. Candidates share a signature, which misses none (see ``signatures``), and their shingle
-    sets decide; ``radius`` only sets which fingerprints are compared first. Texts of rows with a
-    null doc_id can't be found again, so in this mode those link to exact copies only.
+    shingles. Candidates share a signature (see ``signatures``), and their shingle sets decide;
+    ``radius`` only sets which fingerprints are compared first.
     """
-    by_sets = ratio is not None
-    fps = written(fingerprints(docs, k, bits, distinct=by_sets), "fingerprints")
-    distinct = written(fps.groupBy("fp").agg(F.min("doc_id").alias("rep")), "distinct")
-    if by_sets:
-        linked = components(verified_edges(docs, distinct, components(signature_edges(docs, k, bits, ratio)), k, bits, radius, ratio))
-    else:
-        linked = components(fingerprint_edges(distinct, bits, radius, blocks, leaf))
-    own = distinct.join(linked, distinct.fp == linked.node, "left").select("fp", "rep", F.coalesce("root", "fp").alias("root"))
-    best = own.groupBy("root").agg(F.min("rep").alias("component_id"))
-    named = written(own.join(best, "root").select("fp", "component_id"), "named")
-    return fps.select("doc_id", "fp").join(named, "fp")
+    prints, named = _groups(docs, k, bits, radius, blocks, ratio, leaf)
+    j = prints.join(checked(named.select("fp", "component_id", F.lit(True).alias("grouped")), 32 + bits // 8), "fp", "left")
+    return j.select("doc_id", "row_key", "fp", F.when(F.col("grouped"), F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"))
+
+
+def survivors(docs: DataFrame, k: int, bits: int, radius: int, ratio: float, leaf: int = 512) -> DataFrame:
+    """``docs`` with one row of each group of near duplicates; all columns stay."""
+    prints, named = _groups(docs, k, bits, radius, 1, ratio, leaf)
+    leads = F.col("doc_id").eqNullSafe(F.col("leader.doc_id")) & (F.col("row_key") == F.col("leader.row_key"))
+    gone = prints.join(checked(named.select("fp", "leader"), 48 + bits // 8), "fp").where(~leads).select("doc_id", "row_key")
+    gone = written(gone.distinct(), "copies")
+    rows = docs.select(*apart(docs))
+    kept = rows.join(checked(gone, 24), same_row(rows, gone), "left_anti")
+    twice = written(prints.groupBy("doc_id", "row_key").count().where("count > 1").select("doc_id", "row_key"), "twice")
+    if twice.isEmpty():
+        return kept.select(*whole(docs))
+    twice = checked(twice, 24)
+    many = kept.join(twice, same_row(kept, twice), "left_semi").groupBy("doc_id", "row_key").agg(F.first(F.struct("row", "text")).alias("x")).select("x.row", "x.text")
+    return kept.join(twice, same_row(kept, twice), "left_anti").select("row", "text").unionByName(many).select(*whole(docs))
 
 
 def op8_result(docs: DataFrame) -> DataFrame:

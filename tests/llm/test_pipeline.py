@@ -2,7 +2,7 @@ import corpus_pipeline as C
 from helpers import DOC_DDL
 from pyspark.sql import functions as F
 
-from navspark.llm import decontam, simhash_vp
+from navspark.llm import common, decontam, simhash_vp
 from navspark.llm.common import table, written
 
 SF = "/root/testdata/sf0.001"
@@ -40,3 +40,40 @@ def test_odd_rows_pass_every_stage(spark):
         for name, stage in C.STAGES:
             d = written(stage(spark, d, SF), name)
         assert (d.count() > 0) == (frame is docs)
+
+
+CLASHES = ["row_key", "gone", "lines", "score", "ROW", "fp", "leader", "hits", "spans", "w", "h1", "label", "component_id", "n_lines", "x", "rep", "node", "sign"]
+
+
+def test_clashing_columns_keep_their_values(spark):
+    docs = table(spark, SF, "documents").select("*", *[F.concat(F.lit(c), F.col("doc_id").cast("string")).alias(c) for c in CLASHES])
+    plain, d = table(spark, SF, "documents"), docs
+    for name, stage in C.STAGES[:-1]:
+        d, plain = written(stage(spark, d, SF), name), written(stage(spark, plain, SF), name)
+        assert d.columns == docs.columns
+        for c in CLASHES:
+            assert d.where(F.col(c) != F.concat(F.lit(c), F.col("doc_id").cast("string"))).count() == 0
+        assert sorted(r[:5] for r in d.collect()) == sorted(tuple(r) for r in plain.collect())
+
+
+def test_shuffled_branches_give_the_same_rows(spark, monkeypatch):
+    docs, got = table(spark, SF, "documents"), []
+    for limit in (common.BROADCAST_BYTES, -1):
+        monkeypatch.setattr(common, "BROADCAST_BYTES", limit)
+        d, here = docs, []
+        for name, stage in C.STAGES[1:-1]:
+            d = written(stage(spark, d, SF), name)
+            here.append(sorted(map(tuple, d.collect())))
+        here.append(sorted(map(tuple, simhash_vp.op8_result(docs).collect())))
+        here.append(sorted(map(tuple, decontam.op10_result(docs, table(spark, SF, "benchmark")).collect())))
+        got.append(here)
+    assert got[0] == got[1]
+
+
+def test_one_row_of_each_group_stays(spark):
+    text = "one two three four five six seven eight nine ten eleven twelve thirteen fourteen fifteen sixteen"
+    other = "a text of its own that is nothing like the rest of them here and now"
+    rows = [(None, text), (None, text), (3, text), (3, text), (3, other), (2, text + " more"), (None, other + " x y z p q r s t"), (9, None), (8, ""), (None, None)]
+    docs = spark.createDataFrame([(d, t, str(i)) for i, (d, t) in enumerate(rows)], "doc_id long, text string, tag string")
+    left = C.near_duplicates(spark, docs, SF).collect()
+    assert sorted(((r.doc_id, r.text) for r in left), key=str) == sorted([(2, text + " more"), (3, other), (None, other + " x y z p q r s t"), (8, "")], key=str)

@@ -143,10 +143,11 @@ def test_short_texts_at_the_pipelines_radius_equal_brute_force(spark):
     assert {r.doc_id: r.component_id for r in got.collect()} == want
 
 
-def test_similar_sets_share_a_signature():
+@pytest.mark.parametrize("largest", [400, 3000])
+def test_similar_sets_share_a_signature(largest):
     rng = np.random.default_rng(8)
     for _ in range(3000):
-        n = int(rng.integers(1, 400))
+        n = int(rng.integers(1, largest))
         ids = rng.integers(0, 1 << 63, n + n // 4, dtype=np.uint64)
         size = n + int(rng.integers(0, n // 4 + 1))
         drop = int(rng.integers(0, n // 9 + 1))
