@@ -7,15 +7,20 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from navspark.functions.core import uniform01
+from navspark.session import kept
 
 
-def draw_starts(instances: DataFrame, poses: DataFrame, views: DataFrame, per_target: int = 1, seed: str = "start") -> DataFrame:
+def draw_starts(views: DataFrame, instances: DataFrame | None = None, poses: DataFrame | None = None, per_target: int = 1, seed: str = "start") -> DataFrame:
     """(target, start): poses from which the target is seen in some stored view, drawn by hash.
 
-    ``views``: (target, viewpoint); ``poses``: (viewpoint, ...). That the first forward view
-    shows the target is not promised.
+    ``views``: (target, viewpoint); ``instances`` (target) and ``poses`` (viewpoint) limit them where
+    given. That the first forward view shows the target is not promised.
     """
-    seen = views.select("target", "viewpoint").distinct().join(instances.select("target"), "target", "left_semi").join(poses, "viewpoint", "left_semi")
+    seen = views.select("target", "viewpoint").distinct()
+    if instances is not None:
+        seen = seen.join(instances.select("target"), "target", "left_semi")
+    if poses is not None:
+        seen = seen.join(poses.select("viewpoint"), "viewpoint", "left_semi")
     w = W.partitionBy("target").orderBy(uniform01("target", "viewpoint", salt=seed), "viewpoint")
     return seen.withColumn("_r", F.row_number().over(w)).where(F.col("_r") <= per_target).select("target", F.col("viewpoint").alias("start"))
 
@@ -27,9 +32,6 @@ def geodesic(edges: DataFrame, sources: DataFrame, max_rounds: int | None = None
     Paths have fewer edges than there are nodes, so more rounds than nodes (negative weights),
     or than ``max_rounds``, with nodes still improving are an error.
     """
-    spark = edges.sparkSession
-    if spark.sparkContext.getCheckpointDir() is None:
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or "/tmp/checkpoints/graph")
     e = edges.select("a", "b", "w").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"), "w"))
     dist = sources.select(F.col("node").alias("src"), "node", F.lit(0.0).alias("dist"), F.lit(True).alias("new"))
     if max_rounds is None:
@@ -41,7 +43,7 @@ def geodesic(edges: DataFrame, sources: DataFrame, max_rounds: int | None = None
         better = F.col("d").isNotNull() & (F.col("dist").isNull() | (F.col("d") < F.col("dist") - 1e-12))
         dist = j.select("src", "node", F.when(better, F.col("d")).otherwise(F.col("dist")).alias("dist"), better.alias("new"))
         if i % checkpoint_every == 0 or i < 2:
-            dist = dist.checkpoint()
+            dist = kept(dist)
         if not dist.where("new").limit(1).count():
             break
     else:
@@ -49,8 +51,8 @@ def geodesic(edges: DataFrame, sources: DataFrame, max_rounds: int | None = None
     return dist.select("src", "node", "dist")
 
 
-def plan_route(edges: DataFrame, dist: DataFrame, pairs: DataFrame) -> DataFrame:
-    """(src, dst, dist) for start and goal pairs."""
+def plan_route(dist: DataFrame, pairs: DataFrame) -> DataFrame:
+    """(src, dst, dist) for start and goal pairs; pairs without a path have no row."""
     return pairs.join(dist, (pairs.src == dist.src) & (pairs.dst == dist.node)).select(pairs.src, pairs.dst, "dist")
 
 
@@ -71,7 +73,7 @@ def route_nodes(edges: DataFrame, dist: DataFrame, pairs: DataFrame, max_len: in
         max_len = e.select("a").distinct().count()
     while True:
         i += 1
-        cur = cur.where("node <> src").join(before, ["src", "node"]).select("src", "dst", F.col("prev").alias("node")).checkpoint()
+        cur = kept(cur.where("node <> src").join(before, ["src", "node"]).select("src", "dst", F.col("prev").alias("node")))
         if not cur.limit(1).count():
             break
         if i > max_len:

@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 
 from navspark.functions.core import uniform01
 from navspark.operators.ops import first_by_hash
+from navspark.session import bounded, kept
 
 #: Shares of draws in percent, and the number of sources of each group.
 ER_MASS = {"pointing": 35.14, "image_vqa": 25.05, "video": 19.81, "general": 20.00}
@@ -25,9 +26,26 @@ def source_registry(spark: SparkSession) -> DataFrame:
 
 
 def navigation_registry(spark: SparkSession) -> DataFrame:
+    """(source, task): numbered navigation sources of the three tasks."""
     return spark.createDataFrame([(f"{t}_{i + 1:02d}", t) for t, n in NAV_SOURCES.items() for i in range(n)], "source string, task string")
 
 
+def mixture_weights(spark: SparkSession, stage: int) -> DataFrame:
+    """(source, grp, weight) of a stage: a group's mass is spread evenly over its sources."""
+    sources = source_registry(spark).withColumn("kind", F.lit("rehearsal"))
+    if stage == 2:
+        sources = sources.where(F.lit(False)).unionByName(navigation_registry(spark).select("source", F.lit("action").alias("grp"), F.lit("action").alias("kind"))).unionByName(
+            spark.createDataFrame([(f"rehearsal_{i + 1:02d}", "rehearsal", "rehearsal") for i in range(SFT_SOURCES["rehearsal"])], "source string, grp string, kind string")
+        )
+        mass = {k: v / 100 for k, v in SFT_MASS.items()}
+    else:
+        mass = {k: v / 100 for k, v in ER_MASS.items()}
+    share = F.lit(None).cast("double")
+    for g, m in mass.items():
+        share = F.when(F.col("grp") == g, F.lit(m)).otherwise(share)
+    return sources.withColumn("weight", share / F.count("*").over(W.partitionBy("grp"))).select("source", "grp", "weight")
+
+
 def tag_multi_image(registry: DataFrame) -> DataFrame:
     """Bridge table (source, subset): the multi-image subset overlaps the image and video pools."""
     return registry.where(F.col("grp").isin("image_vqa", "video")).select("source", F.lit("multi_image").alias("subset"))
@@ -58,7 +76,8 @@ def plan_quota(counts: DataFrame, total: int, key: str = "source") -> DataFrame:
 
 def draw(samples: DataFrame, quotas: DataFrame, key: str = "source", id_col: str = "sample_id", seed: str = "draw") -> DataFrame:
     """Rows drawn by quota in hashed order, with copy_no where a source is drawn more than once."""
-    q = F.broadcast(quotas.select(key, "rep_full"))
+    quotas = kept(quotas.select(key, "rep_full", "rep_rest"))
+    q = bounded(quotas.select(key, "rep_full"))
     rest = first_by_hash(samples, key, quotas.select(key, F.col("rep_rest").alias("quota")), id_col, seed)
     whole = samples.join(q.where("rep_full > 0"), key).withColumn("copy_no", F.explode(F.sequence(F.lit(1).cast("long"), F.col("rep_full")))).drop("rep_full")
     return whole.unionByName(rest.join(q, key).withColumn("copy_no", (F.col("rep_full") + 1).cast("long")).drop("rep_full"))
@@ -66,7 +85,7 @@ def draw(samples: DataFrame, quotas: DataFrame, key: str = "source", id_col: str
 
 def draw_bernoulli(samples: DataFrame, quotas: DataFrame, key: str = "source", id_col: str = "sample_id", seed: str = "draw") -> DataFrame:
     """Probabilistic draw: no shuffle, quotas met in expectation."""
-    s = samples.join(F.broadcast(quotas.select(key, "available", "quota")), key)
+    s = samples.join(bounded(kept(quotas.select(key, "available", "quota"))), key)
     rate = F.col("quota") / F.col("available")
     n = F.floor(rate) + (uniform01(id_col, salt=seed) < rate - F.floor(rate)).cast("long")
     return s.withColumn("_n", n).where("_n > 0").withColumn("copy_no", F.explode(F.sequence(F.lit(1).cast("long"), F.col("_n")))).drop("_n", "available", "quota")
@@ -78,10 +97,13 @@ def randomize_camera(episodes: DataFrame, key: str = "episode_id", seed: str = "
 
 
 def aggregate_onpolicy(expert: DataFrame, rollouts: DataFrame, labels: DataFrame, round_no: int, key: str = "state_key") -> DataFrame:
-    """States that the policy reached, relabelled by the expert and added once to the corpus."""
+    """States that the policy reached and the corpus lacks, relabelled by the expert and added once each
+    (of several labels the smallest); the corpus itself stays as it is, repeated states too."""
     new = rollouts.select(key).distinct().join(labels, key).join(expert.select(key), key, "left_anti")
+    rest = [c for c in labels.columns if c != key]
+    new = new.groupBy(key).agg(F.min(F.struct(*rest)).alias("_x")).select(key, *[F.col(f"_x.{c}").alias(c) for c in rest]) if rest else new.distinct()
     new = new.withColumn("round", F.lit(round_no)).withColumn("origin", F.lit("policy"))
-    return expert.unionByName(new, allowMissingColumns=True).dropDuplicates([key])
+    return expert.unionByName(new, allowMissingColumns=True)
 
 
 # --- filters and caps --------------------------------------------------------------------
@@ -146,15 +168,16 @@ def cap_stop(samples: DataFrame, share: float = STOP_SHARE, flag: str = "stop",
 
 
 def balanced_index(steps: DataFrame, cluster: str = "cluster", id_col: str = "sample_id") -> tuple[DataFrame, dict]:
-    """Stop filter, unseen filter, cluster cap and stop cap until both shares hold."""
-    s = drop_unseen(filter_stop(steps))
-    for rounds in range(1, 6):
+    """Stop filter, unseen filter, cluster cap and stop cap until both shares hold. Every round but the
+    last removes rows, so the rounds end."""
+    s, rounds = kept(drop_unseen(filter_stop(steps))), 0
+    while True:
+        rounds += 1
         s, cap, ok = cap_clusters(s, CLUSTER_SHARE, cluster, id_col)
-        s = cap_stop(s, STOP_SHARE, "stop", id_col).persist()
+        s = kept(cap_stop(s, STOP_SHARE, "stop", id_col))
         top = s.groupBy(cluster).count().agg(F.max("count"), F.sum("count")).first()
         if not ok or top[1] is None or top[0] <= CLUSTER_SHARE * top[1] + 1e-9:
-            break
-    return s, {"cap": cap, "feasible": ok, "rounds": rounds}
+            return s, {"cap": cap, "feasible": ok, "rounds": rounds}
 
 
 # --- reports -----------------------------------------------------------------------------

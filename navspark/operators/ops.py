@@ -7,6 +7,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from navspark.functions.core import uniform01
+from navspark.session import bounded, kept
 
 
 def asof_join(left: DataFrame, right: DataFrame, on: str, by: list[str], tol: float | None = None, prefix: str = "r_") -> DataFrame:
@@ -68,16 +69,17 @@ def sample_fraction(df: DataFrame, fraction: float, *keys: str, salt: str = "sam
 def first_by_hash(df: DataFrame, key: str, quotas: DataFrame, id_col: str, seed: str, buckets: int = 4096) -> DataFrame:
     """The first ``quota`` rows of each key in hashed order, exactly, without sorting a hot key in one task.
 
-    ``quotas``: (key, quota), small. A histogram of the hash finds each key's boundary bucket;
-    rows in lower buckets stay as they are, and only the boundary bucket is ranked.
+    ``quotas``: (key, quota). A histogram of the hash finds each key's boundary bucket; rows in
+    lower buckets stay as they are, and only the boundary bucket is ranked.
     """
+    quotas = bounded(kept(quotas.select(key, "quota")))
     d = df.withColumn("_u", uniform01(id_col, salt=seed)).withColumn("_b", F.floor(F.col("_u") * buckets).cast("int"))
     hist = d.groupBy(key, "_b").agg(F.count("*").alias("_c"))
     w = W.partitionBy(key).orderBy("_b").rowsBetween(W.unboundedPreceding, -1)
-    hist = hist.withColumn("_before", F.coalesce(F.sum("_c").over(w), F.lit(0))).join(F.broadcast(quotas.select(key, "quota")), key)
+    hist = hist.withColumn("_before", F.coalesce(F.sum("_c").over(w), F.lit(0))).join(quotas, key)
     cut = hist.where((F.col("_before") + F.col("_c") > F.col("quota")) | (F.col("_before") > F.col("quota")))
-    cut = cut.groupBy(key).agg(F.min(F.struct("_b", (F.col("quota") - F.col("_before")).alias("_left"))).alias("_cut"))
-    d = d.join(F.broadcast(quotas.select(key)), key, "left_semi").join(F.broadcast(cut), key, "left")
+    cut = bounded(kept(cut.groupBy(key).agg(F.min(F.struct("_b", (F.col("quota") - F.col("_before")).alias("_left"))).alias("_cut"))))
+    d = d.join(quotas, key, "left_semi").join(cut, key, "left")
     low = d.where(F.col("_cut").isNull() | (F.col("_b") < F.col("_cut._b")))
     edge = d.where(F.col("_b") == F.col("_cut._b"))
     edge = edge.withColumn("_r", F.row_number().over(W.partitionBy(key).orderBy("_u", id_col))).where(F.col("_r") <= F.col("_cut._left"))
@@ -90,24 +92,21 @@ def salted_sum(df: DataFrame, by: list[str], value: str, salts: int = 16) -> Dat
     return first.groupBy(*by).agg(F.sum("_v").alias(value), F.sum("_n").alias("n"))
 
 
-def components(pairs: DataFrame, a: str, b: str, every: int = 4, max_rounds: int = 100) -> DataFrame:
-    """(node, root) by min-label propagation with pointer jumping; written to the checkpoint
-    folder every few rounds, so lineage stays short and lost executors cost a reread."""
-    spark = pairs.sparkSession
-    if spark.sparkContext.getCheckpointDir() is None:
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or "/tmp/checkpoints/graph")
-    both = pairs.select(F.col(a).alias("u"), F.col(b).alias("v")).unionByName(pairs.select(F.col(b).alias("u"), F.col(a).alias("v"))).distinct().checkpoint()
+def components(pairs: DataFrame, a: str, b: str, every: int = 4) -> DataFrame:
+    """(node, root) by min-label propagation with pointer jumping, until no label changes; written to
+    the shared folder every few rounds, so lineage stays short and lost executors cost a reread."""
+    both = kept(pairs.select(F.col(a).alias("u"), F.col(b).alias("v")).unionByName(pairs.select(F.col(b).alias("u"), F.col(a).alias("v"))).distinct())
     label = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("root"))
-    before = None
-    for i in range(max_rounds):
+    before, i = None, 0
+    while True:
         seen = both.join(label.select(F.col("u").alias("v"), F.col("root").alias("r")), "v").groupBy("u").agg(F.min("r").alias("r"))
         label = label.join(seen, "u").select("u", F.least("root", "r").alias("root"))
         jump = label.select(F.col("u").alias("root"), F.col("root").alias("r2"))
         label = label.join(jump, "root", "left").select("u", F.coalesce("r2", "root").alias("root"))
         if i % every == 0 or i < 2:
-            label = label.checkpoint()
+            label = kept(label)
         state = label.agg(F.count("*"), F.sum(F.xxhash64("u", "root").cast("decimal(38,0)"))).first()
         if state == before:
             break
-        before = state
+        before, i = state, i + 1
     return label.select(F.col("u").alias("node"), "root")

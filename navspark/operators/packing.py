@@ -14,6 +14,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from navspark.session import bounded
+
 SHARD_ROWS = 1_000_000  #: samples aimed at in a shard
 
 
@@ -134,8 +136,8 @@ def pad_plan(samples: DataFrame, cap: int) -> DataFrame:
 def batch_plan(packed: DataFrame, batch: int) -> DataFrame:
     """Global batches of ``batch`` sequences, in bin order."""
     bins = packed.select("shard", "bin_id").distinct()
-    sizes = bins.groupBy("shard").count()  # one row a shard
-    before = F.broadcast(sizes.alias("a").join(sizes.alias("b"), F.col("b.shard") < F.col("a.shard"), "left").groupBy("a.shard").agg(F.coalesce(F.sum("b.count"), F.lit(0)).alias("before")))
+    earlier = W.orderBy("shard").rowsBetween(W.unboundedPreceding, -1)  # one row a shard, that is a millionth of the samples
+    before = bounded(bins.groupBy("shard").count().select("shard", F.coalesce(F.sum("count").over(earlier), F.lit(0)).alias("before")))
     place = F.row_number().over(W.partitionBy("shard").orderBy("bin_id")) - 1
     return bins.join(before, "shard").withColumn("batch_id", F.floor((F.col("before") + place) / batch)).drop("before")
 

@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 
 from navspark.functions.core import uniform01
 from navspark.operators.ops import proximity_join
+from navspark.session import bounded
 
 SCENES = ("apartment", "house", "commercial", "institution", "outdoor")
 INSTRUCTIONS = ("base", "direction", "relation", "extremum", "ordinal")
@@ -15,10 +16,11 @@ INSTRUCTIONS = ("base", "direction", "relation", "extremum", "ordinal")
 
 def label_scene(episodes: DataFrame, mapping: DataFrame, key: str = "scene_id") -> DataFrame:
     """Scene labels from a frozen mapping; a scene that it lacks is an error."""
-    lost = episodes.select(key).distinct().join(F.broadcast(mapping), key, "left_anti")
+    mapping = bounded(mapping)
+    lost = episodes.select(key).distinct().join(mapping, key, "left_anti")
     if lost.limit(1).count():
         raise ValueError("scenes without a label")
-    return episodes.join(F.broadcast(mapping), key)
+    return episodes.join(mapping, key)
 
 
 def prove_base(inst: DataFrame) -> DataFrame:
@@ -42,16 +44,19 @@ def prove_extremum(inst: DataFrame, key: str, smallest: bool = True, margin: flo
     return inst.withColumn("_r", F.row_number().over(by)).withColumn("_g", gap).where((F.col("_r") == 1) & (F.col("_g") > margin)).select("target", "scene", "category", key, F.col("_g").alias("gap"))
 
 
-def prove_ordinal(inst: DataFrame, key: str, min_gap: float = 0.0) -> DataFrame:
-    """Rank in a stable order, where both neighbours are at least ``min_gap`` away."""
+def prove_ordinal(inst: DataFrame, key: str, min_gap: float = 0.0, least: int = 1) -> DataFrame:
+    """Rank in a stable order of at least ``least`` instances, where both neighbours are at least ``min_gap`` away."""
     by = W.partitionBy("scene", "category").orderBy(key, "target")
     before, after = F.col(key) - F.lag(key).over(by), F.lead(key).over(by) - F.col(key)
     ok = (F.coalesce(before, F.lit(float("inf"))) >= min_gap) & (F.coalesce(after, F.lit(float("inf"))) >= min_gap)
+    ok = ok & (F.count("*").over(W.partitionBy("scene", "category")) >= least)
     return inst.withColumn("rank", F.dense_rank().over(by)).withColumn("_ok", ok).where("_ok").drop("_ok")
 
 
 def prove_direction(inst: DataFrame, sector_col: str = "sector") -> DataFrame:
-    return inst.where(F.col(sector_col).isNotNull())
+    """The only one of its category in its scene on its side of the start pose."""
+    n = F.count("*").over(W.partitionBy("scene", "category", sector_col))
+    return inst.where(F.col(sector_col).isNotNull()).withColumn("_n", n).where("_n = 1").drop("_n")
 
 
 def label_instruction(proofs: DataFrame) -> DataFrame:
@@ -61,11 +66,14 @@ def label_instruction(proofs: DataFrame) -> DataFrame:
 
 
 def fill_cells(eps: DataFrame, cap: int = 50, key: str = "episode_id", seed: str = "cell") -> tuple[DataFrame, DataFrame]:
-    """At most ``cap`` episodes of each cell, in hashed order, and the shortfall of every cell."""
+    """At most ``cap`` episodes of each cell, in hashed order, and the shortfall of every cell of the
+    grid of labels, also of those that have no episode."""
     w = W.partitionBy("scene_type", "instr_type").orderBy(uniform01(key, salt=seed), key)
     kept = eps.withColumn("_r", F.row_number().over(w)).where(F.col("_r") <= cap).drop("_r")  # limited before the shuffle
-    short = kept.groupBy("scene_type", "instr_type").agg(F.count("*").alias("n")).withColumn("shortfall", F.greatest(F.lit(0), cap - F.col("n")))
-    return kept, short
+    n = kept.groupBy("scene_type", "instr_type").agg(F.count("*").alias("n"))
+    grid = n.select("scene_type").distinct().crossJoin(n.select("instr_type").distinct())  # labels of either axis: a handful
+    cells = grid.join(n, ["scene_type", "instr_type"], "left").withColumn("n", F.coalesce("n", F.lit(0)))
+    return kept, cells.withColumn("shortfall", F.greatest(F.lit(0), cap - F.col("n")))
 
 
 def matrix_counts(eps: DataFrame) -> DataFrame:
@@ -108,13 +116,16 @@ def split_hash(df: DataFrame, key: str, eval_share: float, salt: str = "split")
 
 
 def split_contiguous(scenes: DataFrame, n_eval: int, order: str, group: str) -> DataFrame:
-    """The last ``n_eval`` scenes of each group's capture order are held out."""
+    """The last ``n_eval`` scenes of each group's capture order are held out (scenes that tie with the
+    first of these too). Only the last few of each group are ranked, not the whole group."""
     w = W.partitionBy(group).orderBy(F.desc(order))
-    return scenes.withColumn("split", F.when(F.row_number().over(w) <= n_eval, "eval").otherwise("train"))
+    last = scenes.select(group, order).withColumn("_r", F.row_number().over(w)).where(F.col("_r") <= n_eval)
+    low = bounded(last.groupBy(group).agg(F.min(order).alias("_low")))
+    return scenes.join(low, group, "left").withColumn("split", F.when(F.col(order) >= F.col("_low"), "eval").otherwise("train")).drop("_low")
 
 
 def split_allowlist(scenes: DataFrame, allowed: DataFrame, key: str) -> DataFrame:
-    a = F.broadcast(allowed.select(key).distinct().withColumn("_in", F.lit(True)))
+    a = bounded(allowed.select(key).distinct().withColumn("_in", F.lit(True)))
     return scenes.join(a, key, "left").withColumn("split", F.when(F.col("_in"), "eval").otherwise("train")).drop("_in")
 
 

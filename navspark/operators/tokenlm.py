@@ -9,6 +9,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from navspark.session import bounded, kept
+
 
 def token_rows(seqs: DataFrame, key: str, tokens: str = "tokens", keep: tuple[str, ...] = ()) -> DataFrame:
     """(key, pos, token, ctx): ctx is the token before, or the mark of the start."""
@@ -19,8 +21,8 @@ def token_rows(seqs: DataFrame, key: str, tokens: str = "tokens", keep: tuple[st
 
 
 def fit_token_lm(rows: DataFrame, group: tuple[str, ...] = ("pos",)) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """Counts of (group, ctx, token) and (group, ctx), and the vocabulary size of each group."""
-    pair = rows.groupBy(*group, "ctx", "token").agg(F.count("*").alias("n"))
+    """Counts of (group, ctx, token) and (group, ctx), and the vocabulary size of each group; counted once."""
+    pair = kept(rows.groupBy(*group, "ctx", "token").agg(F.count("*").alias("n")))
     ctx = pair.groupBy(*group, "ctx").agg(F.sum("n").alias("n_ctx"))
     vocab = pair.select(*group, "token").distinct().groupBy(*group).agg(F.count("*").alias("n_vocab"))
     return pair, ctx, vocab
@@ -31,10 +33,14 @@ def log_prob(n: Column, n_ctx: Column, n_vocab: Column, alpha: float = 1.0) -> C
 
 
 def score(rows: DataFrame, model: tuple[DataFrame, DataFrame, DataFrame], group: tuple[str, ...] = ("pos",), alpha: float = 1.0, name: str = "logp") -> DataFrame:
-    """``rows`` with the log-probability of each token; unseen tokens share one extra slot."""
-    pair, ctx, vocab = model
+    """``rows`` with the log-probability of each token; unseen tokens share one extra slot.
+
+    Tokens are as skewed as keys come, so they are not shuffled while the model's tables, once
+    counted, can be broadcast.
+    """
+    pair, ctx, vocab = map(bounded, model)
     on = list(group)
-    j = rows.join(pair, [*on, "ctx", "token"], "left").join(ctx, [*on, "ctx"], "left").join(F.broadcast(vocab), on, "left")
+    j = rows.join(pair, [*on, "ctx", "token"], "left").join(ctx, [*on, "ctx"], "left").join(vocab, on, "left")
     return j.withColumn(name, log_prob(F.col("n"), F.col("n_ctx"), F.col("n_vocab"), alpha)).drop("n", "n_ctx", "n_vocab")
 
 

@@ -2,7 +2,10 @@
 
 from __future__ import annotations
 
-from pyspark.sql import SparkSession
+import re
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 DEFAULTS = {
     "spark.sql.adaptive.enabled": "true",
@@ -23,3 +26,27 @@ def session(app: str = "navspark", master: str | None = None, input_bytes: int |
     if input_bytes:
         b = b.config("spark.sql.shuffle.partitions", str(max(8, -(-input_bytes // (128 << 20)))))
     return b.getOrCreate()
+
+
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that ``spark.checkpoint.dir`` names. Only a local session may name none."""
+    path = spark.conf.get("spark.checkpoint.dir", None)
+    if not path:
+        if not re.match(r"local(\[|$)", spark.sparkContext.master):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
+        path = "/tmp/checkpoints"
+    return path.rstrip("/")
+
+
+def kept(df: DataFrame) -> DataFrame:
+    """``df`` written to the shared folder: computed once, its lineage cut, and nothing is held in the
+    executors' memory or on their disks."""
+    sc = df.sparkSession.sparkContext
+    if sc.getCheckpointDir() is None:
+        sc.setCheckpointDir(f"{shared_folder(df.sparkSession)}/tables")
+    return df.checkpoint()
+
+
+def bounded(df: DataFrame, most: int = 1_000_000) -> DataFrame:
+    """Marked for broadcast if it has been counted and has at most ``most`` (narrow) rows."""
+    return F.broadcast(df) if df.limit(most + 1).count() <= most else df
