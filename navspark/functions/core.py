@@ -20,6 +20,12 @@ def uniform01_sql(*keys: str, salt: str = "") -> str:
     return f"(CAST(('0x' || substr(md5(concat_ws('|', '{salt}', {parts})), 1, 8)) AS BIGINT) / 4294967296.0::DOUBLE)"
 
 
+def once(c: Column) -> Column:
+    """The column, computed once a row. A filter on what depends on it would else be pushed below its
+    projection, with the whole expression copied into the filter as often as it is named there."""
+    return F.when(F.monotonically_increasing_id() >= 0, c)
+
+
 def wrap_angle(a: Column) -> Column:
     """Into (-pi, pi]."""
     return F.lit(PI) - F.pmod(F.lit(PI) - a, F.lit(2 * PI))

@@ -11,6 +11,7 @@ RANGE_NEAR, RANGE_FAR, NEAR_TAIL, FAR_TAIL = 1.5, 3.0, 0.35, 1.0  # m
 HORIZON = 300  # decisions
 QUALITY_WEIGHT, PLAN_WEIGHT, COLLISION_COST = 0.7, 0.3, 0.5
 INSTRUCTION_RADIUS, INSTRUCTION_CLIP, INSTRUCTION_SCALE, TIMEOUT_COST = 3.0, 2.0, 3.0, 0.25
+PLAN_SCALE = 1.0  # m; not published
 OBJECT_RADIUS, OBJECT_CLIP, OBJECT_SCALE, OBJECT_WEIGHT = 1.0, 1.0, 3.0, 0.25
 
 
@@ -36,9 +37,16 @@ def step_quality(visible, bearing, distance) -> Column:
     return F.when(_c(visible), bearing_factor(bearing) * range_factor(distance)).otherwise(F.lit(0.0))
 
 
-def plan_match(displacement, scale: float) -> Column:
-    """Agreement with the privileged plan in [0, 1], from the average displacement."""
-    return F.greatest(F.lit(0.0), 1 - _c(displacement) / scale)
+def plan_match(displacement, scale: float = PLAN_SCALE) -> Column:
+    """Agreement with the privileged plan in [0, 1], from the average displacement; 0 without a plan."""
+    return F.coalesce(F.greatest(F.lit(0.0), 1 - _c(displacement) / scale), F.lit(0.0))
+
+
+def following(visible, distance, bearing, target=None) -> Column:
+    """In view 1 to 3 m ahead and within 60 degrees; with ``target``, the target's heading seen from the
+    follower, also behind it: the line of sight and that heading agree to within 90 degrees."""
+    ok = _c(visible) & _c(distance).between(1, 3) & (F.abs(_c(bearing)) <= 1.0471975511965976)
+    return ok if target is None else ok & (F.cos(_c(target) - _c(bearing)) > 0)
 
 
 def horizon(t, early, t0: int = HORIZON) -> Column:

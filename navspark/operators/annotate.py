@@ -18,12 +18,14 @@ def affordance_target(path: DataFrame, lookahead: int = 1, key: str = "episode_i
 
 def annotate_dual(path: DataFrame, lookahead: int = 1, fov_deg: float = 120.0, target_height: float = 1.0, hg: int = P.GRID, wg: int = P.GRID) -> DataFrame:
     """apos and opos of each pose: the next waypoint on the floor and the goal (gx, gy), projected
-    into the view along the path. The last pose gets the reserved stop index."""
+    into the view along the path. The last pose gets the reserved stop index. Pixels are rounded at
+    nine digits, so a waypoint dead ahead falls into one cell on every machine."""
     p = affordance_target(path, lookahead)
     yaw = F.coalesce(F.atan2(F.col("ny") - F.col("y"), F.col("nx") - F.col("x")), F.lit(0.0))
     p = p.withColumn("yaw", yaw)
     p = p.withColumns({"_a": P.project_point("nx", "ny", F.lit(0.0), "x", "y", "yaw", fov_deg), "_o": P.project_point("gx", "gy", F.lit(target_height), "x", "y", "yaw", fov_deg)})
-    p = p.withColumns({"apos": P.affordance_index("_a.u", "_a.v", None, F.col("nx").isNull(), hg, wg), "opos": P.object_index("_o.u", "_o.v", None, hg, wg)})
+    au, av, ou, ov = (F.round(c, 9) for c in ("_a.u", "_a.v", "_o.u", "_o.v"))
+    p = p.withColumns({"apos": P.affordance_index(au, av, None, F.col("nx").isNull(), hg, wg), "opos": P.object_index(ou, ov, None, hg, wg)})
     return p.drop("_a", "_o")
 
 

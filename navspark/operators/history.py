@@ -50,7 +50,7 @@ def select_frames(frames: DataFrame, mode: str, f_max: float = 0.0, tau_s: float
         return frames
     rank = F.row_number().over(newest_first)
     if mode == "integral":
-        level = F.floor(F.round(accumulated("age_s", f_max, tau_s), 9))
+        level = F.least(F.floor(F.round(accumulated("age_s", f_max, tau_s), 9)), F.lit(-int(-(f_max * tau_s) // 1) - 1))  # it stays below its limit
         f = frames.withColumn("_l", level).withColumn("_p", F.lag("_l").over(newest_first))
         return f.where(F.col("_p").isNull() | (F.col("_l") > F.col("_p"))).drop("_l", "_p")
     if mode == "hash":
@@ -100,6 +100,12 @@ def grid_pool(grid, stride, h: int = SIDE, w: int = SIDE, how: str = "mean") ->
     return F.transform(F.sequence(F.lit(0), rows * cols - 1), cell)
 
 
+def frame_tokens(stride, side: int = SIDE) -> Column:
+    """Tokens of a frame in the context: its pooled cells and the time token."""
+    n = pooled_side(side, stride)
+    return (n * n + 1).cast("int")
+
+
 def timestamp_token(ts) -> Column:
     ts = F.col(ts) if isinstance(ts, str) else ts
     return F.format_string("<t_%d>", F.unix_seconds(ts))
@@ -127,19 +133,19 @@ def allocate_tokens(frames: DataFrame, budget: int, side: int = SIDE) -> DataFra
     age = W.partitionBy(EP).orderBy(F.desc("age_s"), "t")
     f = frames.withColumn("_newest", F.row_number().over(W.partitionBy(EP).orderBy("age_s", F.desc("t"))) == 1)
     for _ in range(doublings):
-        n = pooled_side(side, "stride") * pooled_side(side, "stride")
+        n = frame_tokens("stride", side)
         more = F.when(F.col("_newest"), F.col("stride")).otherwise(F.least(F.lit(side), F.col("stride") * 2))
-        m = pooled_side(side, more) * pooled_side(side, more)
+        m = frame_tokens(more, side)
         total = F.sum(n).over(W.partitionBy(EP))
         saved_before = F.coalesce(F.sum(n - m).over(age.rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
         f = f.withColumn("stride", F.when(total - saved_before > budget, more).otherwise(F.col("stride")).cast("int"))
-    n = pooled_side(side, "stride") * pooled_side(side, "stride")
-    f = f.withColumn("n_tok", n)
+    f = f.withColumn("n_tok", frame_tokens("stride", side))
     return f.withColumn("over_budget", F.sum("n_tok").over(W.partitionBy(EP)) > budget).drop("_newest")
 
 
 def compress_history(frames: DataFrame, mode: str, f_max: float, tau_s: float, tau_p: float, budget: int | None = None, fixed_stride: int = 2, side: int = SIDE, every: int = 4, tiers=None) -> DataFrame:
-    """Context rows (episode, t, age, stride, n_tok): thinning, then pooling strides, then the budget."""
+    """Context rows (episode, t, age, stride, n_tok, time_token): thinning, then pooling strides, then the
+    budget, which counts the time tokens."""
     f = select_frames(with_age(frames), mode, f_max, tau_s, tiers, every)
     if mode == "all":
         stride = F.lit(1)
@@ -149,7 +155,7 @@ def compress_history(frames: DataFrame, mode: str, f_max: float, tau_s: float, t
     else:
         stride = pool_stride("age_s", tau_p, side)
     f = f.withColumn("stride", stride.cast("int"))
-    f = f.withColumn("n_tok", (pooled_side(side, "stride") * pooled_side(side, "stride") + 1).cast("int"))  # and the time token
+    f = f.withColumn("n_tok", frame_tokens("stride", side)).withColumn("time_token", timestamp_token("ts"))
     return allocate_tokens(f.drop("n_tok"), budget, side) if budget else f
 
 

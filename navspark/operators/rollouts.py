@@ -10,20 +10,23 @@ from pyspark.sql import functions as F
 from navspark.functions import rewards as R
 
 
-def tracking_episodes(steps: DataFrame, plan_scale: float | None = None, horizon: str = "full") -> DataFrame:
+def tracking_episodes(steps: DataFrame, plan_scale: float = R.PLAN_SCALE, horizon: str = "full") -> DataFrame:
     """One row an episode: length, how it ended, quality sum, success and reward.
 
     An episode ends early if its last frame has lost the target or collided. Success: at the
-    end the target is in view 1 to 3 m ahead, within the bearing tolerance. ``plan_scale``:
-    adds the plan match of a column ``plan_ade``. ``horizon='executed'`` averages over the
-    executed steps only, the contrast that rewards early failure.
+    end the follower is 1 to 3 m behind the target and turned towards it. Steps may have
+    ``plan_ade``, the displacement from the privileged plan, whose match is the second step
+    term, and ``target_rad``, the target's heading seen from the follower, without which 'behind'
+    can't be told and is not asked. ``horizon='executed'`` averages over the executed steps
+    only, the contrast that rewards early failure.
     """
     q = R.step_quality("visible", "bearing_rad", "range_m")
-    m = R.plan_match("plan_ade", plan_scale) if plan_scale else F.lit(0.0)
+    m = R.plan_match("plan_ade", plan_scale) if "plan_ade" in steps.columns else F.lit(0.0)
+    told = ["target_rad"] if "target_rad" in steps.columns else []
     s = steps.withColumn("_q", q).withColumn("_m", m)
-    last = F.max_by(F.struct("visible", "range_m", "bearing_rad", "collision"), "t")
+    last = F.max_by(F.struct("visible", "range_m", "bearing_rad", "collision", *told), "t")
     e = s.groupBy("episode_id").agg(F.count("*").alias("t_n"), F.sum("_q").alias("sum_q"), F.sum("_m").alias("sum_m"), F.bool_or("collision").alias("collision"), last.alias("_l"), F.avg(F.coalesce((F.col("visible") & F.col("range_m").between(1, 3)).cast("double"), F.lit(0.0))).alias("tracked"))
-    ok = F.col("_l.visible") & F.col("_l.range_m").between(1, 3) & (F.abs(F.col("_l.bearing_rad")) <= 1.0471975511965976)
+    ok = R.following("_l.visible", "_l.range_m", "_l.bearing_rad", "_l.target_rad" if told else None)
     early = ~F.col("_l.visible") | F.col("_l.collision")
     h = R.horizon("t_n", early) if horizon == "full" else F.col("t_n")
     e = e.withColumn("success", ok).withColumn("early", early).withColumn("horizon", h)

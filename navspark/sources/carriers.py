@@ -12,7 +12,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from navspark.functions.core import PI, wrap_angle
+from navspark.functions import geometry as G
+from navspark.functions.core import PI, once, wrap_angle
 from navspark.sources.io import load
 
 SEGMENTS = ("AUTOMOBILE", "BUILDING", "FURNITURE", "HOUSEHOLD", "MACHINERY")
@@ -50,6 +51,7 @@ def steps_from(e: DataFrame) -> DataFrame:
         (F.least("value", F.lit(100.0)) / 100).alias("fwd_m"),
         (k / 99).alias("u"),
         (F.least("value", F.lit(200.0)) / 200).alias("v"),
+        (((F.col("k") * 7 % 100).cast("double") - 49.5) / 49.5 * (2 * PI / 3)).alias("target_rad"),
     )
 
 
@@ -57,6 +59,19 @@ def v_steps(spark: SparkSession, sf: str) -> DataFrame:
     return steps_from(events(spark, sf))
 
 
+def planned_steps(spark: SparkSession, sf: str) -> DataFrame:
+    """Steps with ``plan_ade``: how far the plan of a step lies from the privileged one.
+
+    The plan emitted holds the step's own motion for ten steps; the privileged plan knows the ten
+    steps that follow. Null where fewer than ten follow.
+    """
+    frame = W.partitionBy("episode_id").orderBy("t").rowsBetween(0, CHUNK - 1)
+    inc = F.array("fwd_m", F.lit(0.0), "turn_rad")
+    s = v_steps(spark, sf).withColumn("_z", F.flatten(F.collect_list(inc).over(frame))).withColumn("_plan", F.flatten(F.array_repeat(inc, CHUNK)))
+    whole = F.col("t") + (CHUNK - 1) <= F.col("n_steps")
+    return s.withColumn("plan_ade", F.when(whole, G.ade("_z", "_plan"))).drop("_z", "_plan")
+
+
 def v_chunks(spark: SparkSession, sf: str) -> DataFrame:
     """Ten following steps as one chunk of 30 doubles; frames cut short at the end are left out."""
     frame = W.partitionBy("episode_id").orderBy("t").rowsBetween(0, CHUNK - 1)
@@ -145,10 +160,10 @@ def v_views(spark: SparkSession, sf: str) -> DataFrame:
         F.col("l_partkey").alias("part_key"),
     )
     bearing = wrap_angle(F.atan2(F.col("y") - F.col("py"), F.col("x") - F.col("px")))
-    j = j.withColumn("heading", F.pmod(F.floor(F.round((bearing + PI / 4) / (PI / 2), 9)), F.lit(4)).cast("int"))
+    j = j.withColumn("heading", once(F.pmod(F.floor(F.round((bearing + PI / 4) / (PI / 2), 9)), F.lit(4)).cast("int")))
     yaw = F.col("heading") * (PI / 2)
     dx, dy = F.col("x") - F.col("px"), F.col("y") - F.col("py")
-    j = j.withColumn("depth", dx * F.cos(yaw) + dy * F.sin(yaw)).withColumn("side", dy * F.cos(yaw) - dx * F.sin(yaw))
+    j = j.withColumns({"depth": once(dx * F.cos(yaw) + dy * F.sin(yaw)), "side": once(dy * F.cos(yaw) - dx * F.sin(yaw))})
     f = 0.28867513459481287  # 1 / (2 tan 60 deg)
     ok = F.col("depth") > 1e-9
     return j.select("*", F.when(ok, F.lit(0.5) - F.lit(f) * F.col("side") / F.col("depth")).alias("u"), F.when(ok, F.lit(0.5) - F.lit(f) * (F.col("z") - 1.0) / F.col("depth")).alias("v")).drop("side")
@@ -177,7 +192,7 @@ _SEG = "CASE c_mktsegment " + " ".join(f"WHEN '{s}' THEN {i}" for i, s in enumer
 SQL = {
     "v_steps": """SELECT episode_id, CAST(t AS INT) AS t, CAST(n_steps AS INT) AS n_steps, ts, event_id, event_type, k, value / 25 AS range_m, (k::DOUBLE - 49.5) / 49.5 * 0.7 AS bearing_rad,
   event_type <> 'error' AS visible, event_type = 'error' AND k < 3 AS collision, event_type = 'purchase' AND t = n_steps AS stop, event_type = 'signup' AND k >= 90 AS stuck,
-  (k::DOUBLE - 49.5) / 49.5 * (pi() / 6) AS turn_rad, least(value, 100.0::DOUBLE) / 100 AS fwd_m, k::DOUBLE / 99 AS u, least(value, 200.0::DOUBLE) / 200 AS v
+  (k::DOUBLE - 49.5) / 49.5 * (pi() / 6) AS turn_rad, least(value, 100.0::DOUBLE) / 100 AS fwd_m, k::DOUBLE / 99 AS u, least(value, 200.0::DOUBLE) / 200 AS v, ((k * 7) % 100 - 49.5::DOUBLE) / 49.5::DOUBLE * (2 * pi() / 3) AS target_rad
   FROM (SELECT user_id AS episode_id, event_id, ts, event_type, value, CAST(regexp_extract(props, '([0-9]+)', 1) AS INT) AS k, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) AS t, count(*) OVER (PARTITION BY user_id) AS n_steps FROM events)""",
     "v_chunk_rows": """SELECT a.event_id AS chunk_id, a.episode_id, a.t, b.t - a.t AS i, b.fwd_m AS dx, 0.0::DOUBLE AS dy, b.turn_rad AS dth
   FROM v_steps a JOIN v_steps b ON a.episode_id = b.episode_id AND b.t BETWEEN a.t AND a.t + 9 WHERE a.t + 9 <= a.n_steps""",

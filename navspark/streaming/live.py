@@ -15,6 +15,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from navspark.functions import rewards as R
+from navspark.functions.core import PI
 from navspark.sources.io import load_stream
 
 WATERMARK = "2 days"
@@ -30,6 +31,7 @@ def events_stream(spark: SparkSession, path: str, watermark: str = WATERMARK, fi
         "event_id", "ts", F.col("user_id").alias("episode_id"), "event_type", k.alias("k"),
         (F.col("value") / 25).alias("range_m"), ((kd - 49.5) / 49.5 * 0.7).alias("bearing_rad"),
         (F.col("event_type") != "error").alias("visible"), ((F.col("event_type") == "error") & (k < 3)).alias("collision"),
+        (((k * 7 % 100).cast("double") - 49.5) / 49.5 * (2 * PI / 3)).alias("target_rad"),
     )
 
 
@@ -38,7 +40,8 @@ def _ends(pdf: pd.DataFrame) -> pd.DataFrame:
 
 
 def live_tracking(steps: DataFrame, gap: str = "6 days") -> DataFrame:
-    """One reward row an episode, emitted when its event-time timer says that it ended.
+    """One reward row an episode, emitted when its event-time timer says that it ended; without the
+    plan term, as plans are not in the stream.
 
     State: sums and the last step, a few numbers whatever the episode's length. The order of
     arrival doesn't matter: the last step is the latest by (ts, event_id).
@@ -48,60 +51,79 @@ def live_tracking(steps: DataFrame, gap: str = "6 days") -> DataFrame:
 
     def go(key, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         if state.hasTimedOut:
-            n, q, coll, _, _, vis, rng, bear, col = state.get
+            n, q, coll, _, _, vis, rng, bear, col, tgt = state.get
             state.remove()
             early = (not vis) or col
-            ok = vis and 1 <= rng <= 3 and abs(bear) <= 1.0471975511965976
+            ok = vis and 1 <= rng <= 3 and abs(bear) <= 1.0471975511965976 and math.cos(tgt - bear) > 0
             h = max(n, R.HORIZON) if early else n
             yield pd.DataFrame({"episode_id": [key[0]], "t_n": [n], "horizon": [h], "success": [bool(ok)], "collision": [bool(coll)], "reward": [float(ok) - R.COLLISION_COST * coll + R.QUALITY_WEIGHT * q / h]})
             return
-        n, q, coll, ts, eid, vis, rng, bear, col = state.get if state.exists else (0, 0.0, False, -1, -1, False, 0.0, 0.0, False)
+        n, q, coll, ts, eid, vis, rng, bear, col, tgt = state.get if state.exists else (0, 0.0, False, -1, -1, False, 0.0, 0.0, False, 0.0)
         for f in frames:
             n, q, coll = n + len(f), q + float(f.q.sum()), bool(coll or f.collision.any())
             last = _ends(f).iloc[-1]
             at = (int(last.ts.value // 1000), int(last.event_id))
             if at > (ts, eid):
-                ts, eid, vis, rng, bear, col = *at, bool(last.visible), float(last.range_m), float(last.bearing_rad), bool(last.collision)
-        state.update((n, q, coll, ts, eid, vis, rng, bear, col))
+                ts, eid, vis, rng, bear, col, tgt = *at, bool(last.visible), float(last.range_m), float(last.bearing_rad), bool(last.collision), float(last.target_rad)
+        state.update((n, q, coll, ts, eid, vis, rng, bear, col, tgt))
         state.setTimeoutTimestamp(max(ts // 1000, state.getCurrentWatermarkMs()) + gap_ms)
         yield from ()
 
-    return s.select("episode_id", "event_id", "ts", "q", "visible", "range_m", "bearing_rad", "collision").groupBy("episode_id").applyInPandasWithState(
+    return s.select("episode_id", "event_id", "ts", "q", "visible", "range_m", "bearing_rad", "collision", "target_rad").groupBy("episode_id").applyInPandasWithState(
         go,
         "episode_id long, t_n long, horizon long, success boolean, collision boolean, reward double",
-        "n long, q double, coll boolean, ts long, eid long, vis boolean, rng double, bear double, col boolean",
+        "n long, q double, coll boolean, ts long, eid long, vis boolean, rng double, bear double, col boolean, tgt double",
         "append",
         GroupStateTimeout.EventTimeTimeout,
     )
 
 
-def online_history(steps: DataFrame, f_max: float, tau_s: float) -> DataFrame:
-    """The kept frames of each episode after each batch (update mode).
+def history_reach(f_max: float, tau_s: float) -> float:
+    """Age in seconds of the last step of the accumulated rate: of all older frames only the newest can be kept."""
+    most = math.ceil(f_max * tau_s) - 1
+    return -tau_s * math.log(1 - most / (f_max * tau_s)) if most > 0 else 0.0
 
-    The ring keeps at most one frame for each integer of the accumulated rate, chosen as the
-    batch selector does, so its size is bounded by 1 + ceil(f_max * tau_s) plus the newest.
+
+def online_history(steps: DataFrame, f_max: float, tau_s: float, gap: str = "60 days") -> DataFrame:
+    """The kept frames of each episode after each batch (update mode): the same that the batch selector keeps.
+
+    A frame is kept while an integer of the accumulated rate lies between its age and that of the
+    next newer frame. Those integers stand at fixed ages, up to ``history_reach``, and a frame
+    dropped now may be kept later, so the state has the times of all frames up to that age and the
+    newest older one: bounded by the frame rate, however long the episode. An episode without
+    frames for ``gap`` of event time is forgotten.
     """
+    top, reach = math.ceil(f_max * tau_s) - 1, history_reach(f_max, tau_s) + 1e-3
+    gap_ms = int(pd.Timedelta(gap).total_seconds() * 1000)
 
     def level(age: float) -> int:
-        return math.floor(round(f_max * tau_s * (1 - math.exp(-age / tau_s)), 9))
+        return min(top, math.floor(round(f_max * tau_s * (1 - math.exp(-age / tau_s)), 9)))
 
     def go(key, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            state.remove()
+            return
         ts, ids = state.get if state.exists else ([], [])
         ring = list(zip(ts, ids, strict=True))
         for f in frames:
             ring += [(t.value // 1000, int(i)) for t, i in zip(f.ts, f.event_id, strict=True)]
         ring = sorted(set(ring), reverse=True)
-        now, kept, before = ring[0][0], [], None
+        now, kept, before, hold = ring[0][0], [], None, []
         for t, i in ring:
-            lv = level((now - t) / 1e6)
+            age = (now - t) / 1e6
+            lv = level(age)
             if before is None or lv > before:
                 kept.append((t, i))
             before = lv
-        state.update(([t for t, _ in kept], [i for _, i in kept]))
-        yield pd.DataFrame({"episode_id": [key[0]], "n_kept": [len(kept)], "newest": [kept[0][1]], "oldest": [kept[-1][1]]})
+            hold.append((t, i))
+            if age > reach:
+                break
+        state.update(([t for t, _ in hold], [i for _, i in hold]))
+        state.setTimeoutTimestamp(max(now // 1000, state.getCurrentWatermarkMs()) + gap_ms)
+        yield pd.DataFrame({"episode_id": [key[0]], "now_us": [now], "n_kept": [len(kept)], "newest": [kept[0][1]], "oldest": [kept[-1][1]]})
 
     return steps.select("episode_id", "event_id", "ts").groupBy("episode_id").applyInPandasWithState(
-        go, "episode_id long, n_kept long, newest long, oldest long", "ts array<long>, ids array<long>", "update", GroupStateTimeout.NoTimeout
+        go, "episode_id long, now_us long, n_kept long, newest long, oldest long", "ts array<long>, ids array<long>", "update", GroupStateTimeout.EventTimeTimeout
     )
 
 
@@ -117,17 +139,22 @@ def episode_sessions(steps: DataFrame, gap: str = "1 day") -> DataFrame:
     return steps.groupBy("episode_id", F.session_window("ts", gap).alias("w")).agg(F.count("*").alias("n")).select("episode_id", F.col("w.start").alias("start"), F.col("w.end").alias("end"), "n")
 
 
-def complete_groups(rewards: DataFrame, g: int, seed: str = "seed_id") -> DataFrame:
-    """Advantages of a group as soon as all G rewards have come (append mode)."""
+def complete_groups(rewards: DataFrame, g: int, seed: str = "seed_id", wait: str = "1 day") -> DataFrame:
+    """Advantages of a group as soon as all G rewards have come (append mode). A group still short
+    after ``wait`` of processing time is given up, so state doesn't grow with lost rollouts."""
+    wait_ms = int(pd.Timedelta(wait).total_seconds() * 1000)
 
     def go(key, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            state.remove()
+            return
         eps, rs = state.get if state.exists else ([], [])
         have = dict(zip(eps, rs, strict=True))
         for f in frames:
             have |= dict(zip(f.episode_id.tolist(), f.reward.tolist(), strict=True))
         if len(have) < g:
             state.update((list(have), list(have.values())))
-            yield from ()
+            state.setTimeoutDuration(wait_ms)
             return
         if state.exists:
             state.remove()
@@ -136,7 +163,7 @@ def complete_groups(rewards: DataFrame, g: int, seed: str = "seed_id") -> DataFr
         yield pd.DataFrame({"seed_id": key[0], "episode_id": list(have), "reward": r.to_numpy(), "adv": ((r - r.mean()) / (sd + 1e-6) if sd > 1e-9 else 0 * r).to_numpy()})
 
     return rewards.select(seed, "episode_id", "reward").groupBy(seed).applyInPandasWithState(
-        go, "seed_id long, episode_id long, reward double, adv double", "eps array<long>, rs array<double>", "append", GroupStateTimeout.NoTimeout
+        go, "seed_id long, episode_id long, reward double, adv double", "eps array<long>, rs array<double>", "append", GroupStateTimeout.ProcessingTimeTimeout
     )
 
 
