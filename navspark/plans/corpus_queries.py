@@ -6,13 +6,15 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from navspark.functions.core import r6, r6_sql, uniform01, uniform01_sql
+from navspark.operators import metrics as M
 from navspark.operators import mixture as X
 from navspark.operators import packing as K
 from navspark.operators import taxonomy as Y
 from navspark.operators import tokenlm as T
 from navspark.operators.ops import sample_fraction
 from navspark.plans.base import query
-from navspark.plans.perception_queries import SER_VIEWS, serialized
+from navspark.plans.perception_queries import SER_VIEWS, renamed, serialized
+from navspark.session import kept
 from navspark.sources import carriers as C
 
 # --- mixture -----------------------------------------------------------------------------
@@ -54,13 +56,22 @@ def mix_draw(spark, sf):
     return g.crossJoin(F.broadcast(d.agg(F.count("*").alias("_n")))).select("source", "grp", "drawn", "n_unique", "id_sum", r6(F.col("drawn") / F.col("_n")).alias("share"))
 
 
-@query("mix_report")
+@query(
+    "mix_report",
+    f"SELECT task, grp, source, CAST(sum(n) AS BIGINT) AS n, CAST(sum(CAST(n > 0 AS INT)) AS BIGINT) AS n_unique, CAST(grouping_id(task, grp, source) AS INT) AS level, {r6_sql('sum(n) / (SELECT sum(n) FROM drawn)')} AS share FROM (SELECT 'reasoning' AS task, * FROM drawn) GROUP BY ROLLUP (task, grp, source)",
+    quotas=_QUOTA,
+    drawn=_DRAWN,
+)
 def mix_report(spark, sf):
     d = X.draw(sources(spark, sf).withColumn("task", F.lit("reasoning")), quotas(spark, sf))
     return X.mixture_report(d).select("task", "grp", "source", "n", "n_unique", F.col("level").cast("int").alias("level"), r6("share").alias("share"))
 
 
-@query("mix_bernoulli")
+@query(
+    "mix_bernoulli",
+    f"SELECT grp, CAST(sum(floor(rate) + CASE WHEN u < rate - floor(rate) THEN 1 ELSE 0 END) AS BIGINT) AS n FROM (SELECT q.grp, quota::DOUBLE / available AS rate, {uniform01_sql('s.sample_id', salt='draw')} AS u FROM v_samples s JOIN quotas q ON s.source = q.source) GROUP BY grp HAVING sum(floor(rate) + CASE WHEN u < rate - floor(rate) THEN 1 ELSE 0 END) > 0",
+    quotas=_QUOTA,
+)
 def mix_bernoulli(spark, sf):
     return X.draw_bernoulli(sources(spark, sf), quotas(spark, sf)).groupBy("grp").agg(F.count("*").alias("n"))
 
@@ -76,6 +87,21 @@ def mix_registry(spark, sf):
     return r.join(X.tag_multi_image(r), "source", "left").groupBy("grp").agg(F.count("*").alias("n"), F.count("subset").alias("n_multi"))
 
 
+@query("nav_registry", " UNION ALL ".join(f"SELECT '{t}' AS task, {n}::BIGINT AS n" for t, n in X.NAV_SOURCES.items()))
+def nav_registry(spark, sf):
+    return X.navigation_registry(spark).groupBy("task").agg(F.count("*").alias("n"))
+
+
+_MASS = [(1, g, n, X.ER_MASS[g]) for g, n in X.ER_SOURCES.items()] + [(2, g, n, X.SFT_MASS[g]) for g, n in X.SFT_SOURCES.items()]
+
+
+@query("mix_weights", " UNION ALL ".join(f"SELECT {s} AS stage, '{g}' AS grp, {n}::BIGINT AS n, {r6_sql(f'{m}::DOUBLE / 100 / {n}', 9)} AS weight" for s, g, n, m in _MASS))
+def mix_weights(spark, sf):
+    """Sources of each stage by group, and the weight of one source."""
+    every = X.mixture_weights(spark, 1).withColumn("stage", F.lit(1)).unionByName(X.mixture_weights(spark, 2).withColumn("stage", F.lit(2)))
+    return every.groupBy("stage", "grp").agg(F.count("*").alias("n"), r6(F.avg("weight"), 9).alias("weight"))
+
+
 _LABELLED = "SELECT s.episode_id, s.t, s.n_steps, s.event_id AS sample_id, s.visible, s.stop AND s.t = s.n_steps AND s.visible AS fstop, s.stop, e.label AS cluster FROM v_steps s JOIN embeddings e ON e.vec_id = s.event_id % (SELECT count(*) FROM embeddings)"
 _STAGE = "SELECT {i} AS stage, count(*) AS n_rows, " + r6_sql("avg(CAST({stop} AS INT))") + " AS stop_share, " + r6_sql("(SELECT max(c) FROM (SELECT count(*) AS c FROM {v} GROUP BY cluster)) / count(*)") + " AS max_cluster_share FROM {v}"
 QC_VIEWS = {
@@ -95,18 +121,19 @@ def labelled_steps(spark, sf):
 
 
 def _stage(i, df):
-    top = df.groupBy("cluster").count().agg(F.max("count").alias("m"))
-    a = df.agg(F.count("*").alias("n_rows"), r6(F.avg(F.col("stop").cast("double"))).alias("stop_share"))
-    return a.crossJoin(top).select(F.lit(i).alias("stage"), "n_rows", "stop_share", r6(F.col("m") / F.col("n_rows")).alias("max_cluster_share"))
+    """Counts of a stage in one scan: clusters first, then their sums and their largest."""
+    per = df.groupBy("cluster").agg(F.count("*").alias("m"), F.sum(F.col("stop").cast("long")).alias("s"))
+    a = per.agg(F.coalesce(F.sum("m"), F.lit(0)).alias("n_rows"), F.sum("s").alias("s"), F.max("m").alias("m"))
+    return a.select(F.lit(i).alias("stage"), "n_rows", r6(F.col("s") / F.col("n_rows")).alias("stop_share"), r6(F.col("m") / F.col("n_rows")).alias("max_cluster_share"))
 
 
 @query("qc_chain", " UNION ALL ".join(_STAGE.format(i=i, v=v, stop=s) for i, (v, s) in enumerate((("labelled", "stop"), ("labelled", "fstop"), ("seen", "fstop"), ("capped", "fstop"), ("stopped", "fstop")))), **QC_VIEWS)
 def qc_chain(spark, sf):
-    raw = labelled_steps(spark, sf).persist()
+    raw = kept(labelled_steps(spark, sf))
     f = X.filter_stop(raw)
-    seen = X.drop_unseen(f).persist()
-    capped = X.cap_clusters(seen)[0].persist()
-    stopped = X.cap_stop(capped).persist()
+    seen = kept(X.drop_unseen(f))
+    capped = kept(X.cap_clusters(seen)[0])
+    stopped = X.cap_stop(capped)
     out = None
     for i, d in enumerate((raw, f, seen, capped, stopped)):
         out = _stage(i, d) if out is None else out.unionByName(_stage(i, d))
@@ -116,7 +143,7 @@ def qc_chain(spark, sf):
 @query("qc_balanced")
 def qc_balanced(spark, sf):
     """The whole chain to its fixed point over 32 finer clusters, where both caps can hold."""
-    s = labelled_steps(spark, sf).withColumn("cluster", F.pmod(F.xxhash64("sample_id"), F.lit(32))).persist()
+    s = kept(labelled_steps(spark, sf).withColumn("cluster", F.pmod(F.xxhash64("sample_id"), F.lit(32))))
     d, info = X.balanced_index(s)
     return _stage(0, d).withColumns({"cap": F.lit(info["cap"]), "feasible": F.lit(info["feasible"]), "rounds": F.lit(info["rounds"])})
 
@@ -316,10 +343,13 @@ def abl_prior(spark, sf):
 FRACTIONS = (0.0625, 0.125, 0.25, 0.5, 1.0)
 
 
-def _scale_views(key: str) -> dict[str, str]:
+ENVIRONMENTS = (0.125, 0.25, 0.5, 1.0)
+
+
+def _scale_views(key: str, fractions=FRACTIONS) -> dict[str, str]:
     return {
         "ev": f"SELECT e.episode_id, e.t, event_type AS token, {uniform01_sql(key, salt='scale')} AS us, {uniform01_sql('episode_id', salt='ce')} AS u, coalesce(lag(event_type) OVER (PARTITION BY episode_id ORDER BY t), '<s>') || '/' || (k // 20) AS ctx FROM v_steps e",
-        "fr": "SELECT * FROM (VALUES " + ", ".join(f"({f}::DOUBLE)" for f in FRACTIONS) + ") AS f(fraction)",
+        "fr": "SELECT * FROM (VALUES " + ", ".join(f"({f}::DOUBLE)" for f in fractions) + ") AS f(fraction)",
         "pr": "SELECT fraction, ctx, token, count(*) AS n FROM ev JOIN fr ON us < fraction WHERE u < 0.8 GROUP BY ALL",
         "cx": "SELECT fraction, ctx, sum(n) AS nc FROM pr GROUP BY ALL",
         "vo": "SELECT fraction, count(DISTINCT token) AS nv FROM pr GROUP BY ALL",
@@ -331,16 +361,22 @@ def _scale_views(key: str) -> dict[str, str]:
 _CURVE = f"SELECT fraction, n, {r6_sql('ce', 5)} AS ce, {r6_sql('lag(ce) OVER (ORDER BY fraction) - ce', 5)} AS gain FROM curve"
 
 
-def _scaling(spark, sf, key):
+def _curve(spark, sf, key, fractions=FRACTIONS):
+    """(fraction, n, ce): the model fitted on nested shares of the data, tested on the same held-out episodes."""
     s = C.v_steps(spark, sf).select("episode_id", "event_id", "t", F.col("event_type").alias("token"), "k")
     prev = F.coalesce(F.lag("token").over(W.partitionBy("episode_id").orderBy("t")), F.lit("<s>"))
-    s = s.withColumn("ctx", F.concat_ws("/", prev, F.floor(F.col("k") / 20).cast("string"))).withColumn("u", uniform01("episode_id", salt="ce")).withColumn("one", F.lit(1)).persist()
-    out = None
-    for f in FRACTIONS:
+    s = s.withColumn("ctx", F.concat_ws("/", prev, F.floor(F.col("k") / 20).cast("string"))).withColumn("u", uniform01("episode_id", salt="ce")).withColumn("one", F.lit(1))
+    s, out = kept(s), None
+    for f in fractions:
         part = sample_fraction(s.where("u < 0.8"), f, key, salt="scale")
         sc = T.score(s.where("u >= 0.8"), T.fit_token_lm(part, ("one",)), ("one",))
         one = sc.agg((-F.avg("logp")).alias("ce")).crossJoin(part.agg(F.count("*").alias("n"))).select(F.lit(f).alias("fraction"), "n", "ce")
         out = one if out is None else out.unionByName(one)
+    return out
+
+
+def _scaling(spark, sf, key, fractions=FRACTIONS):
+    out = _curve(spark, sf, key, fractions)
     gain = F.lag("ce").over(W.orderBy("fraction")) - F.col("ce")  # five rows
     return out.withColumn("gain", gain).select("fraction", "n", r6("ce", 5).alias("ce"), F.when(F.col("gain").isNotNull(), r6("gain", 5)).alias("gain"))
 
@@ -350,9 +386,33 @@ def scale_data(spark, sf):
     return _scaling(spark, sf, "event_id")
 
 
-@query("scale_scene", _CURVE, **_scale_views("e.episode_id"))
+@query("scale_scene", _CURVE, **_scale_views("e.episode_id", ENVIRONMENTS))
 def scale_scene(spark, sf):
-    return _scaling(spark, sf, "episode_id")
+    """Environments (episodes stand for them) from an eighth to all."""
+    return _scaling(spark, sf, "episode_id", ENVIRONMENTS)
+
+
+_MATCHED = {}
+for _axis, _key in (("data", "e.event_id"), ("environments", "e.episode_id")):
+    _own = _scale_views(_key, ENVIRONMENTS)
+    _MATCHED |= {f"{_axis}_{k}": renamed(v, _own, f"{_axis}_") for k, v in _own.items()}
+
+
+@query(
+    "scale_matched",
+    " UNION ALL ".join(
+        f"SELECT '{axis}' AS axis, {r6_sql('sum(g)', 5)} AS gain, bool_and(coalesce(g >= 0, true)) AS monotone, count(g) AS n_steps FROM (SELECT lag(ce) OVER (ORDER BY fraction) - ce AS g FROM {axis}_curve)" for axis in ("data", "environments")
+    ),
+    **_MATCHED,
+)
+def scale_matched(spark, sf):
+    """What an eighth-to-all sweep gains along either axis, and whether every step does."""
+    out = None
+    for axis, key in (("data", "event_id"), ("environments", "episode_id")):
+        one = _curve(spark, sf, key, ENVIRONMENTS).select(F.lit(axis).alias("setting"), F.lit("CE").alias("metric"), "fraction", (-F.col("ce")).alias("value"))
+        out = one if out is None else out.unionByName(one)
+    g = M.scaling_gains(out)
+    return g.groupBy(F.col("setting").alias("axis")).agg(r6(F.sum("gain"), 5).alias("gain"), F.bool_and("monotone").alias("monotone"), F.count("gain").alias("n_steps"))
 
 
 @query("scale_capacity")
@@ -360,7 +420,7 @@ def scale_capacity(spark, sf):
     """Displacement against the size of the code: levels and codewords as the capacity axis."""
     from navspark.operators import rvq as Q
 
-    traj, out = C.v_traj(spark, sf).select("traj_id", "z").persist(), None
+    traj, out = kept(C.v_traj(spark, sf).select("traj_id", "z")), None
     for levels, k in ((1, 4), (1, 16), (2, 16), (3, 16)):
         books = Q.fit_rvq(traj, levels, k, 4)
         e = Q.rvq_eval(Q.encode(traj, books, "d_j"), books).where(F.col("levels") == levels)

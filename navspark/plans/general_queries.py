@@ -10,6 +10,8 @@ from navspark.functions import sqlfn
 from navspark.functions.core import r6, r6_sql
 from navspark.operators import ops
 from navspark.plans.base import query
+from navspark.plans.perception_queries import _AGED, _KEPT, F_MAX, TAU_S
+from navspark.session import shared_folder
 from navspark.sources import carriers as C
 from navspark.streaming import live
 
@@ -106,11 +108,29 @@ def sql_surface(spark, sf):
     return spark.sql("SELECT count(*) AS n, sum(grid_index(u, v, 16, 16)) AS idx_sum FROM v_steps")
 
 
-@query("live_windows")
+@query(
+    "live_windows",
+    f"""SELECT epoch_ms(w) AS start_ms, count(*) AS n, {r6_sql("avg(CAST(visible AND range_m BETWEEN 1 AND 3 AS INT))")} AS tracking_rate, {r6_sql("avg(CAST(visible AS INT))")} AS visibility
+  FROM (SELECT time_bucket(INTERVAL 6 HOUR, ts, TIMESTAMP '1970-01-01') - to_hours(CAST(6 * j AS BIGINT)) AS w, visible, range_m FROM v_steps CROSS JOIN range(4) AS r(j)) GROUP BY 1""",
+)
 def live_windows(spark, sf):
     """Sliding windows over the event stream, run to the end of what is there (a glob path may be one file)."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or "/tmp/checkpoints"
     name = f"live_{uuid.uuid4().hex}"
     s = live.events_stream(spark, f"{sf}/event[s].parquet", files_per_trigger=None)
-    t = live.run_available(live.tracking_windows(s, "1 day", "6 hours"), name, "complete", f"{base.rstrip('/')}/stream/{name}")
-    return t.select("start", "n", r6("tracking_rate").alias("tracking_rate"), r6("visibility").alias("visibility"))
+    t = live.run_available(live.tracking_windows(s, "1 day", "6 hours"), name, "complete", f"{shared_folder(spark)}/stream/{name}")
+    return t.select(F.unix_millis("start").alias("start_ms"), "n", r6("tracking_rate").alias("tracking_rate"), r6("visibility").alias("visibility"))
+
+
+@query(
+    "live_history",
+    "SELECT episode_id, count(*) AS n_kept, arg_min(event_id, age_s) AS newest, arg_max(event_id, age_s) AS oldest FROM kept WHERE plv IS NULL OR lv > plv GROUP BY episode_id",
+    aged=_AGED,
+    kept=_KEPT,
+)
+def live_history(spark, sf):
+    """The frames that the online selector holds when the stream has been read to its end."""
+    name = f"live_{uuid.uuid4().hex}"
+    s = live.events_stream(spark, f"{sf}/event[s].parquet", "60 days", None)
+    t = live.run_available(live.online_history(s, F_MAX, TAU_S), name, "update", f"{shared_folder(spark)}/stream/{name}")
+    last = t.groupBy("episode_id").agg(F.max_by(F.struct("n_kept", "newest", "oldest"), "now_us").alias("x"))
+    return last.select("episode_id", "x.*")

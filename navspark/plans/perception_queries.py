@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import functions as F
 
 from navspark.functions import geometry as G
@@ -14,7 +16,9 @@ from navspark.operators import instruct as N
 from navspark.operators import inventory as V
 from navspark.operators import rvq as Q
 from navspark.operators import serialize as S
+from navspark.operators import taxonomy as Y
 from navspark.plans.base import query
+from navspark.session import kept
 from navspark.sources import carriers as C
 
 # --- history -----------------------------------------------------------------------------
@@ -69,14 +73,35 @@ def hist_pool(spark, sf):
     return j.select("episode_id", "t", "stride", H.pooled_side(8, "stride").alias("h_p"), H.pooled_side(8, "stride").alias("w_p"), r6(F.get("p", F.lit(0)), 5).alias("mean_first_cell"))
 
 
-@query("hist_budget")
+def _budget_views(budget: int, rounds: int = 3) -> dict[str, str]:
+    """Rounds of doubling strides, oldest first, while an episode is above its budget."""
+    tok = "(ceil(8.0::DOUBLE / {0}) * ceil(8.0::DOUBLE / {0}) + 1)"
+    views = {"fit0": "SELECT episode_id, t, age_s, rn, s AS stride FROM aged WHERE (rn - 1) % 2 = 0"}
+    for i in range(rounds):
+        views[f"fit{i + 1}"] = f"""SELECT episode_id, t, age_s, rn, CASE WHEN total - saved > {budget} THEN more ELSE stride END AS stride FROM (
+  SELECT *, sum({tok.format("stride")}) OVER (PARTITION BY episode_id) AS total, coalesce(sum({tok.format("stride")} - {tok.format("more")}) OVER (PARTITION BY episode_id ORDER BY age_s DESC, t ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS saved FROM (
+   SELECT *, CASE WHEN rn = 1 THEN stride ELSE least(8, stride * 2) END AS more FROM fit{i}))"""
+    views["fitted"] = f"SELECT *, {tok.format('stride')} AS k FROM fit{rounds}"
+    return views
+
+
+@query(
+    "hist_budget",
+    "SELECT episode_id, CAST(sum(k) AS BIGINT) AS n_tok, CAST(max(stride) AS INT) AS max_stride, sum(k) > 200 AS over_budget FROM fitted GROUP BY episode_id",
+    aged=_AGED,
+    **_budget_views(200),
+)
 def hist_budget(spark, sf):
     """Strides after the token budget: no episode above it unless flagged."""
     ctx = H.compress_history(C.v_frames(spark, sf).select("episode_id", "t", "ts"), "uniform", F_MAX, TAU_S, TAU_P, budget=200, every=2)
     return ctx.groupBy("episode_id").agg(F.sum("n_tok").alias("n_tok"), F.max("stride").alias("max_stride"), F.bool_or("over_budget").alias("over_budget"))
 
 
-@query("hist_native_resolution")
+@query(
+    "hist_native_resolution",
+    """SELECT h, w, budget, r * 32 AS h2, c * 32 AS w2, r * c AS n_tok FROM (SELECT *, CAST(greatest(1, floor(floor(h * s) / 32)) AS INT) AS r, CAST(greatest(1, floor(floor(w * s) / 32)) AS INT) AS c FROM (
+  SELECT *, least(1.0::DOUBLE, sqrt(budget::DOUBLE / (h * w))) AS s FROM (VALUES (270, 480), (720, 1280), (1080, 1920)) AS f(h, w) CROSS JOIN (VALUES (262144), (589824), (1048576)) AS b(budget)))""",
+)
 def hist_native_resolution(spark, sf):
     rows = [(h, w, b, *H.fit_budget(h, w, b)) for h, w in ((270, 480), (720, 1280), (1080, 1920)) for b in H.PIXEL_BUDGETS]
     return spark.createDataFrame(rows, "h int, w int, budget int, h2 int, w2 int, n_tok int")
@@ -118,7 +143,18 @@ def point_encodings(spark, sf):
     return cell.unionByName(xy)
 
 
-@query("point_annotate")
+def _seen_sql(tx: str, ty: str, dz: float) -> str:
+    """Cell of a point (tx, ty) at height dz above the camera, from the pose (x, y, yaw)."""
+    f, ahead, left = "0.28867513459481287::DOUBLE", f"(({tx} - x) * cos(yaw) + ({ty} - y) * sin(yaw))", f"(({ty} - y) * cos(yaw) - ({tx} - x) * sin(yaw))"
+    u, v = f"round(0.5::DOUBLE - {f} * {left} / {ahead}, 9)", f"round(0.5::DOUBLE - {f} * {dz}::DOUBLE / {ahead}, 9)"
+    return f"CASE WHEN {ahead} > 1e-9 AND {u} BETWEEN 0 AND 1 AND {v} BETWEEN 0 AND 1 THEN CAST(least(15, floor({v} * 16)) * 16 + least(15, floor({u} * 16)) AS INT) ELSE 258 END"
+
+
+@query(
+    "point_annotate",
+    f"""SELECT episode_id, CAST(i AS INT) AS i, CASE WHEN nx IS NULL THEN 257 ELSE {_seen_sql("nx", "ny", -1.0)} END AS apos, {_seen_sql("gx", "gy", 0.0)} AS opos FROM (
+  SELECT *, coalesce(atan2(ny - y, nx - x), 0.0::DOUBLE) AS yaw FROM (SELECT *, lead(x) OVER w AS nx, lead(y) OVER w AS ny FROM v_path WINDOW w AS (PARTITION BY episode_id ORDER BY i)))""",
+)
 def point_annotate(spark, sf):
     """Dual labels by projection: the next waypoint of the executed path, and the goal, seen from each pose."""
     return A.annotate_dual(C.v_path(spark, sf)).select("episode_id", "i", "apos", "opos")
@@ -151,7 +187,7 @@ _WAY = """SELECT {keys}, i, sum(dx * cos(h) - dy * sin(h)) OVER w AS x, sum(dx *
 _WRAP = "(pi() - (((pi() - ({a})) % (2 * pi())) + 2 * pi()) % (2 * pi()))"
 
 
-def _encode_sql(how: str) -> tuple[str, dict[str, str]]:
+def _encode_sql(how: str, lam: float = 0.3) -> tuple[str, dict[str, str]]:
     views = {"zway": _WAY.format(keys="traj_id", rows="v_traj_rows")}
     done = "SELECT traj_id, i, 0.0::DOUBLE AS dx, 0.0::DOUBLE AS dy, 0.0::DOUBLE AS dth FROM v_traj_rows"
     for lv, scale in enumerate((1.0, 0.5, 0.25)):
@@ -161,7 +197,7 @@ def _encode_sql(how: str) -> tuple[str, dict[str, str]]:
         views[f"cway{lv}"] = _WAY.format(keys="traj_id, k", rows=f"cand{lv}")
         if how == "d_traj":
             wrapped = _WRAP.format(a="max(CASE WHEN z.i = 9 THEN z.th END) - max(CASE WHEN z.i = 9 THEN c.th END)")
-            views[f"dist{lv}"] = f"SELECT z.traj_id, c.k, avg(sqrt((z.x - c.x) ** 2 + (z.y - c.y) ** 2)) + 0.3::DOUBLE * abs({wrapped}) AS d FROM zway z JOIN cway{lv} c ON z.traj_id = c.traj_id AND z.i = c.i GROUP BY z.traj_id, c.k"
+            views[f"dist{lv}"] = f"SELECT z.traj_id, c.k, avg(sqrt((z.x - c.x) ** 2 + (z.y - c.y) ** 2)) + {lam}::DOUBLE * abs({wrapped}) AS d FROM zway z JOIN cway{lv} c ON z.traj_id = c.traj_id AND z.i = c.i GROUP BY z.traj_id, c.k"
         else:
             views[f"res{lv}"] = f"SELECT z.traj_id, c.k, z.i, z.dx - c.dx AS dx, z.dy - c.dy AS dy, z.dth - c.dth AS dth FROM v_traj_rows z JOIN cand{lv} c ON z.traj_id = c.traj_id AND z.i = c.i"
             views[f"cum{lv}"] = f"SELECT traj_id, k, i, sum(dx) OVER w AS x, sum(dy) OVER w AS y, sum(dth) OVER w AS th FROM res{lv} WINDOW w AS (PARTITION BY traj_id, k ORDER BY i ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW)"
@@ -214,7 +250,7 @@ def _quality(traj, levels, k, iters=6):
 @query("rvq_quality")
 def rvq_quality(spark, sf):
     """Displacement for each prefix of residual quantisers, 3 x 256 at full size, and for single-level vocabularies up to 4,096."""
-    traj = C.v_chunks(spark, sf).select(F.col("chunk_id").alias("traj_id"), "z").persist()
+    traj = kept(C.v_chunks(spark, sf).select(F.col("chunk_id").alias("traj_id"), "z"))
     out = None
     for levels, k in ((3, 16), (3, 64), (3, 256), (1, 48), (1, 256), (1, 4096)):
         one = _quality(traj, levels, k).select(F.lit(f"{levels}x{k}").alias("size"), "levels", "n", r6("mean_ade").alias("mean_ade"), r6("mean_dth").alias("mean_dth"), "used_codes", r6("entropy_bits").alias("entropy_bits"), "dead_codes")
@@ -222,9 +258,32 @@ def rvq_quality(spark, sf):
     return out
 
 
-@query("rvq_lambda_sweep")
+LAMBDAS = (0.0, 0.1, 0.3, 1.0)
+
+
+def renamed(text: str, names, prefix: str) -> str:
+    return re.sub(rf"\b({'|'.join(names)})\b", rf"{prefix}\1", text)
+
+
+def _sweep_sql() -> tuple[str, dict[str, str]]:
+    """The encoding once for each heading weight, its views under names of their own."""
+    parts, views = [], {}
+    for i, lam in enumerate(LAMBDAS):
+        own = _encode_sql("d_traj", lam)[1]
+        body = f"""SELECT {lam}::DOUBLE AS lam, {r6_sql("avg(a.a)")} AS mean_ade, {r6_sql("avg(abs(" + _WRAP.format(a="z.th - c.th") + "))")} AS mean_dth
+  FROM ade2 a JOIN zway z ON z.traj_id = a.traj_id AND z.i = 9 JOIN best2 b ON b.traj_id = a.traj_id JOIN cway2 c ON c.traj_id = b.traj_id AND c.k = b.k AND c.i = 9"""
+        parts.append(renamed(body, own, f"w{i}_"))
+        views |= {f"w{i}_{name}": renamed(text, own, f"w{i}_") for name, text in own.items()}
+    return " UNION ALL ".join(parts), views
+
+
+_SWEEP_SQL, _SWEEP_VIEWS = _sweep_sql()
+
+
+@query("rvq_lambda_sweep", _SWEEP_SQL, **_SWEEP_VIEWS)
 def rvq_lambda_sweep(spark, sf):
-    return Q.lambda_sweep(C.v_traj(spark, sf).select("traj_id", "z"), _table_books(spark, sf), [0.0, 0.1, 0.3, 1.0])
+    got = Q.lambda_sweep(C.v_traj(spark, sf).select("traj_id", "z"), _table_books(spark, sf), list(LAMBDAS))
+    return got.select("lam", r6("mean_ade").alias("mean_ade"), r6("mean_dth").alias("mean_dth"))
 
 
 @query("se2_integrate", f"SELECT traj_id, {r6_sql('x')} AS x10, {r6_sql('y')} AS y10, {r6_sql('th')} AS th10 FROM zway WHERE i = 9", zway=_TRAJ_VIEWS["zway"])
@@ -326,7 +385,7 @@ def inv_ungated(spark, sf):
 @query("inv_components")
 def inv_components(spark, sf):
     """Precision and recall of merging by components and by seeds, against the true instances."""
-    obs, out = _lifted(spark, sf).persist(), None
+    obs, out = kept(_lifted(spark, sf)), None
     for algo in ("cell", "greedy", "components"):
         m = V.merge_views(obs, 0.5, algo)
         one = V.inventory_report(m, V.gate(m)).select(F.lit(algo).alias("algo"), "*")
@@ -344,8 +403,8 @@ def inv_components(spark, sf):
 )
 def ep_starts(spark, sf):
     v = C.v_views(spark, sf).where(P.valid_point("u", "v"))
-    seen = v.select(F.concat_ws("/", "scene", "part_key").alias("target"), "viewpoint").distinct()
-    return E.draw_starts(seen.select("target").distinct(), seen.select("viewpoint").distinct(), seen)
+    seen = v.select(F.concat_ws("/", "scene", "part_key").alias("target"), "viewpoint")
+    return E.draw_starts(seen)
 
 
 def _relaxed(rounds: int) -> dict[str, str]:
@@ -440,9 +499,48 @@ def inst_checks(spark, sf):
     )
 
 
-@query("inst_report")
+@query(
+    "inst_report",
+    f"""SELECT count(*) AS n, {r6_sql("avg(CAST(noun_ok AND dir_ok AND clean AS INT))")} AS acceptance, CAST(sum(CAST(NOT noun_ok AS INT)) AS BIGINT) AS noun_lost, CAST(sum(CAST(NOT dir_ok AS INT)) AS BIGINT) AS direction_lost, CAST(sum(CAST(NOT clean AS INT)) AS BIGINT) AS opposite_added FROM (
+  SELECT regexp_matches(rewrite, '(?i)\\b(' || noun || ')\\b') AS noun_ok, regexp_matches(rewrite, '(?i)\\b(' || ({_case(N.KEEP)}) || ')\\b') AS dir_ok, NOT regexp_matches(rewrite, '(?i)\\b(' || ({_case(N.AVOID)}) || ')\\b') AS clean FROM rewrites)""",
+    worded=_WORDED,
+    rewrites=_REWRITES,
+)
 def inst_report(spark, sf):
-    return N.wording_report(resolved(spark, sf))
+    return N.wording_report(resolved(spark, sf)).select("n", r6("acceptance").alias("acceptance"), "noun_lost", "direction_lost", "opposite_added")
+
+
+# Geometric proofs: targets in scenes of twelve, seen from the middle of a room of ten metres.
+NEAR, MARGIN, GAP = 2.0, 20.0, 2
+_QUARTER = f"['ahead', 'left', 'behind', 'right'][1 + CAST(((floor(round((({_WRAP.format(a='atan2(y - 5.0, x - 5.0)')}) + pi() / 4) / (pi() / 2), 9))::BIGINT % 4) + 4) % 4 AS INT)]"
+_PROOFS = {
+    "v_places": "SELECT p_partkey AS target, p_partkey // 12 AS scene, split_part(p_name, ' ', 2) AS category, (p_partkey * 7919 % 1000)::DOUBLE / 100 AS x, (p_partkey * 104729 % 1000)::DOUBLE / 100 AS y, p_retailprice AS price, p_size AS size FROM part",
+    "sided": f"SELECT *, {_QUARTER} AS sector FROM v_places",
+    "counted": "SELECT *, count(*) OVER (PARTITION BY scene, category) AS n_cat, count(*) OVER (PARTITION BY scene, category, sector) AS n_side, row_number() OVER p AS pr, lead(price) OVER p - price AS pgap, size - lag(size) OVER z AS before, lead(size) OVER z - size AS after FROM sided WINDOW p AS (PARTITION BY scene, category ORDER BY price, target), z AS (PARTITION BY scene, category ORDER BY size, target)",
+    "anchored": f"SELECT DISTINCT target FROM (SELECT i.target, count(*) OVER (PARTITION BY a.target, i.category) AS k FROM counted a JOIN counted i ON a.scene = i.scene AND a.category <> i.category AND (a.x - i.x) ** 2 + (a.y - i.y) ** 2 <= {NEAR * NEAR} WHERE a.n_cat = 1) WHERE k = 1",
+    "proofs": f"SELECT target, n_cat = 1 AS is_base, n_side = 1 AS is_direction, target IN (SELECT target FROM anchored) AS is_relation, coalesce(pr = 1 AND pgap > {MARGIN}, false) AS is_extremum, n_cat >= 2 AND coalesce(before >= {GAP}, true) AND coalesce(after >= {GAP}, true) AS is_ordinal FROM counted",
+}
+KINDS = ("base", "direction", "relation", "extremum", "ordinal")
+
+
+@query(
+    "inst_proofs",
+    "SELECT CASE WHEN is_ordinal THEN 'ordinal' WHEN is_extremum THEN 'extremum' WHEN is_relation THEN 'relation' WHEN is_direction THEN 'direction' WHEN is_base THEN 'base' END AS instr_type, count(*) AS n, "
+    + ", ".join(f"CAST(sum(CAST(is_{k} AS INT)) AS BIGINT) AS n_{k}" for k in KINDS)
+    + " FROM proofs GROUP BY 1",
+    **_PROOFS,
+)
+def inst_proofs(spark, sf):
+    """The proof that each target admits, and the label that follows."""
+    p = C.load(spark, sf, "part")
+    place = lambda m: (F.col("p_partkey") * m % 1000) / 100
+    inst = p.select(F.col("p_partkey").alias("target"), F.floor(F.col("p_partkey") / 12).alias("scene"), F.split("p_name", " ")[1].alias("category"), place(7919).alias("x"), place(104729).alias("y"), F.lit(0.0).alias("z"), F.col("p_retailprice").alias("price"), F.col("p_size").alias("size"))
+    inst = kept(inst.withColumn("sector", N.sector_uniform(F.atan2(F.col("y") - 5.0, F.col("x") - 5.0))))
+    out = Y.prove_base(inst).select("target", "is_base")
+    found = {"direction": Y.prove_direction(inst), "relation": Y.prove_relation(inst, NEAR), "extremum": Y.prove_extremum(inst, "price", True, MARGIN), "ordinal": Y.prove_ordinal(inst, "size", GAP, 2)}
+    for kind, ok in found.items():
+        out = out.join(ok.select("target").distinct().withColumn(f"is_{kind}", F.lit(True)), "target", "left").withColumn(f"is_{kind}", F.coalesce(f"is_{kind}", F.lit(False)))
+    return Y.label_instruction(out).groupBy("instr_type").agg(F.count("*").alias("n"), *[F.sum(F.col(f"is_{k}").cast("long")).alias(f"n_{k}") for k in KINDS])
 
 
 @query(

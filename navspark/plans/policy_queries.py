@@ -2,15 +2,17 @@
 
 from __future__ import annotations
 
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from navspark.functions.core import PI, r6, r6_sql, uniform01_sql, wrap_angle
+from navspark.functions.core import PI, r6, r6_sql, uniform01, uniform01_sql, wrap_angle
 from navspark.operators import grpo as O
 from navspark.operators import metrics as M
 from navspark.operators import rollouts as R
 from navspark.operators import taxonomy as X
 from navspark.operators import tokenlm as T
 from navspark.plans.base import query
+from navspark.plans.perception_queries import _WAY
 from navspark.sources import carriers as C
 from navspark.sources import published as PUB
 
@@ -18,23 +20,32 @@ from navspark.sources import published as PUB
 
 _B = "CASE WHEN abs(bearing_rad) <= 0.14 THEN 1.0::DOUBLE ELSE exp(-((abs(bearing_rad) - 0.14::DOUBLE) ** 2) / (2 * 0.35::DOUBLE * 0.35::DOUBLE)) END"
 _D = "CASE WHEN range_m < 1.5 THEN exp(-((1.5::DOUBLE - range_m) ** 2) / (2 * 0.35::DOUBLE * 0.35::DOUBLE)) WHEN range_m > 3.0 THEN exp(-((range_m - 3.0::DOUBLE) ** 2) / 2.0::DOUBLE) ELSE 1.0::DOUBLE END"
-_TRACK = f"""SELECT *, CAST(success AS INT) - 0.5::DOUBLE * CAST(collision AS INT) + 0.7::DOUBLE * sum_q / horizon AS reward, CAST(success AS INT) - 0.5::DOUBLE * CAST(collision AS INT) + 0.7::DOUBLE * sum_q / t_n AS reward_executed FROM (
+_TRACK = f"""SELECT *, CAST(success AS INT) - 0.5::DOUBLE * CAST(collision AS INT) + (0.7::DOUBLE * sum_q + 0.3::DOUBLE * sum_m) / horizon AS reward, CAST(success AS INT) - 0.5::DOUBLE * CAST(collision AS INT) + (0.7::DOUBLE * sum_q + 0.3::DOUBLE * sum_m) / t_n AS reward_executed FROM (
   SELECT *, CASE WHEN early THEN greatest(t_n, 300) ELSE t_n END AS horizon FROM (
-   SELECT episode_id, count(*) AS t_n, sum(CASE WHEN visible THEN ({_B}) * ({_D}) ELSE 0.0::DOUBLE END) AS sum_q, bool_or(collision) AS collision,
-    arg_max(visible AND range_m BETWEEN 1 AND 3 AND abs(bearing_rad) <= 1.0471975511965976, t) AS success, arg_max(NOT visible OR collision, t) AS early, avg(CAST(visible AND range_m BETWEEN 1 AND 3 AS INT)) AS tracked FROM v_steps GROUP BY episode_id))"""
+   SELECT s.episode_id, count(*) AS t_n, sum(CASE WHEN visible THEN ({_B}) * ({_D}) ELSE 0.0::DOUBLE END) AS sum_q, sum(coalesce(m, 0.0::DOUBLE)) AS sum_m, bool_or(collision) AS collision,
+    arg_max(visible AND range_m BETWEEN 1 AND 3 AND abs(bearing_rad) <= 1.0471975511965976 AND cos(target_rad - bearing_rad) > 0, s.t) AS success, arg_max(NOT visible OR collision, s.t) AS early, avg(CAST(visible AND range_m BETWEEN 1 AND 3 AS INT)) AS tracked
+    FROM v_steps s LEFT JOIN trk_match p ON p.episode_id = s.episode_id AND p.t = s.t GROUP BY s.episode_id))"""
+#: The plan that a step emits repeats its own motion ten times; the privileged plan is what followed.
+TRACK_VIEWS = {
+    "trk_true": _WAY.format(keys="episode_id, t", rows="v_chunk_rows"),
+    "trk_held": "SELECT c.episode_id, c.t, c.i, s.fwd_m AS dx, 0.0::DOUBLE AS dy, s.turn_rad AS dth FROM v_chunk_rows c JOIN v_steps s ON s.episode_id = c.episode_id AND s.t = c.t",
+    "trk_plan": _WAY.format(keys="episode_id, t", rows="trk_held"),
+    "trk_match": "SELECT a.episode_id, a.t, greatest(0.0::DOUBLE, 1 - avg(sqrt((a.x - b.x) ** 2 + (a.y - b.y) ** 2))) AS m FROM trk_true a JOIN trk_plan b ON a.episode_id = b.episode_id AND a.t = b.t AND a.i = b.i GROUP BY a.episode_id, a.t",
+    "track": _TRACK,
+}
 
 
 def _tracking(spark, sf, horizon):
-    e = R.tracking_episodes(C.v_steps(spark, sf), horizon=horizon)
+    e = R.tracking_episodes(C.planned_steps(spark, sf), horizon=horizon)
     return e.select("episode_id", "t_n", F.col("horizon").cast("long").alias("horizon"), "success", "collision", r6("reward").alias("reward"))
 
 
-@query("rew_tracking", f"SELECT episode_id, t_n, CAST(horizon AS BIGINT) AS horizon, success, collision, {r6_sql('reward')} AS reward FROM track", track=_TRACK)
+@query("rew_tracking", f"SELECT episode_id, t_n, CAST(horizon AS BIGINT) AS horizon, success, collision, {r6_sql('reward')} AS reward FROM track", **TRACK_VIEWS)
 def rew_tracking(spark, sf):
     return _tracking(spark, sf, "full")
 
 
-@query("rew_tracking_executed", f"SELECT episode_id, t_n, CAST(t_n AS BIGINT) AS horizon, success, collision, {r6_sql('reward_executed')} AS reward FROM track", track=_TRACK)
+@query("rew_tracking_executed", f"SELECT episode_id, t_n, CAST(t_n AS BIGINT) AS horizon, success, collision, {r6_sql('reward_executed')} AS reward FROM track", **TRACK_VIEWS)
 def rew_tracking_executed(spark, sf):
     return _tracking(spark, sf, "executed")
 
@@ -65,9 +76,22 @@ def rew_object(spark, sf):
     return _reward_cols(R.reward_object(scored(spark, sf, 1.0)))
 
 
-@query("rew_instruction")
+#: Dynamic time warping, a row of the cost matrix at a time: inside a row the best way to a cell enters the row at
+#: some cell before it and adds the costs from there on, so a running minimum replaces the cell-by-cell recursion.
+WARP_VIEWS = {
+    **VLN_VIEWS,
+    "warp_cost": "SELECT a.episode_id, a.i, b.i AS j, sqrt((a.x - b.rx) ** 2 + (a.y - b.ry) ** 2) AS c FROM v_path a JOIN v_path b ON a.episode_id = b.episode_id",
+    "warp_walk": """SELECT episode_id, i, j, sum(c) OVER (PARTITION BY episode_id ORDER BY j) AS acc FROM warp_cost WHERE i = 0
+  UNION ALL SELECT episode_id, i, j, p + min(m - p + c) OVER (PARTITION BY episode_id ORDER BY j) FROM (
+   SELECT k.episode_id, k.i, k.j, k.c, sum(k.c) OVER e AS p, least(w.acc, coalesce(lag(w.acc) OVER e, w.acc)) AS m FROM warp_walk w JOIN warp_cost k ON k.episode_id = w.episode_id AND k.i = w.i + 1 AND k.j = w.j WINDOW e AS (PARTITION BY k.episode_id ORDER BY k.j))""",
+    "warped": "SELECT s.*, exp(-w.acc / ((s.n + 1) * 3.0::DOUBLE)) AS ndtw FROM scored3 s JOIN warp_walk w ON w.episode_id = s.episode_id AND w.i = s.n AND w.j = s.n",
+    "vln": "SELECT *, (1 + ndtw) * CAST(success AS INT) AS term1, exp(-(greatest(d_t, 2.0::DOUBLE) ** 2) / 9.0::DOUBLE) AS term2, -0.25::DOUBLE * CAST(timeout AS INT) AS term3 FROM warped",
+}
+
+
+@query("rew_instruction", f"SELECT episode_id, {r6_sql('d_t')} AS d_t, {r6_sql('term1')} AS term1, {r6_sql('term2')} AS term2, {r6_sql('term3')} AS term3, {r6_sql('term1 + term2 + term3')} AS reward FROM vln", **WARP_VIEWS)
 def rew_instruction(spark, sf):
-    """With the warped-path term; tested against a brute-force warping."""
+    """With the warped-path term."""
     return _reward_cols(R.reward_instruction(scored(spark, sf, 3.0, True)))
 
 
@@ -106,19 +130,20 @@ _LM = {
     "lps": "SELECT t.episode_id, t.t, v.name, ln((coalesce(p.n, 0) + 1.0::DOUBLE) / (coalesce(c.n_ctx, 0) + 1.0::DOUBLE * (v.nv + 1))) AS lp FROM toks t CROSS JOIN vocs v LEFT JOIN pairs p ON p.name = v.name AND p.ctx = t.ctx AND p.token = t.token LEFT JOIN ctxs c ON c.name = v.name AND c.ctx = t.ctx",
     "wide": "SELECT episode_id, t, max(lp) FILTER (WHERE name = 'new') AS lp_new, max(lp) FILTER (WHERE name = 'old') AS lp_old, max(lp) FILTER (WHERE name = 'ref') AS lp_ref FROM lps GROUP BY ALL",
     "tadv": "SELECT episode_id, CASE WHEN sd > 0 THEN (reward - m) / (sd + 1e-6) ELSE 0.0::DOUBLE END AS adv FROM (SELECT episode_id, reward, avg(reward) OVER (PARTITION BY episode_id % 10) AS m, stddev_pop(reward) OVER (PARTITION BY episode_id % 10) AS sd FROM track)",
-    "track": _TRACK,
+    **TRACK_VIEWS,
 }
 
 
-def token_logprobs(spark, sf):
-    """(episode, t, lp_new, lp_old, lp_ref): the count model fitted on one half, on all, and on the other half."""
-    from navspark.functions.core import uniform01
-
+def token_contexts(spark, sf):
+    """(episode, t, token, ctx, u, one): each token after the one before it; u deals episodes to halves."""
     seq = C.v_steps(spark, sf).select("episode_id", "t", F.col("event_type").alias("token"))
-    from pyspark.sql import Window as W
-
     rows = seq.withColumn("ctx", F.coalesce(F.lag("token").over(W.partitionBy("episode_id").orderBy("t")), F.lit("<s>"))).withColumn("u", uniform01("episode_id", salt="half"))
-    rows = rows.withColumn("one", F.lit(1))
+    return rows.withColumn("one", F.lit(1))
+
+
+def token_logprobs(spark, sf):
+    """(episode, t, lp_new, lp_old, lp_ref): the count model fitted on one half, on all, and on the other half."""
+    rows = token_contexts(spark, sf)
     out = rows.select("episode_id", "t", "token", "ctx", "one")
     for name, part in (("lp_new", rows.where("u < 0.5")), ("lp_old", rows), ("lp_ref", rows.where("u >= 0.5"))):
         out = T.score(out, T.fit_token_lm(part, ("one",)), ("one",), name=name)
@@ -132,16 +157,37 @@ def token_logprobs(spark, sf):
     **_LM,
 )
 def grpo_loss(spark, sf):
-    e = R.tracking_episodes(C.v_steps(spark, sf)).withColumn("seed_id", F.col("episode_id") % 10)
+    e = R.tracking_episodes(C.planned_steps(spark, sf)).withColumn("seed_id", F.col("episode_id") % 10)
     adv = O.group_advantage(e)
     loss = O.grpo_loss(O.spread_advantage(token_logprobs(spark, sf), adv))
     return loss.select(r6("loss", 5).alias("loss"), r6("kl", 5).alias("kl"), r6("clip_frac", 5).alias("clip_frac"))
 
 
-@query("grpo_kl_estimators")
+@query(
+    "grpo_kl_estimators",
+    f"SELECT {r6_sql('avg(lp_new - lp_ref)')} AS k1, {r6_sql('avg((lp_ref - lp_new) ** 2 / 2)')} AS k2, {r6_sql('avg(exp(lp_ref - lp_new) - 1 - (lp_ref - lp_new))')} AS k3 FROM wide",
+    **_LM,
+)
 def grpo_kl_estimators(spark, sf):
     t = token_logprobs(spark, sf)
-    return t.agg(*[F.avg(O.kl(F.col("lp_new"), F.col("lp_ref"), how)).alias(how) for how in ("k1", "k2", "k3")])
+    return t.agg(*[r6(F.avg(O.kl(F.col("lp_new"), F.col("lp_ref"), how))).alias(how) for how in ("k1", "k2", "k3")])
+
+
+@query(
+    "grpo_kl_exact",
+    f"""SELECT {r6_sql("sum(share * p * (lp - lq))")} AS kl FROM (SELECT c.share, exp(n.lp) AS p, n.lp, r.lp AS lq FROM every n JOIN every r ON n.ctx = r.ctx AND n.token = r.token AND n.name = 'new' AND r.name = 'ref'
+  JOIN (SELECT ctx, count(*) / sum(count(*)) OVER () AS share FROM toks GROUP BY ctx) c ON c.ctx = n.ctx)""",
+    every="""SELECT v.name, x.ctx, y.token, ln((coalesce(p.n, 0) + 1.0::DOUBLE) / (coalesce(c.n_ctx, 0) + 1.0::DOUBLE * (v.nv + 1))) AS lp FROM vocs v CROSS JOIN (SELECT DISTINCT ctx FROM toks) x CROSS JOIN (SELECT DISTINCT token FROM toks) y
+  LEFT JOIN pairs p ON p.name = v.name AND p.ctx = x.ctx AND p.token = y.token LEFT JOIN ctxs c ON c.name = v.name AND c.ctx = x.ctx""",
+    **_LM,
+)
+def grpo_kl_exact(spark, sf):
+    """The divergence summed over the whole vocabulary of each context, weighted by how often it occurs."""
+    rows = token_contexts(spark, sf)
+    every = rows.select("one", "ctx").distinct().join(rows.select("one", "token").distinct(), "one")
+    p, q = (T.score(every, T.fit_token_lm(rows.where(part), ("one",)), ("one",)) for part in ("u < 0.5", "u >= 0.5"))
+    weight = rows.groupBy("one", "ctx").agg(F.count("*").alias("n_ctx"))
+    return T.kl_exact(p, q, weight, ("one",)).select(r6("kl").alias("kl"))
 
 
 _BINS = """SELECT seed_id, n_succ, sd, scene_id, CASE WHEN n_succ = 8 THEN 'always' WHEN n_succ = 0 THEN 'never' ELSE 'mixed' END AS bin FROM (
@@ -232,7 +278,7 @@ def m_vln(spark, sf):
     return _metric(scored(spark, sf, 3.0), F.col("setting"))
 
 
-@query("m_vln_ndtw")
+@query("m_vln_ndtw", f"SELECT setting, {r6_sql('avg(ndtw)')} AS ndtw FROM warped GROUP BY setting", **WARP_VIEWS)
 def m_vln_ndtw(spark, sf):
     return scored(spark, sf, 3.0, True).groupBy("setting").agg(r6(M.mean_ndtw()).alias("ndtw"))
 
@@ -253,7 +299,7 @@ def m_ovon(spark, sf):
 @query(
     "m_evt",
     f"SELECT CASE WHEN episode_id % 2 = 0 THEN 'single' ELSE 'distractors' END AS setting, {r6_sql('avg(CAST(success AS INT))')} AS sr, {r6_sql('avg(tracked)')} AS tr, {r6_sql('avg(CAST(collision AS INT))')} AS cr FROM track GROUP BY 1",
-    track=_TRACK,
+    **TRACK_VIEWS,
 )
 def m_evt(spark, sf):
     e = R.tracking_episodes(C.v_steps(spark, sf))
@@ -261,15 +307,17 @@ def m_evt(spark, sf):
     return e.groupBy(setting.alias("setting")).agg(r6(M.success_rate()).alias("sr"), r6(M.tracking_rate()).alias("tr"), r6(M.collision_rate()).alias("cr"))
 
 
-_DIAG = f"SELECT * REPLACE (stop_called AND round(d_t, 9) <= CASE WHEN scene_type = '{C.OUTDOOR}' THEN 3.0 ELSE 2.0 END AND n <= 300 AS success) FROM scored3"
-DIAG_VIEWS = {**VLN_VIEWS, "diag": _DIAG}
+#: A path's final heading is the sum of its turns, and all goals lie along +x of its end: a goal is in the 120 degree
+#: view where that heading is within 60 degrees of +x.
+_DIAG = f"""SELECT s.* REPLACE (s.stop_called AND round(s.d_t, 9) <= CASE WHEN s.scene_type = '{C.OUTDOOR}' THEN 3.0 ELSE 2.0 END AND s.n <= 300 AND coalesce(cos(w.h), 1.0::DOUBLE) >= 0.5::DOUBLE - 1e-9 AS success)
+  FROM scored3 s LEFT JOIN turned w ON w.episode_id = s.episode_id"""
+DIAG_VIEWS = {**VLN_VIEWS, "turned": "SELECT l_orderkey AS episode_id, sum((l_discount - 0.05::DOUBLE) * 10) AS h FROM lineitem GROUP BY l_orderkey", "diag": _DIAG}
 
 
 def diagnostic(spark, sf):
     """Indoor and outdoor radii; the goal must be in the 120 degree view of the final frame.
 
-    A goal at no distance counts as lying along +x, where the carrier puts all others. The SQL twin
-    leaves the view out, so it counts more successes.
+    A goal at no distance counts as lying along +x, where the carrier puts all others.
     """
     last = C.v_path(spark, sf).where("i = n")
     off = wrap_angle(F.atan2(F.col("gy") - F.col("y"), F.col("gx") - F.col("x")) - F.col("heading"))
@@ -353,11 +401,11 @@ def rank_marks(spark, sf):
 @query(
     "gain_table",
     f"""SELECT setting, metric, f AS focal, b AS best_other, {r6_sql("CASE WHEN metric IN ('NE', 'CR') THEN b - f ELSE f - b END", 4)} AS gain_abs, {r6_sql("100 * CASE WHEN metric IN ('NE', 'CR') THEN b - f ELSE f - b END / b", 4)} AS gain_rel FROM (
-  SELECT setting, metric, max(value) FILTER (WHERE method = 'ours') AS f, CASE WHEN metric IN ('NE', 'CR') THEN min(value) FILTER (WHERE method <> 'ours') ELSE max(value) FILTER (WHERE method <> 'ours') END AS b FROM pub WHERE value IS NOT NULL GROUP BY setting, metric) WHERE f IS NOT NULL AND b IS NOT NULL""",
+  SELECT setting, metric, max(value) FILTER (WHERE method = 'ours') AS f, CASE WHEN metric IN ('NE', 'CR') THEN min(value) FILTER (WHERE method <> 'ours') ELSE max(value) FILTER (WHERE method <> 'ours') END AS b FROM pub WHERE value IS NOT NULL AND family = 'mono' GROUP BY setting, metric) WHERE f IS NOT NULL AND b IS NOT NULL""",
     pub=_PUB,
 )
 def gain_table(spark, sf):
-    g = M.gain_table(PUB.frame(spark), "ours")
+    g = M.gain_table(PUB.frame(spark).where("family = 'mono'"), "ours")  # among methods with one camera
     return g.select("setting", "metric", "focal", "best_other", r6("gain_abs", 4).alias("gain_abs"), r6("gain_rel", 4).alias("gain_rel"))
 
 
