@@ -159,6 +159,14 @@ def compress_history(frames: DataFrame, mode: str, f_max: float, tau_s: float, t
     return allocate_tokens(f.drop("n_tok"), budget, side) if budget else f
 
 
+def with_pooled(context: DataFrame, grids: DataFrame, key: str = "grid_id", side: int = SIDE, how: str = "mean") -> DataFrame:
+    """Context rows with their pooled cells and the pooled height and width. Grids (``key``, grid) are
+    joined to the kept frames alone."""
+    j = context.join(grids, key)
+    n = pooled_side(side, "stride")
+    return j.withColumns({"cells": grid_pool("grid", "stride", side, side, how), "h_p": n, "w_p": n}).drop("grid")
+
+
 def history_cost(context: DataFrame) -> DataFrame:
     """Frames and tokens for each episode."""
     return context.groupBy(EP).agg(F.count("*").alias("n_frames"), F.sum("n_tok").alias("n_tok"), F.max("stride").alias("max_stride"))

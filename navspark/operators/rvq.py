@@ -145,10 +145,25 @@ def _rows(col: pa.Array) -> np.ndarray:
     return np.array(col.to_pylist(), float).reshape(-1, D)
 
 
-def init_codebook(traj: DataFrame, k: int, seed: int = 0, level: int = 0) -> np.ndarray:
-    """k rows in the order of an MD5 of their id; a bounded collect."""
-    rows = traj.orderBy(F.md5(F.concat_ws("|", F.lit(f"{seed}/{level}"), F.col("traj_id").cast("string"))), "traj_id").limit(k).collect()
-    return np.array([r.z for r in rows], float)
+def init_codebook(traj: DataFrame, k: int, seed: int = 0, level: int = 0, how: str = "hash", spare: int = 8) -> np.ndarray:
+    """k rows to start from, out of a bounded collect in the order of an MD5 of their id.
+
+    hash: the first k. farthest: out of ``spare`` times as many the first, then again and again the row
+    farthest from all that are taken, in metric space, so that rare motions get codes too.
+    """
+    n = k if how == "hash" else spare * k
+    rows = traj.orderBy(F.md5(F.concat_ws("|", F.lit(f"{seed}/{level}"), F.col("traj_id").cast("string"))), "traj_id").limit(n).collect()
+    z = np.array([r.z for r in rows], float).reshape(-1, D)
+    if how == "hash" or len(z) <= k:
+        return z[:k]
+    if how != "farthest":
+        raise ValueError(f"unknown start {how}")
+    a = z @ metric_map().T
+    taken, gap = [0], ((a - a[0]) ** 2).sum(1)
+    while len(taken) < k:
+        taken.append(int(gap.argmax()))
+        gap = np.minimum(gap, ((a - a[taken[-1]]) ** 2).sum(1))
+    return z[taken]
 
 
 def lloyd_partials(traj: DataFrame, books: np.ndarray, centre: np.ndarray, m: np.ndarray, per_sample: bool = False) -> DataFrame:
@@ -217,13 +232,14 @@ def lloyd_step(traj: DataFrame, books: np.ndarray, centre: np.ndarray, m: np.nda
     return np.round(new, 9), err / max(1.0, total)
 
 
-def fit_rvq(traj: DataFrame, levels: int = 3, k: int = 256, iters: int = 8, seed: int = 0, c: float = 0.25, metric: str = "fixed", tol: float = 1e-6) -> Codebooks:
-    """Residual k-means. ``metric``: 'fixed' (reference Jacobian) or 'sample' (each row's own)."""
+def fit_rvq(traj: DataFrame, levels: int = 3, k: int = 256, iters: int = 8, seed: int = 0, c: float = 0.25, metric: str = "fixed", tol: float = 1e-6, start_with: str = "hash") -> Codebooks:
+    """Residual k-means. ``metric``: 'fixed' (reference Jacobian) or 'sample' (each row's own); ``start_with``:
+    see ``init_codebook``."""
     m = metric_map(c)
     books: list[np.ndarray] = []
     errors: list[float] = []
     for level in range(levels):
-        start = init_codebook(traj, k, seed, level)
+        start = init_codebook(traj, k, seed, level, start_with)
         prior = np.array(books)
         if books:
             start = start - sum(b[i] for b, i in zip(prior, assign(start, prior, "d_j", m).T, strict=True))

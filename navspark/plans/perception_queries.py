@@ -68,9 +68,8 @@ def hist_cost(spark, sf):
 )
 def hist_pool(spark, sf):
     ctx = H.compress_history(C.v_frames(spark, sf), "integral", F_MAX, TAU_S, TAU_P)
-    j = ctx.join(C.grids(spark, sf), "grid_id")
-    j = j.withColumn("p", H.grid_pool("grid", "stride"))
-    return j.select("episode_id", "t", "stride", H.pooled_side(8, "stride").alias("h_p"), H.pooled_side(8, "stride").alias("w_p"), r6(F.get("p", F.lit(0)), 5).alias("mean_first_cell"))
+    j = H.with_pooled(ctx, C.grids(spark, sf))
+    return j.select("episode_id", "t", "stride", "h_p", "w_p", r6(F.get("cells", F.lit(0)), 5).alias("mean_first_cell"))
 
 
 def _budget_views(budget: int, rounds: int = 3) -> dict[str, str]:
