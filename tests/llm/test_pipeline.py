@@ -1,9 +1,14 @@
+import re
+import zlib
+
 import corpus_pipeline as C
+import numpy as np
 from helpers import DOC_DDL
 from pyspark.sql import functions as F
 
-from navspark.llm import common, decontam, simhash_vp
+from navspark.llm import common, decontam, quality_mil, simhash_vp
 from navspark.llm.common import table, written
+from navspark.llm.tokens import Vocabulary, _exact
 
 SF = "/root/testdata/sf0.001"
 
@@ -77,3 +82,79 @@ def test_one_row_of_each_group_stays(spark):
     docs = spark.createDataFrame([(d, t, str(i)) for i, (d, t) in enumerate(rows)], "doc_id long, text string, tag string")
     left = C.near_duplicates(spark, docs, SF).collect()
     assert sorted(((r.doc_id, r.text) for r in left), key=str) == sorted([(2, text + " more"), (3, other), (None, other + " x y z p q r s t"), (8, "")], key=str)
+
+
+def _kept_lines(rows):
+    """Line deduplication by the rule: a key in two documents stays with the smallest id alone."""
+    key = lambda line: line.strip(" \t\n\x0b\x0c\r").translate(str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"))
+    owner = {}
+    for d, t in rows:
+        for line in (t or "").split("\n"):
+            if len(key(line)) >= 10:
+                owner[key(line)] = min(d, owner.get(key(line), d))
+    return [(d, t if t is None else "\n".join(x for x in t.split("\n") if owner.get(key(x), d) >= d)) for d, t in rows]
+
+
+def _one_of_each(rows):
+    """All pairs of five-word shingle sets, linked from a similarity of 0.8; the smallest id of a group stays."""
+    sets = []
+    for _, t in rows:
+        w = (t or "").encode().lower().split()
+        sets.append({tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set())
+    up = list(range(len(rows)))
+
+    def find(i):
+        while up[i] != i:
+            i = up[i]
+        return i
+
+    for i, a in enumerate(sets):
+        for j in range(i):
+            b = sets[j]
+            if (not a and not b) or (a and b and len(a & b) >= 0.8 * len(a | b)):
+                up[find(i)] = find(j)
+    best = {}
+    for i, (d, _) in enumerate(rows):
+        best[find(i)] = min(best.get(find(i), d), d)
+    return [r for r in rows if r[0] in best.values()]
+
+
+def _without_leaks(rows, items):
+    words = lambda t: re.findall(r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+", (t or "").translate(str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")))
+    windows = set()
+    for t in items:
+        w = words(t)
+        n = min(13, len(w))
+        windows |= {tuple(w[i : i + n]) for i in range(len(w) - n + 1)} if n else set()
+    out = []
+    for d, t in rows:
+        w, hit = words(t), set()
+        for n in {len(x) for x in windows}:
+            for i in range(len(w) - n + 1):
+                if tuple(w[i : i + n]) in windows:
+                    hit |= set(range(i, i + n))
+        if not hit or 20 * len(hit) < len(w):
+            out.append((d, t))
+    return out
+
+
+def test_pipeline_equals_brute_force(spark):
+    docs = table(spark, SF, "documents")
+    good = written(C.quality(spark, docs, SF), "good")
+    model = quality_mil.train(docs, table(spark, SF, "labels"))
+    scores = {r.doc_id: model.forward(quality_mil.encode_passages((r.text or "").encode()), np.array([0]))[0][0] for r in docs.collect()}
+    rows = sorted((r.doc_id, r.text) for r in good.collect())
+    assert [d for d, _ in rows] == sorted(d for d, s in scores.items() if s >= 0.5)
+    rows = _without_leaks(_one_of_each(_kept_lines(rows)), [r.text for r in table(spark, SF, "benchmark").collect()])
+    got = C.run(spark, SF).collect()
+    tok, pieces = _exact(Vocabulary().json_path), {}
+    for r in got:
+        pieces.setdefault(r.doc_id, []).append(r)
+    assert sorted(pieces) == [d for d, _ in rows]
+    for d, t in rows:
+        ids = np.array([*tok.encode(t or "", add_special_tokens=False).ids, 1], "<u4")
+        at = 0
+        for p in sorted(pieces[d], key=lambda p: p.start):
+            assert (p.start, p.doc_tokens, p.ids_crc32) == (at, len(ids), zlib.crc32(ids[at : at + p.length].tobytes()))
+            at += p.length
+        assert at == len(ids)
