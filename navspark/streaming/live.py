@@ -139,9 +139,12 @@ def episode_sessions(steps: DataFrame, gap: str = "1 day") -> DataFrame:
     return steps.groupBy("episode_id", F.session_window("ts", gap).alias("w")).agg(F.count("*").alias("n")).select("episode_id", F.col("w.start").alias("start"), F.col("w.end").alias("end"), "n")
 
 
-def complete_groups(rewards: DataFrame, g: int, seed: str = "seed_id", wait: str = "1 day") -> DataFrame:
-    """Advantages of a group as soon as all G rewards have come (append mode). A group still short
-    after ``wait`` of processing time is given up, so state doesn't grow with lost rollouts."""
+def complete_groups(rewards: DataFrame, g: int, seed: str = "seed_id", at: str | None = None, wait: str = "1 day") -> DataFrame:
+    """Advantages of a group as soon as all G rewards have come (append mode).
+
+    ``at``: a watermarked time column. With it a group that is still short ``wait`` after its last
+    reward, in event time, is given up, so that lost rollouts leave no state behind.
+    """
     wait_ms = int(pd.Timedelta(wait).total_seconds() * 1000)
 
     def go(key, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
@@ -149,12 +152,14 @@ def complete_groups(rewards: DataFrame, g: int, seed: str = "seed_id", wait: str
             state.remove()
             return
         eps, rs = state.get if state.exists else ([], [])
-        have = dict(zip(eps, rs, strict=True))
+        have, last = dict(zip(eps, rs, strict=True)), 0
         for f in frames:
             have |= dict(zip(f.episode_id.tolist(), f.reward.tolist(), strict=True))
+            last = max(last, int(f[at].max().value // 1_000_000)) if at else 0
         if len(have) < g:
             state.update((list(have), list(have.values())))
-            state.setTimeoutDuration(wait_ms)
+            if at:
+                state.setTimeoutTimestamp(max(last, state.getCurrentWatermarkMs()) + wait_ms)
             return
         if state.exists:
             state.remove()
@@ -162,8 +167,9 @@ def complete_groups(rewards: DataFrame, g: int, seed: str = "seed_id", wait: str
         sd = r.std(ddof=0)
         yield pd.DataFrame({"seed_id": key[0], "episode_id": list(have), "reward": r.to_numpy(), "adv": ((r - r.mean()) / (sd + 1e-6) if sd > 1e-9 else 0 * r).to_numpy()})
 
-    return rewards.select(seed, "episode_id", "reward").groupBy(seed).applyInPandasWithState(
-        go, "seed_id long, episode_id long, reward double, adv double", "eps array<long>, rs array<double>", "append", GroupStateTimeout.ProcessingTimeTimeout
+    timeout = GroupStateTimeout.EventTimeTimeout if at else GroupStateTimeout.NoTimeout
+    return rewards.select(seed, "episode_id", "reward", *([at] if at else [])).groupBy(seed).applyInPandasWithState(
+        go, "seed_id long, episode_id long, reward double, adv double", "eps array<long>, rs array<double>", "append", timeout
     )
 
 

@@ -79,6 +79,16 @@ def test_groups_complete(spark, tmp_path):
     assert sorted((r.seed_id, r.n) for r in got) == [(0, 8), (1, 8), (2, 8)] and all(abs(r.a) < 1e-9 for r in got)
 
 
+def test_groups_that_stay_short_are_given_up(spark, tmp_path):
+    d = f"{tmp_path}/rw"
+    parts = [[(1, i, float(i), "2024-01-01 00:00:00") for i in range(3)], [(2, 9, 0.0, "2024-02-01 00:00:00")], [(2, 10, 0.0, "2024-02-02 00:00:00")], [(1, i, float(i), "2024-02-03 00:00:00") for i in range(3, 8)]]
+    for rows in parts:
+        spark.createDataFrame(rows, "seed_id long, episode_id long, reward double, s string").selectExpr("seed_id", "episode_id", "reward", "timestamp(s) as ts").coalesce(1).write.mode("append").parquet(d)
+        time.sleep(1.1)
+    s = spark.readStream.schema("seed_id long, episode_id long, reward double, ts timestamp").option("maxFilesPerTrigger", 1).parquet(d).withWatermark("ts", "1 hour")
+    assert run(live.complete_groups(s, 8, at="ts"), "append", tmp_path).count() == 0  # the first three were forgotten
+
+
 def test_plans_meet_outcomes(spark, tmp_path):
     p, o = f"{tmp_path}/p", f"{tmp_path}/o"
     spark.sql("select 1L plan_key, timestamp'2024-01-01 00:00:00' plan_ts union all select 2L, timestamp'2024-01-01 00:00:00'").write.parquet(p)
