@@ -176,6 +176,7 @@ def test_quality_query_fits_the_full_sizes(monkeypatch):
         def __getattr__(self, name):
             return lambda *a, **b: _Any()
 
+    monkeypatch.setattr(P, "kept", lambda df: df)
     monkeypatch.setattr(P, "_quality", fit)
     monkeypatch.setattr(P, "F", _Any())
     monkeypatch.setattr(P, "r6", lambda *a: _Any())
