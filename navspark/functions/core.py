@@ -26,6 +26,12 @@ def once(c: Column) -> Column:
     return F.when(F.monotonically_increasing_id() >= 0, c)
 
 
+def let(c, body) -> Column:
+    """``body`` applied to the column, which is computed once a row: a lambda that names a column of the
+    projection below gets that column's whole expression, evaluated again for every element."""
+    return F.get(F.transform(F.array(F.col(c) if isinstance(c, str) else c), body), 0)
+
+
 def wrap_angle(a: Column) -> Column:
     """Into (-pi, pi]."""
     return F.lit(PI) - F.pmod(F.lit(PI) - a, F.lit(2 * PI))

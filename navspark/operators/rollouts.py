@@ -47,30 +47,45 @@ def path_measures(path: DataFrame, radius: float) -> DataFrame:
     ).withColumn("oracle", F.round("min_d", 9) <= radius)
 
 
-def dtw(a: np.ndarray, b: np.ndarray) -> float:
-    """Dynamic time warping cost of two point lists, diagonal by diagonal."""
-    n, m = len(a), len(b)
-    cost = np.hypot(a[:, None, 0] - b[None, :, 0], a[:, None, 1] - b[None, :, 1])
-    acc = np.full((n + 1, m + 1), np.inf)
-    acc[0, 0] = 0
+CELLS = 1 << 20  #: cost cells of paths that are warped side by side
+
+
+def dtw_block(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Dynamic time warping costs of paths (q, n, 2) and (q, m, 2), diagonal by diagonal, all paths at once."""
+    q, n, m = len(a), a.shape[1], b.shape[1]
+    cost = np.hypot(a[:, :, None, 0] - b[:, None, :, 0], a[:, :, None, 1] - b[:, None, :, 1])
+    acc = np.full((q, n + 1, m + 1), np.inf)
+    acc[:, 0, 0] = 0
     for s in range(n + m - 1):
         i = np.arange(max(0, s - m + 1), min(n, s + 1))
         j = s - i
-        acc[i + 1, j + 1] = cost[i, j] + np.minimum(np.minimum(acc[i, j + 1], acc[i + 1, j]), acc[i, j])
-    return float(acc[n, m])
+        acc[:, i + 1, j + 1] = cost[:, i, j] + np.minimum(np.minimum(acc[:, i, j + 1], acc[:, i + 1, j]), acc[:, i, j])
+    return acc[:, n, m]
+
+
+def dtw(a: np.ndarray, b: np.ndarray) -> float:
+    """Dynamic time warping cost of two point lists."""
+    return float(dtw_block(a[None], b[None])[0])
 
 
 def ndtw(path: DataFrame, d_th: float) -> DataFrame:
-    """(episode_id, dtw, ndtw): paths are gathered (bounded by the decision budget) and warped in Arrow batches."""
+    """(episode_id, dtw, ndtw): paths are gathered (bounded by the decision budget) and warped in Arrow
+    batches, those of one length side by side in blocks of at most ``CELLS`` cells."""
     xy = F.array_sort(F.collect_list(F.struct("i", "x", "y", "rx", "ry")))
     g = path.groupBy("episode_id").agg(xy.alias("p"))
     g = g.select("episode_id", *[F.col(f"p.{c}").alias(c) for c in ("x", "y", "rx", "ry")])
 
     def run(frames):
         for t in frames:
-            cost = [dtw(np.column_stack([r.x, r.y]), np.column_stack([r.rx, r.ry])) for r in t.itertuples()]
-            n = t.rx.map(len)
-            yield pd.DataFrame({"episode_id": t.episode_id, "dtw": cost, "ndtw": np.exp(-np.array(cost) / (n.to_numpy() * d_th))})
+            n = t.x.map(len).to_numpy()
+            cost = np.zeros(len(t))
+            for length in np.unique(n):
+                rows = np.flatnonzero(n == length)
+                step = max(1, CELLS // int(length) ** 2)
+                for at in (rows[s : s + step] for s in range(0, len(rows), step)):
+                    x, y, rx, ry = (np.stack(t[c].to_numpy()[at]).astype(float) for c in ("x", "y", "rx", "ry"))
+                    cost[at] = dtw_block(np.stack([x, y], 2), np.stack([rx, ry], 2))
+            yield pd.DataFrame({"episode_id": t.episode_id, "dtw": cost, "ndtw": np.exp(-cost / (n * d_th))})
 
     return g.mapInPandas(run, "episode_id long, dtw double, ndtw double")
 
