@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+import itertools
+
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
@@ -35,19 +37,38 @@ def interval_join(points: DataFrame, spans: DataFrame, at: str, begin: str, end:
     return p.join(s, [*by, "_b"]).where(F.col(at).between(F.col(begin), F.col(end))).drop("_b")
 
 
+EDGE = 1 + 1e-9  #: cells are wider than the radius by this, so that rounding can't part two rows at the radius by two cells
+
+
 def with_cells(df: DataFrame, eps: float, dims: tuple[str, ...]) -> DataFrame:
     return df.withColumns({f"_c{i}": F.floor(F.col(d) / eps) for i, d in enumerate(dims)})
 
 
+def _forward(d: int, reach: int) -> list[tuple[int, ...]]:
+    """Half of the cells around a cell: those after it in order."""
+    return [o for o in itertools.product(range(-reach, reach + 1), repeat=d) if o > (0,) * d]
+
+
+def _visits(cells: list[str], offsets: list[tuple[int, ...]]) -> Column:
+    return F.explode(F.array(*[F.struct(*[(F.col(c) + o).alias(c) for c, o in zip(cells, off, strict=True)], F.lit(any(off)).alias("other")) for off in offsets]))
+
+
+def _squares(terms: list[Column]) -> Column:
+    total = terms[0] ** 2
+    for t in terms[1:]:
+        total = total + t**2
+    return total
+
+
 def proximity_join(left: DataFrame, right: DataFrame, eps: float, by: list[str], dims: tuple[str, ...] = ("x", "y", "z")) -> DataFrame:
     """Pairs with equal keys at most ``eps`` apart: each left row visits its 3**d cells, then an equi-join.
 
     Columns come back prefixed with l_ and r_.
     """
-    a = with_cells(left, eps, dims)
+    a = with_cells(left, eps * EDGE, dims)
     for i in range(len(dims)):
         a = a.withColumn(f"_c{i}", F.explode(F.array(*[F.col(f"_c{i}") + d for d in (-1, 0, 1)])))
-    b = with_cells(right, eps, dims)
+    b = with_cells(right, eps * EDGE, dims)
     cells = [f"_c{i}" for i in range(len(dims))]
     a = a.select(*[F.col(c).alias(f"l_{c}") for c in left.columns], *cells)
     b = b.select(*[F.col(c).alias(f"r_{c}") for c in right.columns], *[F.col(c).alias(f"_r{c}") for c in cells])
@@ -56,6 +77,51 @@ def proximity_join(left: DataFrame, right: DataFrame, eps: float, by: list[str],
     return a.join(b, cond).where(near <= eps * eps).drop(*cells, *[f"_r{c}" for c in cells])
 
 
+def proximity_pairs(df: DataFrame, eps: float, by: list[str], id_col: str, dims: tuple[str, ...] = ("x", "y", "z")) -> DataFrame:
+    """(a, b, *by): each pair of two rows with equal keys at most ``eps`` apart, once. A row visits its own cell and
+    half of those around it, so half the rows travel and half the distances are taken of a join of the table with itself."""
+    cells = [f"_c{i}" for i in range(len(dims))]
+    rows = with_cells(df.select(id_col, *by, *dims), eps * EDGE, dims)
+    a = rows.select(*by, F.col(id_col).alias("a"), *[F.col(d).alias(f"_a{d}") for d in dims], _visits(cells, [(0,) * len(dims), *_forward(len(dims), 1)]).alias("_to"))
+    a = a.select("*", *[F.col(f"_to.{c}").alias(c) for c in cells], F.col("_to.other").alias("_other")).drop("_to")
+    j = a.join(rows.withColumnRenamed(id_col, "b"), [*by, *cells]).where(F.col("_other") | (F.col("a") < F.col("b")))
+    return j.where(_squares([F.col(f"_a{d}") - F.col(d) for d in dims]) <= eps * eps).select("a", "b", *by)
+
+
+def near_components(df: DataFrame, eps: float, by: list[str], id_col: str, dims: tuple[str, ...] = ("x", "y", "z")) -> DataFrame:
+    """(id, root): rows with equal keys linked by steps of at most ``eps``; the root is the smallest id.
+
+    Cells are so small that all rows of one are linked, so a crowded cell costs one row and none of
+    its pairs. Of two cells the boxes around their rows mostly tell whether a link exists. Only where they
+    don't, and no chain of such links joins the two anyway, are rows compared. Rows with a null key or
+    coordinate stay alone.
+    """
+    if len(dims) > 3:
+        raise ValueError("cells hold linked rows in at most three dimensions")
+    cells = [f"_c{i}" for i in range(len(dims))]
+    rows = with_cells(df.select(id_col, *by, *dims), 0.55 * eps, dims)  # 0.55 * sqrt(3) < 1 < 2 * 0.55
+    lows, highs = [F.min(d).alias(f"lo{i}") for i, d in enumerate(dims)], [F.max(d).alias(f"hi{i}") for i, d in enumerate(dims)]
+    box = kept(rows.groupBy(*by, *cells).agg(F.min(id_col).alias("node"), *lows, *highs))
+    sides = range(len(dims))
+    there = box.select(*by, *cells, F.col("node").alias("b"), *[F.col(f"{e}{i}").alias(f"b{e}{i}") for e in ("lo", "hi") for i in sides])
+    a = box.select(*by, F.col("node").alias("a"), *[F.col(f"{e}{i}") for e in ("lo", "hi") for i in sides], _visits(cells, _forward(len(dims), 2)).alias("_to"))
+    j = a.select("*", *[F.col(f"_to.{c}").alias(c) for c in cells]).drop("_to").join(there, [*by, *cells])
+    least = _squares([F.greatest(F.lit(0.0), F.col(f"blo{i}") - F.col(f"hi{i}"), F.col(f"lo{i}") - F.col(f"bhi{i}")) for i in sides])
+    most = _squares([F.greatest(F.col(f"bhi{i}") - F.col(f"lo{i}"), F.col(f"hi{i}") - F.col(f"blo{i}")) for i in sides])
+    pairs = kept(j.where(least <= eps * eps).select("a", "b", (most <= eps * eps).alias("sure"), *[f"b{e}{i}" for e in ("lo", "hi") for i in sides]))
+    sure = pairs.where("sure").select("a", "b")
+    root = components(sure, "a", "b")
+    named = kept(rows.join(box.select(*by, *cells, "node"), [*by, *cells], "left").select(id_col, F.coalesce("node", id_col).alias("node"), *dims))
+    open_ = pairs.where("not sure").join(root.select(F.col("node").alias("a"), F.col("root").alias("_ra")), "a", "left").join(root.select(F.col("node").alias("b"), F.col("root").alias("_rb")), "b", "left")
+    open_ = open_.withColumns({"_ra": F.coalesce("_ra", "a"), "_rb": F.coalesce("_rb", "b")}).where("_ra <> _rb")
+    beside = _squares([F.greatest(F.lit(0.0), F.col(f"blo{i}") - F.col(d), F.col(d) - F.col(f"bhi{i}")) for i, d in enumerate(dims)])
+    one = open_.join(named.withColumnRenamed("node", "a"), "a").where(beside <= eps * eps).select("_ra", "_rb", "b", *[F.col(d).alias(f"_a{d}") for d in dims])
+    two = one.join(named.select(F.col("node").alias("b"), *dims), "b").where(_squares([F.col(f"_a{d}") - F.col(d) for d in dims]) <= eps * eps)
+    over = components(two.select("_ra", "_rb").distinct(), "_ra", "_rb").select(F.col("node").alias("_first"), F.col("root").alias("_last"))
+    ends = named.join(root, "node", "left").select(id_col, F.coalesce("root", "node").alias("_first"))
+    return ends.join(over, "_first", "left").select(id_col, F.coalesce("_last", "_first").alias("root"))
+
+
 def top_k(df: DataFrame, by: list[str], order: list, k: int) -> DataFrame:
     """First k rows of each group; Spark limits groups before the shuffle."""
     return df.withColumn("_n", F.row_number().over(W.partitionBy(*by).orderBy(*order))).where(F.col("_n") <= k).drop("_n")

@@ -45,8 +45,8 @@ def op_interval(spark, sf):
 )
 def op_proximity(spark, sf):
     v = C.v_views(spark, sf).select("obs_id", "scene", "category", "x", "y", "z")
-    j = ops.proximity_join(v, v, 0.5, ["scene", "category"])
-    return j.groupBy(F.col("l_category").alias("category")).agg(F.count("*").alias("n"))
+    two = ops.proximity_pairs(v, 0.5, ["scene", "category"], "obs_id").groupBy("category").agg((2 * F.count("*")).alias("n"))
+    return two.unionByName(v.groupBy("category").agg(F.count("*").alias("n"))).groupBy("category").agg(F.sum("n").alias("n"))  # a row is near itself
 
 
 @query("op_rollup", f"SELECT r_name, o_orderpriority, count(*) AS n, {r6_sql('sum(o_totalprice)', 2)} AS total FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY ROLLUP (r_name, o_orderpriority)")

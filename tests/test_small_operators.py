@@ -237,3 +237,25 @@ def test_context_rows_have_their_pooled_grid(spark):
             g, s, n = grids[r.grid_id], r.stride, math.ceil(8 / r.stride)
             want = [f([g[8 * y + x] for y in range(i * s, min(8, i * s + s)) for x in range(j * s, min(8, j * s + s))]) for i in range(n) for j in range(n)]
             assert (r.h_p, r.w_p) == (n, n) and r.cells == pytest.approx(want)
+
+
+def test_proximity_pairs_and_components(spark):
+    """Against all pairs: crowded cells, rows on cell borders and exactly at the radius, a null coordinate."""
+    import random
+
+    from navspark.operators import ops
+
+    rnd = random.Random(9)
+    rows = [(f"o{i:03d}", i % 2, rnd.gauss(0, 0.2), rnd.gauss(0, 0.2), 0.0) for i in range(80)]
+    rows += [(f"p{i:03d}", 0, float(i), 9.0, 0.0) for i in range(6)] + [(f"q{i:03d}", 1, rnd.uniform(0, 9), rnd.uniform(3, 9), 0.5) for i in range(60)]
+    rows += [("r000", 0, None, 0.0, 0.0)]
+    df = spark.createDataFrame(rows, "id string, k int, x double, y double, z double")
+    solid = rows[:-1]
+    near = {(a[0], b[0]) for a in solid for b in solid if a[0] < b[0] and a[1] == b[1] and sum((a[c] - b[c]) ** 2 for c in (2, 3, 4)) <= 1.0}
+    got = [tuple(sorted((r.a, r.b))) for r in ops.proximity_pairs(df, 1.0, ["k"], "id").collect()]
+    assert len(got) == len(near) and set(got) == near
+    up = {r[0]: r[0] for r in rows}
+    for _ in rows:
+        for a, b in near:
+            up[a] = up[b] = min(up[a], up[b])
+    assert {r.id: r.root for r in ops.near_components(df, 1.0, ["k"], "id").collect()} == up
