@@ -79,12 +79,13 @@ def proximity_join(left: DataFrame, right: DataFrame, eps: float, by: list[str],
 
 def proximity_pairs(df: DataFrame, eps: float, by: list[str], id_col: str, dims: tuple[str, ...] = ("x", "y", "z")) -> DataFrame:
     """(a, b, *by): each pair of two rows with equal keys at most ``eps`` apart, once. A row visits its own cell and
-    half of those around it, so half the rows travel and half the distances are taken of a join of the table with itself."""
+    half of those around it, so half the rows travel and half the distances are taken of a join of the table with itself.
+    Rows with one id are told apart by their place; those alike in both are not paired with each other."""
     cells = [f"_c{i}" for i in range(len(dims))]
     rows = with_cells(df.select(id_col, *by, *dims), eps * EDGE, dims)
     a = rows.select(*by, F.col(id_col).alias("a"), *[F.col(d).alias(f"_a{d}") for d in dims], _visits(cells, [(0,) * len(dims), *_forward(len(dims), 1)]).alias("_to"))
     a = a.select("*", *[F.col(f"_to.{c}").alias(c) for c in cells], F.col("_to.other").alias("_other")).drop("_to")
-    j = a.join(rows.withColumnRenamed(id_col, "b"), [*by, *cells]).where(F.col("_other") | (F.col("a") < F.col("b")))
+    j = a.join(rows.withColumnRenamed(id_col, "b"), [*by, *cells]).where(F.col("_other") | (F.struct("a", *[f"_a{d}" for d in dims]) < F.struct("b", *dims)))
     return j.where(_squares([F.col(f"_a{d}") - F.col(d) for d in dims]) <= eps * eps).select("a", "b", *by)
 
 
