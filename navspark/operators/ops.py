@@ -49,8 +49,14 @@ def _forward(d: int, reach: int) -> list[tuple[int, ...]]:
     return [o for o in itertools.product(range(-reach, reach + 1), repeat=d) if o > (0,) * d]
 
 
-def _visits(cells: list[str], offsets: list[tuple[int, ...]]) -> Column:
-    return F.explode(F.array(*[F.struct(*[(F.col(c) + o).alias(c) for c, o in zip(cells, off, strict=True)], F.lit(any(off)).alias("other")) for off in offsets]))
+def _visits(df: DataFrame, cells: list[str], offsets: list[tuple[int, ...]]) -> DataFrame:
+    """Each row once for each offset, with its cells moved by it; ``_other`` tells whether that is another cell.
+
+    The offsets fold to one literal, so the array isn't built anew for every row.
+    """
+    to = F.explode(F.array(*[F.struct(*[F.lit(o).alias(c) for c, o in zip(cells, off, strict=True)], F.lit(any(off)).alias("other")) for off in offsets]))
+    out = df.withColumn("_to", to).withColumns({c: F.col(c) + F.col(f"_to.{c}") for c in cells} | {"_other": F.col("_to.other")})
+    return out.drop("_to")
 
 
 def _squares(terms: list[Column]) -> Column:
@@ -83,8 +89,7 @@ def proximity_pairs(df: DataFrame, eps: float, by: list[str], id_col: str, dims:
     Rows with one id are told apart by their place; those alike in both are not paired with each other."""
     cells = [f"_c{i}" for i in range(len(dims))]
     rows = with_cells(df.select(id_col, *by, *dims), eps * EDGE, dims)
-    a = rows.select(*by, F.col(id_col).alias("a"), *[F.col(d).alias(f"_a{d}") for d in dims], _visits(cells, [(0,) * len(dims), *_forward(len(dims), 1)]).alias("_to"))
-    a = a.select("*", *[F.col(f"_to.{c}").alias(c) for c in cells], F.col("_to.other").alias("_other")).drop("_to")
+    a = _visits(rows.select(*by, F.col(id_col).alias("a"), *[F.col(d).alias(f"_a{d}") for d in dims], *cells), cells, [(0,) * len(dims), *_forward(len(dims), 1)])
     j = a.join(rows.withColumnRenamed(id_col, "b"), [*by, *cells]).where(F.col("_other") | (F.struct("a", *[f"_a{d}" for d in dims]) < F.struct("b", *dims)))
     return j.where(_squares([F.col(f"_a{d}") - F.col(d) for d in dims]) <= eps * eps).select("a", "b", *by)
 
@@ -105,8 +110,8 @@ def near_components(df: DataFrame, eps: float, by: list[str], id_col: str, dims:
     box = kept(rows.groupBy(*by, *cells).agg(F.min(id_col).alias("node"), *lows, *highs))
     sides = range(len(dims))
     there = box.select(*by, *cells, F.col("node").alias("b"), *[F.col(f"{e}{i}").alias(f"b{e}{i}") for e in ("lo", "hi") for i in sides])
-    a = box.select(*by, F.col("node").alias("a"), *[F.col(f"{e}{i}") for e in ("lo", "hi") for i in sides], _visits(cells, _forward(len(dims), 2)).alias("_to"))
-    j = a.select("*", *[F.col(f"_to.{c}").alias(c) for c in cells]).drop("_to").join(there, [*by, *cells])
+    a = _visits(box.select(*by, F.col("node").alias("a"), *[F.col(f"{e}{i}") for e in ("lo", "hi") for i in sides], *cells), cells, _forward(len(dims), 2)).drop("_other")
+    j = a.join(there, [*by, *cells])
     least = _squares([F.greatest(F.lit(0.0), F.col(f"blo{i}") - F.col(f"hi{i}"), F.col(f"lo{i}") - F.col(f"bhi{i}")) for i in sides])
     most = _squares([F.greatest(F.col(f"bhi{i}") - F.col(f"lo{i}"), F.col(f"hi{i}") - F.col(f"blo{i}")) for i in sides])
     pairs = kept(j.where(least <= eps * eps).select("a", "b", (most <= eps * eps).alias("sure"), *[f"b{e}{i}" for e in ("lo", "hi") for i in sides]))
@@ -159,21 +164,17 @@ def salted_sum(df: DataFrame, by: list[str], value: str, salts: int = 16) -> Dat
     return first.groupBy(*by).agg(F.sum("_v").alias(value), F.sum("_n").alias("n"))
 
 
-def components(pairs: DataFrame, a: str, b: str, every: int = 4) -> DataFrame:
-    """(node, root) by min-label propagation with pointer jumping, until no label changes; written to
-    the shared folder every few rounds, so lineage stays short and lost executors cost a reread."""
+def components(pairs: DataFrame, a: str, b: str) -> DataFrame:
+    """(node, root) by min-label propagation with pointer jumping, until no label changes. Every round's
+    labels are written to the shared folder: no round is computed twice, lineage stays short and
+    lost executors cost a reread."""
     both = kept(pairs.select(F.col(a).alias("u"), F.col(b).alias("v")).unionByName(pairs.select(F.col(b).alias("u"), F.col(a).alias("v"))).distinct())
-    label = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("root"))
-    before, i = None, 0
+    label = kept(both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("root")))
     while True:
         seen = both.join(label.select(F.col("u").alias("v"), F.col("root").alias("r")), "v").groupBy("u").agg(F.min("r").alias("r"))
-        label = label.join(seen, "u").select("u", F.least("root", "r").alias("root"))
-        jump = label.select(F.col("u").alias("root"), F.col("root").alias("r2"))
-        label = label.join(jump, "root", "left").select("u", F.coalesce("r2", "root").alias("root"))
-        if i % every == 0 or i < 2:
-            label = kept(label)
-        state = label.agg(F.count("*"), F.sum(F.xxhash64("u", "root").cast("decimal(38,0)"))).first()
-        if state == before:
-            break
-        before, i = state, i + 1
-    return label.select(F.col("u").alias("node"), "root")
+        step = label.join(seen, "u").select("u", F.least("root", "r").alias("best"), F.col("root").alias("old"))
+        jump = label.select(F.col("u").alias("best"), F.col("root").alias("r2"))
+        label = kept(step.join(jump, "best", "left").select("u", F.least("r2", "best").alias("root"), "old"))
+        if label.where("root <> old").isEmpty():
+            return label.select(F.col("u").alias("node"), "root")
+        label = label.drop("old")
