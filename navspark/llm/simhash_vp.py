@@ -43,6 +43,8 @@ SHARD = 50_000  #: fingerprints aimed at in a shard
 CHUNK = 200_000  #: most fingerprints of one shard that a task holds at a time
 SET_CHUNK = 2_000  #: members whose shingle sets a task holds at a time,
 SET_BYTES = 16 << 20  #: and the bytes of their hashes
+STAR = 1_000  #: leaves of one star that a task compares with their centre
+PEELS = 6  #: most rounds of stars before what is left of a large group is compared in full
 SIGNS = 64  #: most signatures of a set in a size band
 SLICE = 1 << 20  #: bytes of a text split into words at a time
 
@@ -487,26 +489,16 @@ def linked_sets(fp: np.ndarray, sets: list[np.ndarray], data: np.ndarray, query:
     return groups.up
 
 
-def verified_edges(docs: DataFrame, distinct: DataFrame, loose: DataFrame, k: int, bits: int, radius: int, similarity: float) -> DataFrame:
-    """Edges (a, b) between fingerprints of one loose component whose shingle sets are similar.
-
-    Only members of a component with company are read again. Small components share a shard; one
-    of more than ``SET_CHUNK`` members or ``SET_BYTES`` becomes a grid of cells, as large shards do.
-    """
-    members = written(distinct.join(loose, F.xxhash64("fp") == F.col("node")).select("fp", "rep", "n_shingles", "root"), "members")
-    load = F.greatest(F.count("*") / SET_CHUNK, F.sum(8 * F.col("n_shingles")) / SET_BYTES)
-    sizes = members.groupBy("root").agg(F.ceil(load).cast("int").alias("chunks")).where("chunks > 1")  # few: each stands for a chunk or more
-    shards = max(1, int(members.agg(F.coalesce(load, F.lit(0.0))).first()[0]))
-    m = members.join(checked(sizes, 96), "root", "left").withColumn("chunks", F.coalesce("chunks", F.lit(1)))
-    m = m.withColumn("shard", F.when(F.col("chunks") > 1, F.xxhash64("root")).otherwise(F.pmod(F.xxhash64("root"), F.lit(shards))))
-    m = m.select(F.col("rep.doc_id").alias("doc_id"), F.col("rep.row_key").alias("row_key"), "fp", "root", "shard", "chunks")
-    some = _texts(docs)
-    rows = some.join(checked(m, 160), same_row(some, m)).select("fp", "root", "shard", "chunks", "text")
+def member_sets(docs: DataFrame, m: DataFrame, k: int, bits: int) -> DataFrame:
+    """``m`` (doc_id, row_key, fp and more) with ``sets``, the shingle hashes of each fingerprint, instead of the row's name."""
+    keep = [f for f in m.schema if f.name not in ("doc_id", "row_key")]
+    some, names = _texts(docs), [f.name for f in keep]
+    rows = some.join(checked(m, 160), same_row(some, m)).select(*names, "text")
 
     def run(batches):
         seen = set()  # rows that repeat both id and text come once a task
         for b in batches:
-            sets, keep = [], []
+            sets, at = [], []
             for i, (want, text) in enumerate(zip(b.column("fp").to_pylist(), b.column("text"), strict=True)):
                 if want in seen:
                     continue
@@ -514,11 +506,100 @@ def verified_edges(docs: DataFrame, distinct: DataFrame, loose: DataFrame, k: in
                 if vote([one], len(one), bits) == want:  # else another text of the same hash
                     seen.add(want)
                     sets.append(one.tobytes())
-                    keep.append(i)
-            at = pa.array(keep, pa.int64())
-            yield pa.RecordBatch.from_arrays([*(b.column(c).take(at) for c in ("fp", "root", "shard", "chunks")), pa.array(sets, pa.binary())], ["fp", "root", "shard", "chunks", "sets"])
+                    at.append(i)
+            at = pa.array(at, pa.int64())
+            yield pa.RecordBatch.from_arrays([*(b.column(c).take(at) for c in names), pa.array(sets, pa.binary())], [*names, "sets"])
+
+    return arrow_map(rows, run, ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in keep) + ", sets binary")
+
+
+def star_links(stars: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """(a, b) binary fingerprints and (u, v) their nodes, of the edges (node, centre) in ``stars`` whose sets are similar.
+
+    A centre's set goes to its leaves, in slices of about ``STAR`` of them, and is compared as they stream by.
+    """
+    slices = stars.groupBy("centre").agg(F.ceil(F.count("*") / STAR).cast("int").alias("slices"))
+    leaves = stars.join(slices, "centre").join(sets, "node").select("centre", F.pmod(F.xxhash64("node"), F.col("slices")).cast("int").alias("slice"), F.lit(True).alias("leaf"), "node", "fp", "sets")
+    heads = slices.join(sets.withColumnRenamed("node", "centre"), "centre").withColumn("slice", F.explode(F.sequence(F.lit(0), F.col("slices") - 1)))
+    heads = heads.select("centre", "slice", F.lit(False).alias("leaf"), F.col("centre").alias("node"), "fp", "sets")
+
+    def run(batches):
+        at, heads = None, []  # of the star that streams by; more than one head only if two fingerprints share a node
+        for b in batches:
+            out = []
+            for centre, leaf, node, fp, one in zip(*(b.column(c).to_pylist() for c in ("centre", "leaf", "node", "fp", "sets")), strict=True):
+                if centre != at:
+                    at, heads = centre, []
+                one = np.frombuffer(one, np.uint64)
+                if not leaf:
+                    heads.append((fp, one))
+                    continue
+                for head, other in heads:
+                    if min(len(one), len(other)) >= similarity * max(len(one), len(other)) - 1e-9:
+                        both = len(np.intersect1d(one, other, assume_unique=True))
+                        if both / max(1, len(one) + len(other) - both) >= similarity:
+                            out.append((fp, head, node, centre))
+            cols = list(zip(*out, strict=True)) or [(), (), (), ()]
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.binary(), pa.binary(), pa.int64(), pa.int64()), strict=True)], ["a", "b", "u", "v"])
 
-    sets = arrow_map(rows, run, "fp binary, root long, shard long, chunks int, sets binary").withColumn("home", F.lit(True))
+    dealt = leaves.unionByName(heads).repartition("centre", "slice").sortWithinPartitions("centre", "slice", "leaf")
+    return arrow_map(dealt, run, "a binary, b binary, u long, v long")
+
+
+def peeled(docs: DataFrame, prints: DataFrame, large: DataFrame, k: int, bits: int, similarity: float) -> tuple[DataFrame, DataFrame]:
+    """Links (a, b) found among the ``large`` groups of candidates, and what is left of them: (node, root).
+
+    All rows of a signature are compared with the smallest of them, which then leaves the signature.
+    A signature whose rows are linked by then has nothing more to tell. What is left falls into groups of its own, far smaller as a rule:
+    chains of signatures that only few rows share, which make a group large, end after a round or two.
+    """
+    named = large.select(F.xxhash64("fp").alias("node"), "fp", F.col("rep.doc_id").alias("doc_id"), F.col("rep.row_key").alias("row_key"))
+    sets = written(member_sets(docs, named, k, bits), "sets")
+    size = sets.select("node", (F.octet_length("sets") / 8).alias("n"))
+    flat = prints.join(checked(named.select("fp"), 80), "fp").select(F.xxhash64("fp").alias("node"), F.explode("signs").alias("sign")).distinct()
+    flat = written(flat.join(flat.groupBy("sign").count().where("count > 1").select("sign"), "sign").join(size, "node").select("sign", "node", "n", F.col("node").alias("group")), "signs")
+    links = None
+    for _ in range(PEELS):
+        first = flat.groupBy("sign").agg(F.min(F.struct("node", "n", "group")).alias("c"))
+        both = written(flat.join(first, "sign").where("node <> c.node"), "starred")
+        fit = (F.least("n", "c.n") >= similarity * F.greatest("n", "c.n") - 1e-9) & (F.col("group") != F.col("c.group"))
+        got = written(star_links(both.where(fit).select("node", F.col("c.node").alias("centre")).distinct(), sets, similarity), "links")
+        links = got if links is None else links.unionByName(got)
+        group = components(links.select("u", "v"), "u", "v").select("node", F.col("root").alias("group"))
+        rest = both.select("sign", "node", "n").join(group, "node", "left").withColumn("group", F.coalesce("group", "node"))
+        open_ = rest.groupBy("sign").agg(F.min("group").alias("x"), F.max("group").alias("y")).where("x <> y").select("sign")
+        flat = written(rest.join(open_, "sign"), "signs")
+        first = flat.groupBy("sign").agg(F.min("node").alias("b"))
+        loose = written(components(flat.join(first, "sign").where("node <> b").select(F.col("node").alias("a"), "b")), "loose")
+        most = loose.join(size, "node").groupBy("root").agg(F.greatest(F.count("*") / SET_CHUNK, F.sum(8 * F.col("n")) / SET_BYTES).alias("load"))
+        if most.where("load > 1").isEmpty():
+            break
+    return links.select("a", "b"), loose
+
+
+def verified_edges(docs: DataFrame, prints: DataFrame, distinct: DataFrame, loose: DataFrame, k: int, bits: int, radius: int, similarity: float) -> DataFrame:
+    """Edges (a, b) between fingerprints of one loose component whose shingle sets are similar.
+
+    Only members of a component with company are read again. Small components share a shard; one
+    of more than ``SET_CHUNK`` members or ``SET_BYTES`` is peeled first (``peeled``), and only if what is left is
+    still as large it becomes a grid of cells, as large shards do.
+    """
+    members = written(distinct.join(loose, F.xxhash64("fp") == F.col("node")).select("fp", "rep", "n_shingles", "root"), "members")
+    load = F.greatest(F.count("*") / SET_CHUNK, F.sum(8 * F.col("n_shingles")) / SET_BYTES)
+    sizes = members.groupBy("root").agg(F.ceil(load).cast("int").alias("chunks")).where("chunks > 1")  # few: each stands for a chunk or more
+    links = None
+    if not sizes.isEmpty():
+        roots = checked(sizes.select("root"), 96)
+        large = written(members.join(roots, "root", "left_semi"), "large")
+        links, left = peeled(docs, prints, large, k, bits, similarity)
+        rest = large.drop("root").join(left, F.xxhash64("fp") == F.col("node")).select("fp", "rep", "n_shingles", "root")
+        members = written(members.join(roots, "root", "left_anti").unionByName(rest), "members")
+        sizes = members.groupBy("root").agg(F.ceil(load).cast("int").alias("chunks")).where("chunks > 1")
+    shards = max(1, int(members.agg(F.coalesce(load, F.lit(0.0))).first()[0]))
+    m = members.join(checked(sizes, 96), "root", "left").withColumn("chunks", F.coalesce("chunks", F.lit(1)))
+    m = m.withColumn("shard", F.when(F.col("chunks") > 1, F.xxhash64("root")).otherwise(F.pmod(F.xxhash64("root"), F.lit(shards))))
+    m = m.select(F.col("rep.doc_id").alias("doc_id"), F.col("rep.row_key").alias("row_key"), "fp", "root", "shard", "chunks")
+    sets = member_sets(docs, m, k, bits).withColumn("home", F.lit(True))
 
     def search(key: tuple[pa.Scalar, ...], t: pa.Table) -> pa.Table:
         t = t.combine_chunks().sort_by([("root", "ascending"), ("fp", "ascending")])
@@ -534,7 +615,8 @@ def verified_edges(docs: DataFrame, distinct: DataFrame, loose: DataFrame, k: in
 
     upper = F.floor(F.col("cell") / F.col("chunks")) <= F.col("cell") % F.col("chunks")  # all rows are data: half the grid has every pair
     out = _grid(sets, "root", "sets", where=upper).groupBy("shard", "cell").applyInArrow(search, "a binary, b binary")
-    return out.where(F.col("a") != F.col("b")).distinct()
+    out = out.where(F.col("a") != F.col("b"))
+    return (out if links is None else out.unionByName(links)).distinct()
 
 
 def _groups(docs: DataFrame, k: int, bits: int, radius: int, blocks: int, ratio: float | None, leaf: int) -> tuple[DataFrame, DataFrame]:
@@ -544,7 +626,7 @@ def _groups(docs: DataFrame, k: int, bits: int, radius: int, blocks: int, ratio:
     rep = F.struct(F.col("doc_id").isNull().alias("nameless"), "doc_id", "row_key")
     distinct = written(prints.groupBy("fp").agg(F.min(rep).alias("rep"), F.min("n_shingles").alias("n_shingles"), F.count("*").alias("n_rows")), "distinct")
     if ratio is not None:
-        linked = components(verified_edges(docs, distinct, components(signature_edges(prints)), k, bits, radius, ratio))
+        linked = components(verified_edges(docs, prints, distinct, components(signature_edges(prints)), k, bits, radius, ratio))
     else:
         linked = components(fingerprint_edges(distinct, bits, radius, blocks, leaf))
     own = distinct.join(linked, distinct.fp == linked.node, "left").where(F.col("root").isNotNull() | (F.col("n_rows") > 1))

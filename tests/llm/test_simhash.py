@@ -3,6 +3,7 @@ import random
 import corpus_pipeline as C
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 import xxhash
 
 from navspark.llm import simhash_vp as S
@@ -155,3 +156,15 @@ def test_similar_sets_share_a_signature(largest):
         both = n - drop
         if both >= 0.8 * (len(a) + len(b) - both) and drop + size - n:
             assert np.intersect1d(S.signatures(a, 0.8), S.signatures(b, 0.8)).size
+
+
+def test_a_long_chain_of_candidates_is_peeled_apart(spark, monkeypatch):
+    """Texts that only share signatures with their neighbours are one group of candidates; none of them may travel to a grid of cells."""
+    words = [f"w{i}" for i in range(700)]
+    rows = [(i, " ".join(words[5 * i : 5 * i + 60])) for i in range(60)]  # neighbours: 51 of 61 shingles
+    most, grid = [], S._grid
+    monkeypatch.setattr(S, "SET_CHUNK", 10)
+    monkeypatch.setattr(S, "_grid", lambda r, *a, **b: most.append(r.agg(F.max("chunks")).first()[0]) or grid(r, *a, **b))
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    assert {r.component_id for r in S.near_duplicates(df, 5, 512, 104, 1, 0.8).collect()} == {0}
+    assert (most[0] or 1) == 1
