@@ -31,6 +31,7 @@ from functools import partial
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -44,9 +45,11 @@ CHUNK = 200_000  #: most fingerprints of one shard that a task holds at a time
 SET_CHUNK = 2_000  #: members whose shingle sets a task holds at a time,
 SET_BYTES = 16 << 20  #: and the bytes of their hashes
 STAR = 1_000  #: leaves of one star that a task compares with their centre
+PEEL_FROM = 4  #: chunks of a group that are compared in a grid (of ten cells at most); only larger groups are peeled
 PEELS = 6  #: most rounds of stars before what is left of a large group is compared in full
 SIGNS = 64  #: most signatures of a set in a size band
 SLICE = 1 << 20  #: bytes of a text split into words at a time
+LOCAL_EDGES = 1 << 17  #: most edges, counted first, whose components the driver finds
 
 _XX = partial(xxhash.xxh64_intdigest, seed=42)
 _BITS = np.unpackbits(np.arange(256, dtype=np.uint8)[:, None], axis=1).astype(np.float64)
@@ -346,14 +349,31 @@ def fingerprint_edges(distinct: DataFrame, bits: int, radius: int, blocks: int,
     return out.where(F.col("a") != F.col("b")).distinct()
 
 
+def _local_components(e: DataFrame) -> DataFrame:
+    """``components`` of a counted table of few edges (u, v), without a round of shuffles."""
+    t = e.select("u", "v").toArrow()
+    ends = pa.chunked_array([*t.column("u").chunks, *t.column("v").chunks], t.schema.field("u").type).combine_chunks()
+    coded = ends.dictionary_encode()
+    order = pc.sort_indices(coded.dictionary).to_numpy()
+    rank = np.empty(len(order), np.int64)
+    rank[order] = np.arange(len(order))
+    at = rank[coded.indices.to_numpy()]
+    groups = _Groups(len(order))
+    groups.join(at[: t.num_rows], at[t.num_rows :])
+    nodes = coded.dictionary.take(pa.array(order))
+    return e.sparkSession.createDataFrame(pa.table({"node": nodes, "root": nodes.take(pa.array(groups.up))}))
+
+
 def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     """(node, root) of each node that has an edge; root is the smallest node reachable.
 
-    Alternates two star contractions: every neighbour above a node is hung on the node's
-    smallest neighbour, then every neighbour below. Each round is written to the shared
-    folder; the number of rounds grows with the logarithm of the longest path.
+    Up to ``LOCAL_EDGES`` edges go to the driver. More of them alternate two star contractions: every neighbour
+    above a node is hung on the node's smallest neighbour, then every neighbour below. Each round is written to the
+    shared folder; the number of rounds grows with the logarithm of the longest path.
     """
     e = written(edges.select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).where("u <> v").distinct(), "edges")
+    if e.count() <= LOCAL_EDGES:
+        return _local_components(e)
     before = None
     while True:
         both = e.select("u", "v").unionByName(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
@@ -427,14 +447,22 @@ def signatures(ids: np.ndarray, similarity: float) -> np.ndarray:
     return np.concatenate([ids[:0], *out])
 
 
+def spanning(rows: DataFrame) -> DataFrame:
+    """Edges (a, b) with the components of ``rows`` (node, b), a row for each centre b that a node meets: a node keeps
+    its smallest centre, which its other centres are hung on, so that nodes of one group repeat few edges."""
+    met = rows.groupBy("node").agg(F.collect_set("b").alias("centres"))
+    ends = F.explode(F.array_union("centres", F.array("node")))
+    return met.select(F.array_min("centres").alias("b"), ends.alias("a")).where("a <> b").select("a", "b").distinct()
+
+
 def signature_edges(prints: DataFrame) -> DataFrame:
     """Edges (a, b) that join any two fingerprints, by their xxhash64, whose shingle sets share a signature.
 
-    Rows of one signature form a star, never all pairs.
+    Rows of one signature form a star, never all pairs, and the stars that meet in a node are joined by their centres.
     """
     flat = prints.select(F.xxhash64("fp").alias("node"), F.explode("signs").alias("sign"))
     met = written(flat.groupBy("sign").agg(F.min("node").alias("b"), F.max("node").alias("top")).where("b <> top").select("sign", "b"), "met")
-    return flat.join(met, "sign").where("node <> b").select(F.col("node").alias("a"), "b").distinct()
+    return spanning(flat.join(met, "sign").select("node", "b"))
 
 
 class Sets:
@@ -570,7 +598,7 @@ def peeled(docs: DataFrame, prints: DataFrame, large: DataFrame, k: int, bits: i
         open_ = rest.groupBy("sign").agg(F.min("group").alias("x"), F.max("group").alias("y")).where("x <> y").select("sign")
         flat = written(rest.join(open_, "sign"), "signs")
         first = flat.groupBy("sign").agg(F.min("node").alias("b"))
-        loose = written(components(flat.join(first, "sign").where("node <> b").select(F.col("node").alias("a"), "b")), "loose")
+        loose = written(components(spanning(flat.join(first, "sign").select("node", "b"))), "loose")
         most = loose.join(size, "node").groupBy("root").agg(F.greatest(F.count("*") / SET_CHUNK, F.sum(8 * F.col("n")) / SET_BYTES).alias("load"))
         if most.where("load > 1").isEmpty():
             break
@@ -580,16 +608,16 @@ def peeled(docs: DataFrame, prints: DataFrame, large: DataFrame, k: int, bits: i
 def verified_edges(docs: DataFrame, prints: DataFrame, distinct: DataFrame, loose: DataFrame, k: int, bits: int, radius: int, similarity: float) -> DataFrame:
     """Edges (a, b) between fingerprints of one loose component whose shingle sets are similar.
 
-    Only members of a component with company are read again. Small components share a shard; one
-    of more than ``SET_CHUNK`` members or ``SET_BYTES`` is peeled first (``peeled``), and only if what is left is
-    still as large it becomes a grid of cells, as large shards do.
+    Only members of a component with company are read again. Small components share a shard; one of more than
+    ``SET_CHUNK`` members or ``SET_BYTES`` becomes a grid of cells, as large shards do. One of more than ``PEEL_FROM``
+    times as many is peeled first (``peeled``), and the grid has what is left of it.
     """
     members = written(distinct.join(loose, F.xxhash64("fp") == F.col("node")).select("fp", "rep", "n_shingles", "root"), "members")
     load = F.greatest(F.count("*") / SET_CHUNK, F.sum(8 * F.col("n_shingles")) / SET_BYTES)
     sizes = members.groupBy("root").agg(F.ceil(load).cast("int").alias("chunks")).where("chunks > 1")  # few: each stands for a chunk or more
-    links = None
-    if not sizes.isEmpty():
-        roots = checked(sizes.select("root"), 96)
+    links, huge = None, sizes.where(F.col("chunks") > PEEL_FROM)
+    if not huge.isEmpty():
+        roots = checked(huge.select("root"), 96)
         large = written(members.join(roots, "root", "left_semi"), "large")
         links, left = peeled(docs, prints, large, k, bits, similarity)
         rest = large.drop("root").join(left, F.xxhash64("fp") == F.col("node")).select("fp", "rep", "n_shingles", "root")

@@ -168,3 +168,37 @@ def test_a_long_chain_of_candidates_is_peeled_apart(spark, monkeypatch):
     df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
     assert {r.component_id for r in S.near_duplicates(df, 5, 512, 104, 1, 0.8).collect()} == {0}
     assert (most[0] or 1) == 1
+
+
+def test_signatures_of_a_large_group_give_few_edges(spark):
+    """Near copies share dozens of signatures; each of these may not cost an edge a row, nor a group of few chunks its peeling."""
+    rnd = random.Random(2)
+    base = [f"w{i}" for i in range(150)]
+    rows = []
+    for i in range(300):
+        text = list(base)
+        for _ in range(rnd.randrange(1, 8)):
+            text[rnd.randrange(len(text))] = f"x{rnd.randrange(10**6)}"
+        rows.append((i, " ".join(text)))
+    prints = S.fingerprints(spark.createDataFrame(rows, "doc_id long, text string"), 5, 512, 0.8).cache()
+    edges = S.signature_edges(prints)
+    assert edges.count() < 6 * len(rows)
+    signs, up = {}, S._Groups(len(rows))
+    for i, r in enumerate(prints.orderBy("doc_id").collect()):
+        for x in r.signs:
+            up.join(np.array([signs.setdefault(x, i)]), np.array([i]))
+    assert S.components(edges).groupBy("root").count().count() == sum(n > 1 for n in np.bincount(up.up))
+
+
+def test_components_on_the_driver_equal_those_of_rounds(spark, monkeypatch):
+    rnd = random.Random(6)
+    for ends in ("a long, b long", "a binary, b binary"):
+        name = (lambda x: x - 100) if "long" in ends else (lambda x: bytes([x, 255 - x]))
+        edges = spark.createDataFrame([(name(rnd.randrange(200)), name(rnd.randrange(200))) for _ in range(150)], ends)
+        got = []
+        for most in (S.LOCAL_EDGES, -1):
+            monkeypatch.setattr(S, "LOCAL_EDGES", most)
+            got.append(sorted(map(tuple, S.components(edges).collect())))
+            assert S.components(edges.limit(0)).count() == 0
+        assert got[0] == got[1]
+        monkeypatch.undo()
