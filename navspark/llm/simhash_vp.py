@@ -49,6 +49,7 @@ PEEL_FROM = 4  #: chunks of a group that are compared in a grid (of ten cells at
 PEELS = 6  #: most rounds of stars before what is left of a large group is compared in full
 SIGNS = 64  #: most signatures of a set in a size band
 SLICE = 1 << 20  #: bytes of a text split into words at a time
+WORD_RADIUS = 3  #: bits of 64 within which the trees look for similar sets, in two blocks
 LOCAL_EDGES = 1 << 17  #: most edges, counted first, whose components the driver finds
 
 _XX = partial(xxhash.xxh64_intdigest, seed=42)
@@ -455,12 +456,15 @@ def spanning(rows: DataFrame) -> DataFrame:
     return met.select(F.array_min("centres").alias("b"), ends.alias("a")).where("a <> b").select("a", "b").distinct()
 
 
-def signature_edges(prints: DataFrame) -> DataFrame:
+def signature_edges(prints: DataFrame, group: DataFrame | None = None) -> DataFrame:
     """Edges (a, b) that join any two fingerprints, by their xxhash64, whose shingle sets share a signature.
 
     Rows of one signature form a star, never all pairs, and the stars that meet in a node are joined by their centres.
+    With ``group`` (node, group) a fingerprint goes by its group, and a signature that one group has alone gives no edge.
     """
-    flat = prints.select(F.xxhash64("fp").alias("node"), F.explode("signs").alias("sign"))
+    rows = prints.select(F.xxhash64("fp").alias("node"), "signs")
+    rows = rows if group is None else rows.join(checked(group, 24), "node", "left").select(F.coalesce("group", "node").alias("node"), "signs")
+    flat = rows.select("node", F.explode("signs").alias("sign"))
     met = written(flat.groupBy("sign").agg(F.min("node").alias("b"), F.max("node").alias("top")).where("b <> top").select("sign", "b"), "met")
     return spanning(flat.join(met, "sign").select("node", "b"))
 
@@ -487,11 +491,14 @@ class Sets:
         return both / np.maximum(1, size + len(own) - both)
 
 
-def linked_sets(fp: np.ndarray, sets: list[np.ndarray], data: np.ndarray, query: np.ndarray, radius: int, similarity: float) -> np.ndarray:
-    """Root row after linking rows whose sets are similar. Near fingerprints go first, ring by ring up to
+def linked_sets(fp: np.ndarray, sets: list[np.ndarray], data: np.ndarray, query: np.ndarray, radius: int, similarity: float, same: np.ndarray | None = None) -> np.ndarray:
+    """Root row after linking rows whose sets are similar; rows equal in ``same`` are known to be together. Near fingerprints go first, ring by ring up to
     ``radius`` and then all others, and pairs that are already together are passed over, so a large group
     of copies costs few comparisons a member."""
     groups, bags = _Groups(len(fp)), Sets(sets)
+    if same is not None and len(same):
+        _, first, at = np.unique(same, return_index=True, return_inverse=True)
+        groups.join(np.arange(len(fp)), first[at])
     step = max(1, (1 << 20) // max(1, len(data)))
     is_data, is_query = np.zeros(len(fp), bool), np.zeros(len(fp), bool)
     is_data[data], is_query[query] = True, True
@@ -574,25 +581,42 @@ def star_links(stars: DataFrame, sets: DataFrame, similarity: float) -> DataFram
     return arrow_map(dealt, run, "a binary, b binary, u long, v long")
 
 
-def peeled(docs: DataFrame, prints: DataFrame, large: DataFrame, k: int, bits: int, similarity: float) -> tuple[DataFrame, DataFrame]:
-    """Links (a, b) found among the ``large`` groups of candidates, and what is left of them: (node, root).
+def tree_links(docs: DataFrame, distinct: DataFrame, k: int, bits: int, similarity: float, leaf: int) -> DataFrame:
+    """Links (a, b) of similar sets, and (u, v) their nodes, that vantage-point trees find among the fingerprints.
+
+    The first word of a wide fingerprint is a fingerprint of 64 bits. Trees over its two blocks find all words within
+    ``WORD_RADIUS`` bits; each group of them is a star around its smallest node, and the shingle sets decide. Similar
+    sets that lie farther apart, or are similar to others of their group than its centre, are left to the signatures.
+    """
+    named = distinct.select(F.xxhash64("fp").alias("node"), "fp", F.substring("fp", 1, 8).alias("word"), F.col("n_shingles").alias("n"), "rep.doc_id", "rep.row_key")
+    words = written(named.select(F.col("word").alias("fp")).distinct(), "words")
+    near = components(fingerprint_edges(words, 64, WORD_RADIUS, 2, leaf)).select(F.col("node").alias("word"), "root")
+    named = named.join(checked(near, 48), "word", "left").withColumn("root", F.coalesce("root", "word")).drop("word")
+    heads = named.groupBy("root").agg(F.min(F.struct("node", "n")).alias("c"), F.count("*").alias("size")).where("size > 1").select("root", "c")
+    met = written(named.join(heads, "root").where(F.least("n", "c.n") >= similarity * F.greatest("n", "c.n") - 1e-9), "met")
+    sets = written(member_sets(docs, met.select("doc_id", "row_key", "fp", "node"), k, bits), "sets")
+    return written(star_links(met.select("node", F.col("c.node").alias("centre")).where("node <> centre"), sets, similarity), "links")
+
+
+def peeled(docs: DataFrame, prints: DataFrame, large: DataFrame, links: DataFrame, k: int, bits: int, similarity: float) -> tuple[DataFrame, DataFrame]:
+    """``links`` with those found among the ``large`` groups of candidates, and what is left of these: (node, root).
 
     All rows of a signature are compared with the smallest of them, which then leaves the signature.
     A signature whose rows are linked by then has nothing more to tell. What is left falls into groups of its own, far smaller as a rule:
     chains of signatures that only few rows share, which make a group large, end after a round or two.
     """
-    named = large.select(F.xxhash64("fp").alias("node"), "fp", F.col("rep.doc_id").alias("doc_id"), F.col("rep.row_key").alias("row_key"))
-    sets = written(member_sets(docs, named, k, bits), "sets")
+    named = large.select(F.xxhash64("fp").alias("node"), "fp", "group", F.col("rep.doc_id").alias("doc_id"), F.col("rep.row_key").alias("row_key"))
+    sets = written(member_sets(docs, named.drop("group"), k, bits), "sets")
     size = sets.select("node", (F.octet_length("sets") / 8).alias("n"))
-    flat = prints.join(checked(named.select("fp"), 80), "fp").select(F.xxhash64("fp").alias("node"), F.explode("signs").alias("sign")).distinct()
-    flat = written(flat.join(flat.groupBy("sign").count().where("count > 1").select("sign"), "sign").join(size, "node").select("sign", "node", "n", F.col("node").alias("group")), "signs")
-    links = None
+    flat = prints.join(checked(named.select("fp", "group"), 88), "fp").select(F.xxhash64("fp").alias("node"), "group", F.explode("signs").alias("sign")).distinct()
+    several = flat.groupBy("sign").agg(F.min("group").alias("x"), F.max("group").alias("y")).where("x <> y").select("sign")
+    flat = written(flat.join(several, "sign").join(size, "node").select("sign", "node", "n", "group"), "signs")
     for _ in range(PEELS):
         first = flat.groupBy("sign").agg(F.min(F.struct("node", "n", "group")).alias("c"))
         both = written(flat.join(first, "sign").where("node <> c.node"), "starred")
         fit = (F.least("n", "c.n") >= similarity * F.greatest("n", "c.n") - 1e-9) & (F.col("group") != F.col("c.group"))
         got = written(star_links(both.where(fit).select("node", F.col("c.node").alias("centre")).distinct(), sets, similarity), "links")
-        links = got if links is None else links.unionByName(got)
+        links = links.unionByName(got)
         group = components(links.select("u", "v"), "u", "v").select("node", F.col("root").alias("group"))
         rest = both.select("sign", "node", "n").join(group, "node", "left").withColumn("group", F.coalesce("group", "node"))
         open_ = rest.groupBy("sign").agg(F.min("group").alias("x"), F.max("group").alias("y")).where("x <> y").select("sign")
@@ -602,49 +626,52 @@ def peeled(docs: DataFrame, prints: DataFrame, large: DataFrame, k: int, bits: i
         most = loose.join(size, "node").groupBy("root").agg(F.greatest(F.count("*") / SET_CHUNK, F.sum(8 * F.col("n")) / SET_BYTES).alias("load"))
         if most.where("load > 1").isEmpty():
             break
-    return links.select("a", "b"), loose
+    return links, loose
 
 
-def verified_edges(docs: DataFrame, prints: DataFrame, distinct: DataFrame, loose: DataFrame, k: int, bits: int, radius: int, similarity: float) -> DataFrame:
-    """Edges (a, b) between fingerprints of one loose component whose shingle sets are similar.
+def verified_edges(docs: DataFrame, prints: DataFrame, distinct: DataFrame, links: DataFrame, k: int, bits: int, radius: int, similarity: float) -> DataFrame:
+    """Edges (a, b) that join any two fingerprints whose shingle sets are similar: ``links``, those that the trees have
+    found, and an exact way for the rest, between fingerprints of one loose component of signatures.
 
     Only members of a component with company are read again. Small components share a shard; one of more than
     ``SET_CHUNK`` members or ``SET_BYTES`` becomes a grid of cells, as large shards do. One of more than ``PEEL_FROM``
     times as many is peeled first (``peeled``), and the grid has what is left of it.
     """
-    members = written(distinct.join(loose, F.xxhash64("fp") == F.col("node")).select("fp", "rep", "n_shingles", "root"), "members")
+    group = components(links, "u", "v").select("node", F.col("root").alias("group"))
+    loose = components(signature_edges(prints, group)).withColumnRenamed("node", "group")
+    named = distinct.withColumn("node", F.xxhash64("fp")).join(checked(group, 24), "node", "left").withColumn("group", F.coalesce("group", "node"))
+    members = written(named.join(loose, "group").select("fp", "rep", "n_shingles", "group", "root"), "members")
     load = F.greatest(F.count("*") / SET_CHUNK, F.sum(8 * F.col("n_shingles")) / SET_BYTES)
     sizes = members.groupBy("root").agg(F.ceil(load).cast("int").alias("chunks")).where("chunks > 1")  # few: each stands for a chunk or more
-    links, huge = None, sizes.where(F.col("chunks") > PEEL_FROM)
+    huge = sizes.where(F.col("chunks") > PEEL_FROM)
     if not huge.isEmpty():
         roots = checked(huge.select("root"), 96)
         large = written(members.join(roots, "root", "left_semi"), "large")
-        links, left = peeled(docs, prints, large, k, bits, similarity)
-        rest = large.drop("root").join(left, F.xxhash64("fp") == F.col("node")).select("fp", "rep", "n_shingles", "root")
+        links, left = peeled(docs, prints, large, links, k, bits, similarity)
+        rest = large.drop("root").join(left, F.xxhash64("fp") == F.col("node")).select("fp", "rep", "n_shingles", "group", "root")
         members = written(members.join(roots, "root", "left_anti").unionByName(rest), "members")
         sizes = members.groupBy("root").agg(F.ceil(load).cast("int").alias("chunks")).where("chunks > 1")
     shards = max(1, int(members.agg(F.coalesce(load, F.lit(0.0))).first()[0]))
     m = members.join(checked(sizes, 96), "root", "left").withColumn("chunks", F.coalesce("chunks", F.lit(1)))
     m = m.withColumn("shard", F.when(F.col("chunks") > 1, F.xxhash64("root")).otherwise(F.pmod(F.xxhash64("root"), F.lit(shards))))
-    m = m.select(F.col("rep.doc_id").alias("doc_id"), F.col("rep.row_key").alias("row_key"), "fp", "root", "shard", "chunks")
+    m = m.select(F.col("rep.doc_id").alias("doc_id"), F.col("rep.row_key").alias("row_key"), "fp", "group", "root", "shard", "chunks")
     sets = member_sets(docs, m, k, bits).withColumn("home", F.lit(True))
 
     def search(key: tuple[pa.Scalar, ...], t: pa.Table) -> pa.Table:
         t = t.combine_chunks().sort_by([("root", "ascending"), ("fp", "ascending")])
         fp, bags = _matrix(t.column("fp"), bits), [np.frombuffer(x, np.uint64) for x in t.column("sets").to_pylist()]
         data, query = (t.column(c).to_numpy(zero_copy_only=False) for c in ("data", "query"))
-        _, first = np.unique(t.column("root").to_numpy(), return_index=True)
+        same, (_, first) = t.column("group").to_numpy(), np.unique(t.column("root").to_numpy(), return_index=True)
         root = np.arange(len(fp))
         for a, b in zip(first, [*first[1:], len(fp)], strict=True):
-            got = linked_sets(fp[a:b], bags[a:b], np.flatnonzero(data[a:b]), np.flatnonzero(query[a:b]), radius, similarity)
+            got = linked_sets(fp[a:b], bags[a:b], np.flatnonzero(data[a:b]), np.flatnonzero(query[a:b]), radius, similarity, same[a:b])
             root[a:b] = a + got
         at = np.flatnonzero(root != np.arange(len(fp)))
         return pa.table({"a": t.column("fp").take(pa.array(at)), "b": t.column("fp").take(pa.array(root[at]))})
 
     upper = F.floor(F.col("cell") / F.col("chunks")) <= F.col("cell") % F.col("chunks")  # all rows are data: half the grid has every pair
-    out = _grid(sets, "root", "sets", where=upper).groupBy("shard", "cell").applyInArrow(search, "a binary, b binary")
-    out = out.where(F.col("a") != F.col("b"))
-    return (out if links is None else out.unionByName(links)).distinct()
+    out = _grid(sets, "group", "root", "sets", where=upper).groupBy("shard", "cell").applyInArrow(search, "a binary, b binary")
+    return out.where(F.col("a") != F.col("b")).unionByName(links.select("a", "b")).distinct()
 
 
 def _groups(docs: DataFrame, k: int, bits: int, radius: int, blocks: int, ratio: float | None, leaf: int) -> tuple[DataFrame, DataFrame]:
@@ -654,7 +681,7 @@ def _groups(docs: DataFrame, k: int, bits: int, radius: int, blocks: int, ratio:
     rep = F.struct(F.col("doc_id").isNull().alias("nameless"), "doc_id", "row_key")
     distinct = written(prints.groupBy("fp").agg(F.min(rep).alias("rep"), F.min("n_shingles").alias("n_shingles"), F.count("*").alias("n_rows")), "distinct")
     if ratio is not None:
-        linked = components(verified_edges(docs, prints, distinct, components(signature_edges(prints)), k, bits, radius, ratio))
+        linked = components(verified_edges(docs, prints, distinct, tree_links(docs, distinct, k, bits, ratio, leaf), k, bits, radius, ratio))
     else:
         linked = components(fingerprint_edges(distinct, bits, radius, blocks, leaf))
     own = distinct.join(linked, distinct.fp == linked.node, "left").where(F.col("root").isNotNull() | (F.col("n_rows") > 1))
@@ -668,8 +695,8 @@ def near_duplicates(docs: DataFrame, k: int = 3, bits: int = 64, radius: int = 3
     """(doc_id, row_key, fp, component_id) for each row; component_id is the smallest doc_id reachable.
 
     ``ratio``: links are pairs of a Jaccard similarity of ``ratio`` or more over distinct
-    shingles. Candidates share a signature (see ``signatures``), and their shingle sets decide;
-    ``radius`` only sets which fingerprints are compared first.
+    shingles. Vantage-point trees find the near ones (``tree_links``). Candidates for the rest share a signature
+    (see ``signatures``); ``radius`` only sets which of them are compared first. Shingle sets decide in either case.
     """
     prints, named = _groups(docs, k, bits, radius, blocks, ratio, leaf)
     j = prints.join(checked(named.select("fp", "component_id", F.lit(True).alias("grouped")), 32 + bits // 8), "fp", "left")

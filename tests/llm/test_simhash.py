@@ -202,3 +202,23 @@ def test_components_on_the_driver_equal_those_of_rounds(spark, monkeypatch):
             assert S.components(edges.limit(0)).count() == 0
         assert got[0] == got[1]
         monkeypatch.undo()
+
+
+def test_trees_find_near_copies_of_the_pipelines_stage(spark, monkeypatch):
+    """Copies of long texts are linked by the trees alone, and only what they leave open meets by signatures."""
+    rnd = random.Random(8)
+    rows = []
+    for i in range(40):
+        text = [f"t{i}w{rnd.randrange(10**6)}" for _ in range(600)]
+        rows += [(3 * i, " ".join(text)), (3 * i + 1, " ".join([*text[:-1], "x"])), (3 * i + 2, " ".join([*text[:500], *(f"y{i}{j}" for j in range(60)), *text[560:]]))]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    left, found, edges = [], [], S.signature_edges
+    monkeypatch.setattr(S, "signature_edges", lambda p, g=None: left.append(g.count()) or edges(p, g))
+    links = S.tree_links
+    monkeypatch.setattr(S, "tree_links", lambda *a: found.append(got := links(*a)) or got)
+    got = S.near_duplicates(df, 5, 512, 104, 1, 0.8)
+    assert {r.doc_id: r.component_id for r in got.collect()} == {d: d - d % 3 for d, _ in rows}
+    nodes = {r.fp: r.doc_id for r in got.select("fp", "doc_id").collect()}
+    near = {tuple(sorted((nodes[r.a], nodes[r.b]))) for r in found[0].collect()}
+    assert sum((3 * i, 3 * i + 1) in near for i in range(40)) >= 36 and all(a // 3 == b // 3 for a, b in near)
+    assert left[0] >= 72
