@@ -116,6 +116,22 @@ class Codebooks:
         return cls(np.array([r.vec for r in rows]).reshape(n, -1, D))
 
 
+def nearest(a: np.ndarray, b: np.ndarray, tol: float = 0.0) -> tuple[np.ndarray, np.ndarray]:
+    """For each row of a the first row of b within ``tol`` of the smallest squared distance, and that distance.
+
+    One product a block gives the distances but for the row's own norm; a block of them stays in the processor's cache.
+    """
+    plane = np.vstack([-2 * b.T, (b * b).sum(1)])
+    rows = np.hstack([a, np.ones((len(a), 1))])
+    k, low = np.empty(len(a), np.int64), np.empty(len(a))
+    step = max(16, (1 << 17) // len(b))
+    for s in range(0, len(a), step):
+        d = rows[s : s + step] @ plane
+        low[s : s + step] = least = d.min(1)
+        k[s : s + step] = (d <= least[:, None] + tol).argmax(1)
+    return k, low + (a * a).sum(1)
+
+
 def assign(z: np.ndarray, books: np.ndarray, how: str = "d_traj", m: np.ndarray | None = None, lam: float = G.LAMBDA) -> np.ndarray:
     """Code of each level for each row; ties go to the smaller index.
 
@@ -127,10 +143,7 @@ def assign(z: np.ndarray, books: np.ndarray, how: str = "d_traj", m: np.ndarray
     done = np.zeros_like(z)
     for lv, book in enumerate(books):
         if how == "d_j":
-            a, b = (z - done) @ m.T, book @ m.T
-            step = max(1, (1 << 22) // len(book))
-            for s in range(0, len(z), step):
-                codes[s : s + step, lv] = ((b * b).sum(1) - 2 * a[s : s + step] @ b.T).argmin(1)
+            codes[:, lv] = nearest((z - done) @ m.T, book @ m.T)[0]
         else:
             step = max(1, (1 << 20) // (len(book) * D))
             for s in range(0, len(z), step):
@@ -142,7 +155,7 @@ def assign(z: np.ndarray, books: np.ndarray, how: str = "d_traj", m: np.ndarray
 
 
 def _rows(col: pa.Array) -> np.ndarray:
-    return np.array(col.to_pylist(), float).reshape(-1, D)
+    return np.asarray(col.flatten().to_numpy(zero_copy_only=False), float).reshape(-1, D)
 
 
 def init_codebook(traj: DataFrame, k: int, seed: int = 0, level: int = 0, how: str = "hash", spare: int = 8) -> np.ndarray:
@@ -177,25 +190,26 @@ def lloyd_partials(traj: DataFrame, books: np.ndarray, centre: np.ndarray, m: np
         n = np.zeros(len(centre))
         sums = np.zeros((len(centre), D + (D * D if per_sample else 0)))
         err, far, far_row = np.zeros(len(centre)), np.full(len(centre), -1.0), np.zeros((len(centre), D))
-        step = max(1, (1 << 22) // len(centre))  # distances held at a time, whatever K
+        step = max(1, (1 << 22) // len(centre)) if per_sample else 1 << 16  # distances held at a time, whatever K
         for z in (z[s : s + step] for z in (_rows(b.column("z")) for b in batches) for s in range(0, len(z), step)):
             r = z - (sum(book[c] for book, c in zip(books, assign(z, books, "d_j", m).T, strict=True)) if len(books) else 0)
             if per_sample:
                 w = np.sqrt(weights())
                 maps = np.stack([w[:, None] * jacobian_at(x) for x in z])
                 d = np.stack([((((r - e)[:, None] @ maps.transpose(0, 2, 1))[:, 0]) ** 2).sum(1) for e in centre], 1)
+                k = np.round(d, 12).argmin(1)
+                best = d[np.arange(len(d)), k]
             else:
-                a, c = r @ m.T, centre @ m.T
-                d = (a * a).sum(1)[:, None] + (c * c).sum(1)[None] - 2 * a @ c.T
-            k = np.round(d, 12).argmin(1)
-            best = d[np.arange(len(d)), k]
+                k, best = nearest(r @ m.T, centre @ m.T, 1e-12)
             n += np.bincount(k, minlength=len(centre))
             err += np.bincount(k, best, minlength=len(centre))
             if per_sample:
                 mm = maps.transpose(0, 2, 1) @ maps
                 np.add.at(sums, k, np.hstack([(mm @ r[:, :, None])[:, :, 0], mm.reshape(len(r), -1)]))
             else:
-                np.add.at(sums, k, r)
+                order = np.argsort(k, kind="stable")
+                first = np.flatnonzero(np.diff(k[order], prepend=-1))
+                sums[k[order[first]]] += np.add.reduceat(r[order], first)
             top = int(best.argmax())
             if best[top] > far[k[top]]:
                 far[k[top]], far_row[k[top]] = best[top], r[top]
@@ -299,19 +313,34 @@ def levels_for_budget(ms: Column, ms_per_token: float = 4.0, prefix_tokens: int
 
 
 def rvq_eval(coded: DataFrame, books: Codebooks, lam: float = G.LAMBDA) -> DataFrame:
-    """(levels, n, mean_ade, mean_dth, used_codes, entropy_bits, dead_codes) for each prefix length."""
-    spark = coded.sparkSession
-    frame = books.frame(spark)
-    out = None
-    for upto in range(1, books.levels + 1):
-        d = decode(coded, frame, upto)
-        err = d.agg(F.count("*").alias("n"), F.avg(G.ade("z", "zhat")).alias("mean_ade"), F.avg(G.heading_err("z", "zhat")).alias("mean_dth"))
-        use = coded.groupBy(f"k{upto - 1}").count()
-        total = use.agg(F.sum("count").alias("s"))
-        ent = use.crossJoin(F.broadcast(total)).agg(F.count("*").alias("used_codes"), (-F.sum(F.col("count") / F.col("s") * F.log2(F.col("count") / F.col("s")))).alias("entropy_bits"))
-        one = err.crossJoin(F.broadcast(ent)).select(F.lit(upto).alias("levels"), "*", (F.lit(books.k) - F.col("used_codes")).alias("dead_codes"))
-        out = one if out is None else out.unionByName(one)
-    return out
+    """(levels, n, mean_ade, mean_dth, used_codes, entropy_bits, dead_codes) for each prefix length, in one scan of ``coded``."""
+    vec = books.vec
+
+    def run(batches):
+        n, far, turn = np.zeros((len(vec), books.k)), np.zeros((len(vec), books.k)), np.zeros((len(vec), books.k))
+        for b in batches:
+            for s in range(0, b.num_rows, 2048):  # ten waypoints a row stay in the processor's cache
+                part = b.slice(s, 2048)
+                z, zhat = _rows(part.column("z")), 0.0
+                way = integrate(z)
+                for lv, book in enumerate(vec):
+                    k = part.column(f"k{lv}").to_numpy()
+                    zhat = zhat + book[k]
+                    got = integrate(zhat)
+                    n[lv] += np.bincount(k, minlength=books.k)
+                    far[lv] += np.bincount(k, np.hypot(*np.moveaxis(way[..., :2] - got[..., :2], -1, 0)).mean(-1), books.k)
+                    turn[lv] += np.bincount(k, np.abs(_wrapped(way[:, -1, 2] - got[:, -1, 2])), books.k)
+        lv, k = np.nonzero(n)
+        yield pa.RecordBatch.from_arrays(
+            [pa.array(lv + 1, pa.int32()), pa.array(k, pa.int32()), pa.array(n[lv, k].astype(np.int64)), pa.array(far[lv, k]), pa.array(turn[lv, k])], ["levels", "k", "n", "far", "turn"]
+        )
+
+    names = [f"k{lv}" for lv in range(len(vec))]
+    used = coded.select("z", *names).mapInArrow(run, "levels int, k int, n long, far double, turn double").groupBy("levels", "k").agg(*[F.sum(c).alias(c) for c in ("n", "far", "turn")])
+    every = F.sum("n")
+    bits = F.log2(every) - F.sum(F.col("n") * F.log2("n")) / every
+    got = used.groupBy("levels").agg(every.alias("n"), (F.sum("far") / every).alias("mean_ade"), (F.sum("turn") / every).alias("mean_dth"), F.count("*").alias("used_codes"), bits.alias("entropy_bits"))
+    return got.withColumn("dead_codes", F.lit(books.k) - F.col("used_codes")).orderBy("levels")
 
 
 def lambda_sweep(traj: DataFrame, books: Codebooks, lams: list[float]) -> DataFrame:

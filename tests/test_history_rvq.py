@@ -6,6 +6,7 @@ import pytest
 from support import SF_SMOKE
 from pyspark.sql import functions as F
 
+from navspark.functions import geometry as G
 from navspark.operators import history as H
 from navspark.operators import rvq as Q
 from navspark.operators import serialize as S
@@ -184,3 +185,25 @@ def test_quality_query_fits_the_full_sizes(monkeypatch):
     with pytest.raises(Seen):
         P.rvq_quality(None, None)
     assert {(3, 64), (3, 256)} < set(sizes)
+
+
+def test_evaluation_scans_the_codes_once(spark):
+    """All prefixes, displacements and code counts come from one scan; ties go to the smaller code."""
+    seen = spark.sparkContext.accumulator(0)
+
+    def count(batches):
+        for b in batches:
+            seen.add(b.num_rows)
+            yield b
+
+    traj = C.v_traj(spark, SF_SMOKE).select("traj_id", "z")
+    books = Q.fit_rvq(traj, 3, 8, 2)
+    coded = Q.encode(traj, books, "d_j")
+    got = Q.rvq_eval(coded.mapInArrow(count, coded.schema), books).collect()
+    n = traj.count()
+    assert seen.value == n and [(r.levels, r.n) for r in got] == [(1, n), (2, n), (3, n)]
+    for r in got:
+        way = Q.decode(coded, books.frame(spark), r.levels).agg(F.avg(G.ade("z", "zhat")), F.avg(G.heading_err("z", "zhat"))).first()
+        assert np.allclose([r.mean_ade, r.mean_dth], list(way))
+    k, d = Q.nearest(np.array([[0.0, 1.0], [3.0, 0.0]]), np.array([[5.0, 5.0], [3.0, 1.0], [0.0, 0.0], [3.0, 1.0], [0.0, 0.0]]), 1e-12)
+    assert k.tolist() == [2, 1] and np.allclose(d, [1, 1])
