@@ -340,6 +340,8 @@ def rvq_eval(coded: DataFrame, books: Codebooks, lam: float = G.LAMBDA) -> DataF
     every = F.sum("n")
     bits = F.log2(every) - F.sum(F.col("n") * F.log2("n")) / every
     got = used.groupBy("levels").agg(every.alias("n"), (F.sum("far") / every).alias("mean_ade"), (F.sum("turn") / every).alias("mean_dth"), F.count("*").alias("used_codes"), bits.alias("entropy_bits"))
+    every = coded.sparkSession.range(1, len(vec) + 1).select(F.col("id").cast("int").alias("levels"))  # also without rows
+    got = every.join(F.broadcast(got), "levels", "left").fillna(0, ["n", "used_codes"])
     return got.withColumn("dead_codes", F.lit(books.k) - F.col("used_codes")).orderBy("levels")
 
 

@@ -205,5 +205,6 @@ def test_evaluation_scans_the_codes_once(spark):
     for r in got:
         way = Q.decode(coded, books.frame(spark), r.levels).agg(F.avg(G.ade("z", "zhat")), F.avg(G.heading_err("z", "zhat"))).first()
         assert np.allclose([r.mean_ade, r.mean_dth], list(way))
+    assert [(r.levels, r.n, r.used_codes, r.dead_codes) for r in Q.rvq_eval(coded.limit(0), books).collect()] == [(lv, 0, 0, 8) for lv in (1, 2, 3)]
     k, d = Q.nearest(np.array([[0.0, 1.0], [3.0, 0.0]]), np.array([[5.0, 5.0], [3.0, 1.0], [0.0, 0.0], [3.0, 1.0], [0.0, 0.0]]), 1e-12)
     assert k.tolist() == [2, 1] and np.allclose(d, [1, 1])
