@@ -33,7 +33,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from navspark.llm.common import apart, arrow_map, checked, same_row, text_key, whole, written
@@ -49,6 +49,9 @@ PEEL_FROM = 4  #: chunks of a group that are compared in a grid (of ten cells at
 PEELS = 6  #: most rounds of stars before what is left of a large group is compared in full
 SIGNS = 64  #: most signatures of a set in a size band
 SLICE = 1 << 20  #: bytes of a text split into words at a time
+SKETCH_BITS = 1 << 15  #: most bits of a set's sketch
+SIGN_CHUNK = 20_000  #: sketches of one signature that a task compares,
+SIGN_BYTES = 16 << 20  #: and the bytes of a task's sketches
 WORD_RADIUS = 3  #: bits of 64 within which the trees look for similar sets, in two blocks
 LOCAL_EDGES = 1 << 17  #: most edges, counted first, whose components the driver finds
 
@@ -135,12 +138,14 @@ def _set_of(text: str | None, k: int) -> np.ndarray:
 def fingerprints(docs: DataFrame, k: int = 3, bits: int = 64, similarity: float | None = None) -> DataFrame:
     """(doc_id, row_key, fp binary, n_shingles) for each row of ``docs``.
 
-    With ``similarity`` each distinct shingle votes once, and ``signs`` has the set's signatures.
+    With ``similarity`` each distinct shingle votes once, ``signs`` has the set's signatures, ``sketch`` its sketch, and
+    sets as similar as that differ in no more elements than the sum of their ``room``.
     """
+    share = 0.0 if similarity is None else (1 - similarity) / (1 + similarity)
 
     def run(batches):
         for b in batches:
-            fps, sizes, signs = [], [], []
+            fps, sizes, signs, sketches = [], [], [], []
             for t in b.column("text"):
                 if similarity is None:
                     fp, n = fingerprint(t.as_py(), k, bits)
@@ -148,15 +153,17 @@ def fingerprints(docs: DataFrame, k: int = 3, bits: int = 64, similarity: float
                     ids = _set_of(t.as_py(), k)
                     fp, n = vote([ids], len(ids), bits), len(ids)
                     signs.append(signatures(ids, similarity).view(np.int64))
+                    sketches.append(sketch(ids))
                 fps.append(fp)
                 sizes.append(n)
             out = [b.column("doc_id"), b.column("row_key"), pa.array(fps, pa.binary()), pa.array(sizes, pa.int64())]
             names = ["doc_id", "row_key", "fp", "n_shingles"]
             if similarity is not None:
-                out, names = [*out, pa.array(signs, pa.list_(pa.int64()))], [*names, "signs"]
+                out += [pa.array(signs, pa.list_(pa.int64())), pa.array(sketches, pa.binary()), pa.array(share * np.array(sizes, float))]
+                names += ["signs", "sketch", "room"]
             yield pa.RecordBatch.from_arrays(out, names)
 
-    schema = "doc_id long, row_key long, fp binary, n_shingles long" + (", signs array<long>" if similarity is not None else "")
+    schema = "doc_id long, row_key long, fp binary, n_shingles long" + (", signs array<long>, sketch binary, room double" if similarity is not None else "")
     return arrow_map(_texts(docs), run, schema)
 
 
@@ -460,13 +467,132 @@ def signature_edges(prints: DataFrame, group: DataFrame | None = None) -> DataFr
     """Edges (a, b) that join any two fingerprints, by their xxhash64, whose shingle sets share a signature.
 
     Rows of one signature form a star, never all pairs, and the stars that meet in a node are joined by their centres.
-    With ``group`` (node, group) a fingerprint goes by its group, and a signature that one group has alone gives no edge.
+    With ``group`` (node, group) a fingerprint goes by its group, a signature that one group has alone gives no edge, and
+    sets that share a signature meet only if their sketches leave it open that they are similar (``sketch_edges``).
     """
-    rows = prints.select(F.xxhash64("fp").alias("node"), "signs")
-    rows = rows if group is None else rows.join(checked(group, 24), "node", "left").select(F.coalesce("group", "node").alias("node"), "signs")
-    flat = rows.select("node", F.explode("signs").alias("sign"))
-    met = written(flat.groupBy("sign").agg(F.min("node").alias("b"), F.max("node").alias("top")).where("b <> top").select("sign", "b"), "met")
-    return spanning(flat.join(met, "sign").select("node", "b"))
+    w = Window.partitionBy("sign")
+    flat = prints.select(F.xxhash64("fp").alias("node"), F.explode("signs").alias("sign"))
+    several = flat.withColumns({"b": F.min("node").over(w), "top": F.max("node").over(w)}).where("b <> top")
+    met = written(several.groupBy("sign", "node").agg(F.min("b").alias("b")), "met")  # one shuffle by signature
+    return spanning(met) if group is None else sketch_edges(met.drop("b"), prints, group)
+
+
+def sketch(ids: np.ndarray) -> bytes:
+    """For each of at least as many bits as ``ids`` has elements, whether an odd number of these fall on it.
+
+    An element that only one of two sets has flips one bit, so sketches differ in no more bits than sets in elements.
+    A sketch is halved by the exclusive or of its halves, which makes sketches of different lengths comparable.
+    """
+    bits = min(SKETCH_BITS, 1 << max(6, (len(ids) - 1).bit_length()))
+    with np.errstate(over="ignore"):
+        at = (_mixed(ids, 33) & np.uint64(bits - 1)).astype(np.int64)
+    return np.packbits((np.bincount(at, minlength=bits) & 1).astype(np.uint8), bitorder="little").tobytes()
+
+
+class Sketches:
+    """Sketches by their length in words; those of twice a length also halved to it."""
+
+    def __init__(self, sketches: list[bytes]):
+        self.words = np.array([len(x) // 8 for x in sketches], np.int64)
+        self.own, self.half, self.of = np.zeros(len(sketches), np.int64), np.zeros(len(sketches), np.int64), {}
+        for w in np.unique(self.words).tolist():
+            own, half = np.flatnonzero(self.words == w), np.flatnonzero(self.words == 2 * w)
+            long = np.frombuffer(b"".join([sketches[i] for i in half.tolist()]), np.uint64).reshape(-1, 2 * w)
+            self.of[w] = np.concatenate([np.frombuffer(b"".join([sketches[i] for i in own.tolist()]), np.uint64).reshape(-1, w), long[:, :w] ^ long[:, w:]])
+            self.own[own], self.half[half] = np.arange(len(own)), len(own) + np.arange(len(half))
+
+    def rows(self, x: np.ndarray, w: int) -> np.ndarray:
+        return self.of[w][np.where(self.words[x] == w, self.own[x], self.half[x])]
+
+
+def sketch_groups(sign: np.ndarray, group: np.ndarray, size: np.ndarray, room: np.ndarray, sketches: list[bytes], data: np.ndarray, query: np.ndarray, few: int = 32) -> np.ndarray:
+    """Root row of each row, in order of ``sign``, after linking query rows to data rows of one signature whose sketches
+    differ in no more bits than they have room. Rows of one group are together from the start.
+
+    Rows of a signature that ``few`` have are compared with the next ones, all such signatures at once. Of a larger one
+    the first row is compared with all, and then each row that isn't in the largest group by then.
+    """
+    groups, bags = _Groups(len(sign)), Sketches(sketches)
+    _, first, at = np.unique(group, return_index=True, return_inverse=True)
+    groups.join(np.arange(len(sign)), first[at.ravel()])
+    room = room + 5e-10
+    start = np.flatnonzero(np.diff(sign, prepend=sign[:1] - 1)) if len(sign) else np.zeros(0, np.int64)
+    count = np.diff(start, append=len(sign))
+    left = np.repeat(np.where(count <= few, start + count, 0), count) - np.arange(len(sign))  # rows of the signature from here on
+
+    def near(a: np.ndarray, b: np.ndarray) -> None:
+        open_ = (groups.up[a] != groups.up[b]) & (np.abs(size[a] - size[b]) <= room[a] + room[b])
+        a, b = a[open_], b[open_]
+        low = np.minimum(bags.words[a], bags.words[b])
+        fits = np.maximum(bags.words[a], bags.words[b]) <= 2 * low
+        for w in np.unique(low).tolist():
+            some, step = np.flatnonzero(fits & (low == w)), max(1, (1 << 20) // w)
+            for s in range(0, len(some), step):
+                x, y = a[some[s : s + step]], b[some[s : s + step]]
+                ok = distance(bags.rows(x, w), bags.rows(y, w)) <= room[x] + room[y]
+                groups.join(x[ok], y[ok])
+
+    for k in range(1, few):
+        a = np.flatnonzero(left > k)
+        if not len(a):
+            break
+        near(a, a + k)
+    for a, n in zip(start[count > few].tolist(), count[count > few].tolist(), strict=True):
+        rows = np.arange(a, a + n)
+        near(np.full(n - 1, a), rows[1:])
+        roots, size_of = np.unique(groups.up[rows], return_counts=True)
+        rest = rows[groups.up[rows] != roots[size_of.argmax()]]
+        both = [(rest[query[rest]], rows[data[rows]])]
+        if not (data[rows] & query[rows]).all():
+            both.append((rest[data[rest]], rows[query[rows]]))
+        for these, those in both:
+            for v in np.unique(bags.words[these]).tolist():
+                for w in np.unique(bags.words[those]).tolist():
+                    if max(v, w) > 2 * min(v, w):
+                        continue
+                    x, y = these[bags.words[these] == v], those[bags.words[those] == w]
+                    step, other = max(1, (1 << 20) // len(y)), bags.rows(y, min(v, w))
+                    for s in range(0, len(x), step):
+                        some = x[s : s + step]
+                        mine, apart = bags.rows(some, min(v, w)), np.zeros((len(some), len(y)), np.uint16)
+                        for i in range(min(v, w)):
+                            apart += np.bitwise_count(mine[:, i][:, None] ^ other[:, i][None, :])
+                        i, j = np.nonzero(apart <= room[some][:, None] + room[y][None, :])
+                        fit = np.abs(size[some[i]] - size[y[j]]) <= room[some[i]] + room[y[j]]
+                        groups.join(some[i[fit]], y[j[fit]])
+    return groups.up
+
+
+def sketch_edges(met: DataFrame, prints: DataFrame, group: DataFrame) -> DataFrame:
+    """Edges (a, b) that join any two groups of which two rows in ``met`` (sign, node) share a signature and have sketches
+    that leave it open whether their sets are similar.
+
+    A signature alone joins texts by a single common shingle, which in a large corpus makes one group of candidates of
+    most texts. A sketch has a bit or two an element, not 64, and passes hardly any pair that isn't similar. A
+    signature of more than ``SIGN_CHUNK`` rows is compared in a grid of cells.
+    """
+    w = Window.partitionBy("sign")
+    rows = met.join(checked(group, 24), "node", "left").withColumn("group", F.coalesce("group", "node"))
+    rows = written(rows.withColumns({"x": F.min("group").over(w), "y": F.max("group").over(w)}).where("x <> y").select("sign", "node", "group"), "signs")
+    some = rows.select("node").distinct()
+    known = prints.select(F.xxhash64("fp").alias("node"), "n_shingles", "room", "sketch").join(checked(some, 8), "node", "left_semi").dropDuplicates(["node"])
+    rows = written(rows.join(known, "node"), "sketched")
+    load = F.sum(F.octet_length("sketch") + 48) / SIGN_BYTES
+    sizes = rows.groupBy("sign").agg(F.ceil(F.greatest(F.count("*") / SIGN_CHUNK, load)).cast("int").alias("chunks")).where("chunks > 1")  # few: each stands for a chunk or more
+    shards = max(1, int(rows.agg(F.coalesce(load, F.lit(0.0))).first()[0]))
+    dealt = rows.join(checked(sizes, 12), "sign", "left").withColumn("chunks", F.coalesce("chunks", F.lit(1))).withColumn("home", F.lit(True)).withColumnRenamed("node", "fp")
+    dealt = dealt.withColumn("shard", F.when(F.col("chunks") > 1, F.xxhash64("sign")).otherwise(F.pmod(F.xxhash64("sign"), F.lit(shards))))
+
+    def search(t: pa.Table) -> pa.Table:
+        t = t.combine_chunks().sort_by([("sign", "ascending"), ("fp", "ascending")])
+        sign, own, size, room, data, query = (t.column(c).to_numpy() for c in ("sign", "group", "n_shingles", "room", "data", "query"))
+        root = own[sketch_groups(sign, own, size, room, t.column("sketch").to_pylist(), data, query)]
+        at = np.flatnonzero(root != own)
+        a, b = np.unique(np.stack([own[at], root[at]]), axis=1) if len(at) else (own[at], root[at])
+        return pa.table({"a": a, "b": b})
+
+    upper = F.floor(F.col("cell") / F.col("chunks")) <= F.col("cell") % F.col("chunks")
+    return _grid(dealt, "sign", "group", "n_shingles", "room", "sketch", where=upper).groupBy("shard", "cell").applyInArrow(search, "a long, b long").distinct()
 
 
 class Sets:
@@ -601,12 +727,17 @@ def tree_links(docs: DataFrame, distinct: DataFrame, k: int, bits: int, similari
 def peeled(docs: DataFrame, prints: DataFrame, large: DataFrame, links: DataFrame, k: int, bits: int, similarity: float) -> tuple[DataFrame, DataFrame]:
     """``links`` with those found among the ``large`` groups of candidates, and what is left of these: (node, root).
 
-    All rows of a signature are compared with the smallest of them, which then leaves the signature.
+    All rows of a group of candidates are compared with its smallest first, so that near copies travel once for it and not for each signature.
+    Then all rows of a signature are compared with the smallest of them, which then leaves the signature.
     A signature whose rows are linked by then has nothing more to tell. What is left falls into groups of its own, far smaller as a rule:
     chains of signatures that only few rows share, which make a group large, end after a round or two.
     """
-    named = large.select(F.xxhash64("fp").alias("node"), "fp", "group", F.col("rep.doc_id").alias("doc_id"), F.col("rep.row_key").alias("row_key"))
-    sets = written(member_sets(docs, named.drop("group"), k, bits), "sets")
+    named = large.select(F.xxhash64("fp").alias("node"), "fp", "group", "root", F.col("rep.doc_id").alias("doc_id"), F.col("rep.row_key").alias("row_key"))
+    sets = written(member_sets(docs, named.drop("group", "root"), k, bits), "sets")
+    stars = named.join(named.groupBy("root").agg(F.min("node").alias("centre")), "root").where("node <> centre").select("node", "centre")
+    links = links.unionByName(written(star_links(stars, sets, similarity), "links"))
+    group = components(links.select("u", "v"), "u", "v").select("node", F.col("root").alias("group"))
+    named = named.drop("group", "root").join(checked(group, 24), "node", "left").withColumn("group", F.coalesce("group", "node"))
     size = sets.select("node", (F.octet_length("sets") / 8).alias("n"))
     flat = prints.join(checked(named.select("fp", "group"), 88), "fp").select(F.xxhash64("fp").alias("node"), "group", F.explode("signs").alias("sign")).distinct()
     several = flat.groupBy("sign").agg(F.min("group").alias("x"), F.max("group").alias("y")).where("x <> y").select("sign")

@@ -222,3 +222,42 @@ def test_trees_find_near_copies_of_the_pipelines_stage(spark, monkeypatch):
     near = {tuple(sorted((nodes[r.a], nodes[r.b]))) for r in found[0].collect()}
     assert sum((3 * i, 3 * i + 1) in near for i in range(40)) >= 36 and all(a // 3 == b // 3 for a, b in near)
     assert left[0] >= 72
+
+
+def test_sketches_differ_in_no_more_bits_than_sets_in_elements():
+    rng = np.random.default_rng(3)
+    for _ in range(400):
+        n = int(rng.integers(1, 900))
+        ids = rng.integers(0, 1 << 63, n + n // 3 + 1, dtype=np.uint64)
+        a, b = np.unique(ids[:n]), np.unique(ids[int(rng.integers(0, n)) :])
+        bags = S.Sketches([S.sketch(a), S.sketch(b)])
+        w, one, two = int(bags.words.min()), np.array([0]), np.array([1])
+        if bags.words.max() <= 2 * w:
+            assert S.distance(bags.rows(one, w), bags.rows(two, w))[0] <= len(np.setxor1d(a, b))
+
+
+def test_texts_that_share_a_passage_are_no_candidates(spark, monkeypatch):
+    """A common passage gives texts a signature in common; those that can't be similar may not meet, and all that are must."""
+    rnd, rows = random.Random(5), []
+    passage = " ".join(f"p{i}" for i in range(60))
+    for i in range(90):
+        rows.append((2 * i, passage + " " + " ".join(f"t{i}w{j}" for j in range(90))))
+    prints = S.fingerprints(spark.createDataFrame(rows, "doc_id long, text string"), 5, 512, 0.8).cache()
+    assert S.components(S.signature_edges(prints)).groupBy("root").count().agg(F.max("count")).first()[0] >= 60
+    none = spark.createDataFrame([], "node long, group long")
+    assert S.signature_edges(prints, none).count() == 0
+    for i in range(0, 90, 3):  # copies on either side of the limit
+        words = rows[i][1].split()
+        for j in rnd.sample(range(len(words)), rnd.randrange(1, 6)):
+            words[j] = f"x{rnd.randrange(10**6)}"
+        rows.append((2 * i + 1, " ".join(words)))
+    sets = {d: set(np.concatenate(list(S.shingle_hashes(t, 5))).tolist()) for d, t in rows}
+    want = {d: d for d, _ in rows}
+    for d in want:
+        if d % 2 and len(sets[d] & sets[d - 1]) >= 0.8 * len(sets[d] | sets[d - 1]) - 1e-9:
+            want[d] = d - 1
+    assert 5 < sum(d != r for d, r in want.items()) < 30
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    for chunk in (20_000, 40):
+        monkeypatch.setattr(S, "SIGN_CHUNK", chunk)
+        assert {r.doc_id: r.component_id for r in S.near_duplicates(df, 5, 512, 104, 1, 0.8).collect()} == want
